@@ -6,8 +6,14 @@ from importlib import import_module
 
 #: query name -> module; the module holds a function of that name and may hold ORACLE.
 QUERIES = {
+    "op1_latent_votes": "latent_votes",
     "op2_exact_dedup": "exact_dedup",
+    "op4_simhash_trie": "simhash_trie",
     "op5_ring_sharding": "ring_sharding",
+    "op6_suffix_decontam": "suffix_decontam",
+    "op7_rank_array_bpe": "rank_array_bpe",
+    "op8_longest_match": "longest_match",
+    "op10_snapshot_chat": "snapshot_chat",
 }
 
 
