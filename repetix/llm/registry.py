@@ -8,6 +8,7 @@ from importlib import import_module
 QUERIES = {
     "op1_latent_votes": "latent_votes",
     "op2_exact_dedup": "exact_dedup",
+    "op3_trie_lm": "trie_lm",
     "op4_simhash_trie": "simhash_trie",
     "op5_ring_sharding": "ring_sharding",
     "op6_suffix_decontam": "suffix_decontam",
