@@ -14,6 +14,7 @@ QUERIES = {
     "op6_suffix_decontam": "suffix_decontam",
     "op7_rank_array_bpe": "rank_array_bpe",
     "op8_longest_match": "longest_match",
+    "op9_block_lstm": "block_lstm",
     "op10_snapshot_chat": "snapshot_chat",
 }
 
