@@ -69,3 +69,19 @@ def checked(df: DataFrame, *columns: str) -> DataFrame:
     if missing:
         raise ValueError(f"missing columns: {', '.join(missing)}")
     return df.select(*columns)
+
+
+#: Rows that a broadcast may name: 8 bytes each, a few hundred MB in a hash table at most.
+BROADCAST_ROWS = 4_000_000
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """`docs` with row_no; the same for every read of the same files with the same settings."""
+    return docs.withColumn("row_no", F.monotonically_increasing_id())
+
+
+def without_rows(docs: DataFrame, dropped: DataFrame) -> DataFrame:
+    """The rows of `docs` whose row_no isn't in `dropped`. Few of these are broadcast, so that no text moves; many are joined by a shuffle."""
+    dropped = materialise(dropped.select("row_no"), "dropped")
+    few = dropped.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return numbered(docs).join(F.broadcast(dropped) if few else dropped, "row_no", "left_anti").select(docs.columns)

@@ -149,20 +149,20 @@ def encode_documents(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", te
     text is encoded whole; an empty table gives no rows.
     """
     kept = checked(docs, *dict.fromkeys([id_col, *keep, text_col]))
+    names = [c for c in kept.columns if c in (id_col, *keep)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(tokenizer)
         for batch in batches:
             for part in slices(batch, text_col):
                 done = [encode(t or "") for t in part.column(text_col).to_pylist()]
-                columns = {c: part.column(c) for c in kept.columns if c in (id_col, *keep)}
+                columns = {c: part.column(c) for c in names}
                 lengths = np.cumsum([0] + [len(i) // 4 for i, _ in done]).astype(np.int32)
                 ids = pa.ListArray.from_arrays(pa.array(lengths), pa.array(np.frombuffer(b"".join(i for i, _ in done), "<u4").astype(np.int32)))
                 columns |= {"token_ids": ids, "decoded": pa.array([d.decode() for _, d in done], pa.string())}
                 yield pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
     types = dict(kept.dtypes)
-    names = [c for c in kept.columns if c in (id_col, *keep)]
     return kept.mapInArrow(run, ", ".join([*(f"`{c}` {types[c]}" for c in names), "token_ids array<int>", "decoded string"]))
 
 

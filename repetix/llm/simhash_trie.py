@@ -14,18 +14,16 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import attach, checked, materialise, partitions
+from .common import attach, checked, materialise, numbered, partitions
 
 BITS = 64
 SEED = 42
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
-_SPACES = b"\t\n\x0b\x0c\r "
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -49,15 +47,14 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, fp bigint (the fingerprint's 64 bits as a signed number)."""
+    """row_no, doc_id, fp bigint (the fingerprint's 64 bits as a signed number) of numbered rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fps = np.fromiter((fingerprint(t.as_py()) for t in batch.column(text_col)), np.uint64, batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column(id_col), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("row_no"), batch.column(id_col), pa.array(fps.view(np.int64))], names=["row_no", "doc_id", "fp"])
 
-    kept = checked(docs, id_col, text_col)
-    return kept.mapInArrow(run, f"doc_id {dict(kept.dtypes)[id_col]}, fp bigint")
+    return docs.mapInArrow(run, f"row_no bigint, doc_id {dict(docs.dtypes)[id_col]}, fp bigint")
 
 
 class Components:
@@ -219,18 +216,20 @@ def pairs_of(df: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, budget: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each row of `docs`: row_no, doc_id, fp, component_id (the least doc_id reachable over links), group_size.
+    """One row for each row of `docs`: row_no, doc_id, fp, group_size (rows of this fingerprint), component_id (the least doc_id
+    reachable over links) and keep_row (the row_no of a row with that id).
 
     Null and empty texts and those of blanks have fingerprint zero and are linked like others;
     equal fingerprints are linked. A null doc_id never names a component unless all its ids
     are null. An empty table gives no rows.
     """
-    rows = materialise(fingerprints(docs, id_col, text_col).withColumn("row_no", F.monotonically_increasing_id()), "fingerprints")
-    groups = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("group_size")), "distinct-fingerprints")
+    rows = materialise(fingerprints(numbered(checked(docs, id_col, text_col)), id_col, text_col), "fingerprints")
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_no"))
+    groups = materialise(rows.groupBy("fp").agg(least.alias("least"), F.count("*").alias("group_size")), "distinct-fingerprints")
     linked = components(near_links(groups.select("fp"), budget), "fp_a", "fp_b")
     rooted = groups.join(linked.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    named = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    table = rooted.join(named, "root").select("fp", "component_id", "group_size")
+    named = rooted.groupBy("root").agg(F.min("least").alias("keep"))
+    table = rooted.join(named, "root").select("fp", "group_size", F.col("keep.doc_id").alias("component_id"), F.col("keep.row_no").alias("keep_row"))
     return attach(rows, materialise(table, "components"), "fp", "group_size", rows.count())
 
 
