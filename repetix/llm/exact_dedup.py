@@ -12,13 +12,13 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, attach, checked, fresh_path, materialise, partitions
+from .common import ascii_lower, attach, checked, fresh_path, materialise, numbered, partitions
 
 
 def digest_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(row_no, doc_id, digest) of every row; row_no tells repeated rows apart."""
-    return checked(docs, id_col, text_col).select(
-        F.monotonically_increasing_id().alias("row_no"),
+    return numbered(checked(docs, id_col, text_col)).select(
+        "row_no",
         F.col(id_col).alias("doc_id"),
         F.unhex(F.sha2(ascii_lower(text_col).cast("binary"), 256)).alias("digest"),
     )
@@ -42,7 +42,10 @@ class DigestIndex:
 
     def append(self, rows: DataFrame, batch: str) -> None:
         """Add an entry for each digest that the index lacks. Of equal texts the largest doc_id is the entry's."""
-        groups = rows.groupBy("digest").agg(F.max(F.struct("doc_id", "row_no")).alias("keep"), F.count("*").alias("group_size"))
+        # the join is on an aggregate, as one on the grouping key would be moved below it, where a text's copies are not yet one row
+        groups = rows.groupBy(F.col("digest").alias("key")).agg(
+            F.max("digest").alias("digest"), F.max(F.struct("doc_id", "row_no")).alias("keep"), F.count("*").alias("group_size")
+        )
         new = groups.join(self.entries().select("digest").hint("merge"), "digest", "left_anti")
         new = new.select("digest", F.col("keep.doc_id").alias("keep_id"), F.col("keep.row_no").alias("keep_row"), "group_size", F.lit(batch).alias("batch"))
         new.repartition(self.buckets, "digest").sortWithinPartitions("digest").write.insertInto(self.table)
