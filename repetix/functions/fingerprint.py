@@ -121,7 +121,7 @@ def fingerprint_concat(first: Column, second: Column, second_weight: Column, mod
 def fingerprint_roll(old: Column, leaving: Column, entering: Column, leaving_weight: Column | int, modulus: int, base: int = 1_114_112) -> Column:
     """Of the window moved on by one symbol; `leaving_weight` is base^(k - 1) modulo the prime."""
     weight = F.lit(leaving_weight) if isinstance(leaving_weight, int) else leaving_weight
-    rest = F.pmod(old - leaving * weight % F.lit(modulus), F.lit(modulus))
+    rest = F.pmod(old - leaving.cast("bigint") * weight % F.lit(modulus), F.lit(modulus))
     return (rest * F.lit(base) + entering) % F.lit(modulus)
 
 
