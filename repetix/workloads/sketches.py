@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams
 from repetix.functions.hashing import OFFSET, P, SCALE, seed_for
-from repetix.operators import distance, longstring, metrics, profile, sketch
+from repetix.operators import distance, longstring, metrics, packed, profile, sketch
 from repetix.operators.distinct import F0, Exact, F0Median, Hll, Kmv, LinearCounting, Theta, approx_profile, window_rows
 from repetix.sources.tables import code_of, load_table
 from repetix.streaming import stream_sketch as streams
@@ -109,6 +109,22 @@ for _name, _cd in (("hll_delta", Hll()), ("theta_delta", Theta())):
     query(_name)(estimated(_cd))
 
 
+@query("packed_delta")
+def packed_delta(spark, sf_dir):
+    """The fast path: every document's estimate in one narrow pass."""
+    from repetix.plans.accuracy import sampled_lengths
+
+    return packed.estimate_strings(docs(spark, sf_dir), sampled_lengths(100, 1.25))
+
+
+@query("packed_group_delta")
+def packed_group_delta(spark, sf_dir):
+    from repetix.plans.accuracy import sampled_lengths
+
+    cd = packed.Packed()
+    return sketch.estimate_delta(cd.from_strings(docs(spark, sf_dir, "source"), ["source"], sampled_lengths(40, 1.25)), ["source"], cd)
+
+
 @query("f0_median_delta")
 def f0_median_delta(spark, sf_dir):
     cd = F0Median(3, 1024)
@@ -227,9 +243,10 @@ def long_string_delta(spark, sf_dir):
     chunks = longstring.chunk_table(load_table(spark, sf_dir, "documents", ["doc_id", "text"]), "doc_id")
     from repetix.plans.accuracy import length_bound, sampled_lengths
 
-    sketches = Hll().build(longstring.halo_windows(chunks, sampled_lengths(128, 1.25)), ["id", "k"])
+    cd = packed.Packed()
+    sketches = packed.long_string_sketch(chunks, sampled_lengths(128, 1.25), cd)
     n = load_table(spark, sf_dir, "documents", ["text"]).agg(F.sum(F.length("text")).alias("n"))
-    return sketch.estimate_delta(sketches).crossJoin(F.broadcast(n)).withColumn("bound", length_bound(F.col("n"), F.col("delta")))
+    return sketch.estimate_delta(sketches, cd=cd).crossJoin(F.broadcast(n)).withColumn("bound", length_bound(F.col("n"), F.col("delta")))
 
 
 def event_stream(spark, sf_dir):
