@@ -71,7 +71,8 @@ def extend_sketch(sketches: DataFrame, tails: DataFrame, chunks: DataFrame, leng
 
 def rollup_sketch(sketches: DataFrame, levels: Sequence[str], cd: Buffered = Hll()) -> DataFrame:
     """(levels, k, cd) at every level of the hierarchy, by unions of the finest sketches; no text is read again."""
-    return sketches.rollup(*levels, "k").agg(F.grouping("k").alias("no_k"), cd.union_agg("cd").alias("cd")).where("no_k = 0").drop("no_k")
+    sets = [[*levels[:n], "k"] for n in range(len(levels), -1, -1)]
+    return sketches.groupingSets(sets, *levels, "k").agg(cd.union_agg("cd").alias("cd"))
 
 
 def save_sketch(sketches: DataFrame, path: str, alpha: float, kind: str) -> None:

@@ -110,8 +110,10 @@ def local_max_misses(spark, sf_dir):
 
     hard = adversarial(spark)
     rows = docs(spark, sf_dir).select(F.col("id").cast("string").alias("id"), "text").unionByName(hard)
-    heuristic = local_maximum(substring_profile(rows, range(1, 41)).where("d > 0")).select("id", F.col("delta").alias("heuristic"))
-    return exact_delta(rows).join(heuristic, "id").where("heuristic < delta - 1e-9").select("id", "n", "delta", "k_hat", "heuristic")
+    counted = substring_profile(rows, range(1, 41)).where("d > 0")
+    rules = [local_maximum(counted, strict).select("id", F.col("delta").alias("heuristic"), F.lit(name).alias("stops_before")) for name, strict in (("fall", True), ("stand", False))]
+    missed = exact_delta(rows).join(rules[0].unionByName(rules[1]), "id").where("heuristic < delta - 1e-9")
+    return missed.select("id", "n", "delta", "k_hat", "heuristic", "stops_before")
 
 
 def adversarial(spark):

@@ -153,9 +153,7 @@ def hll_merge_delta(spark, sf_dir):
 @query("sketch_rollup")
 def sketch_rollup(spark, sf_dir):
     sketches = sketch.build_sketch(docs(spark, sf_dir, "lang", "source"), by=("lang", "source"), max_length=40)
-    united = Hll().merge(sketches.withColumn("id", F.lit(0)), ["lang", "k"]).withColumn("source", F.lit(None).cast("string"))
-    both = sketches.select("lang", "source", "k", "cd").unionByName(united.select("lang", "source", "k", "cd"))
-    return sketch.estimate_delta(both, by=("lang", "source"))
+    return sketch.estimate_delta(sketch.rollup_sketch(sketches, ["lang", "source"]), by=("lang", "source"))
 
 
 @query("sketch_extend", f"WITH {windows_cte(ITEMS, (1, 2, 4, 8))}, p AS (SELECT id, CAST(k AS INTEGER) AS k, count(DISTINCT g) AS d FROM w GROUP BY id, k) SELECT id, k, CAST(d AS DOUBLE) AS d FROM p")

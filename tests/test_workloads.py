@@ -38,5 +38,5 @@ def test_suffix_arrays_agree_on_documents(spark, sf_dir):
 
 
 def test_heuristic_misses_adversarial_strings(spark, sf_dir):
-    found = {r["id"] for r in workloads.queries()["local_max_misses"](spark, sf_dir).collect()}
-    assert {"plateau", "two scales"} <= found
+    found = {(r["id"], r["stops_before"]) for r in workloads.queries()["local_max_misses"](spark, sf_dir).collect()}
+    assert {("plateau", "stand"), ("two scales", "stand"), ("parity-1024", "fall")} <= found
