@@ -121,3 +121,10 @@ def nearest(distances: DataFrame, n: int = 1) -> DataFrame:
 def may_be_within(da: Column, db: Column, limit: float) -> Column:
     """A distance is at least 1 - min / max of the two measures, so other pairs needn't be formed."""
     return F.least(da, db) >= (1 - limit) * F.greatest(da, db)
+
+
+def jaccard(sketches: DataFrame) -> DataFrame:
+    """(id_a, id_b, k, jaccard) from Theta sketches (id, k, cd), which also intersect: shared windows over all windows."""
+    a, b = sketches.select(F.col("id").alias("id_a"), "k", F.col("cd").alias("a")), sketches.select(F.col("id").alias("id_b"), "k", F.col("cd").alias("b"))
+    both = F.theta_sketch_estimate(F.theta_intersection("a", "b")) / F.theta_sketch_estimate(F.theta_union("a", "b"))
+    return a.join(b, "k").where("id_a < id_b").select("id_a", "id_b", "k", both.alias("jaccard"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 import os
 from collections.abc import Iterator
 
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
 SCHEMA = "file string, block bigint, bytes binary"
 
@@ -21,6 +21,13 @@ def _files(path: str) -> list[str]:
     return sorted(os.path.join(path, f) for f in os.listdir(path) if not f.startswith((".", "_")))
 
 
+def _read(partition: BlockRange) -> Iterator[tuple]:
+    with open(partition.file, "rb") as f:
+        f.seek(partition.first * partition.size)
+        for block in range(partition.first, partition.stop):
+            yield partition.file, block, f.read(partition.size)
+
+
 class BlockReader(DataSourceReader):
     def __init__(self, options: dict):
         self.path, self.size = options["path"], int(options.get("block_bytes", 1 << 20))
@@ -34,37 +41,29 @@ class BlockReader(DataSourceReader):
         return out
 
     def read(self, partition: BlockRange) -> Iterator[tuple]:
-        with open(partition.file, "rb") as f:
-            f.seek(partition.first * partition.size)
-            for block in range(partition.first, partition.stop):
-                yield partition.file, block, f.read(partition.size)
+        return _read(partition)
 
 
-class BlockStreamReader(SimpleDataSourceStreamReader):
-    """Every micro-batch reads the next blocks of the files in order."""
+class BlockStreamReader(DataSourceStreamReader):
+    """Micro-batches are the blocks that have come since the last one, in the order of the files; executors read them."""
 
     def __init__(self, options: dict):
         self.path, self.size = options["path"], int(options.get("block_bytes", 1 << 20))
-        self.step = int(options.get("blocks_a_batch", 16))
 
     def initialOffset(self) -> dict:
         return {"block": 0}
 
+    def latestOffset(self) -> dict:
+        return {"block": len(self._blocks())}
+
     def _blocks(self) -> list[tuple[str, int]]:
         return [(f, b) for f in _files(self.path) for b in range(-(-os.path.getsize(f) // self.size))]
 
-    def _read(self, start: int, stop: int) -> Iterator[tuple]:
-        for file, block in self._blocks()[start:stop]:
-            with open(file, "rb") as f:
-                f.seek(block * self.size)
-                yield file, block, f.read(self.size)
+    def partitions(self, start: dict, end: dict) -> list[BlockRange]:
+        return [BlockRange(f, b, b + 1, self.size) for f, b in self._blocks()[start["block"] : end["block"]]]
 
-    def read(self, start: dict):
-        stop = min(len(self._blocks()), start["block"] + self.step)
-        return self._read(start["block"], stop), {"block": stop}
-
-    def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
-        return self._read(start["block"], end["block"])
+    def read(self, partition: BlockRange) -> Iterator[tuple]:
+        return _read(partition)
 
 
 class OrderedBlocks(DataSource):
@@ -80,5 +79,5 @@ class OrderedBlocks(DataSource):
     def reader(self, schema) -> BlockReader:
         return BlockReader(self.options)
 
-    def simpleStreamReader(self, schema) -> BlockStreamReader:
+    def streamReader(self, schema) -> BlockStreamReader:
         return BlockStreamReader(self.options)

@@ -127,3 +127,53 @@ def test_ordered_blocks(spark, tmp_path):
     spark.dataSource.register(OrderedBlocks)
     rows = spark.read.format("ordered_blocks").option("block_bytes", 1000).option("blocks_a_task", 2).load(str(tmp_path)).orderBy("block").collect()
     assert b"".join(bytes(r["bytes"]) for r in rows) == raw and len(rows) == 6
+
+
+def test_packed_registers(spark, strings, texts):
+    from repetix.operators import packed
+
+    cd = packed.Packed(1024)
+    made = cd.from_strings(strings.withColumn("g", F.col("id") % 2).repartition(5), ["g"], LENGTHS)
+    got = {(r["g"], r["k"]): r["d"] for r in cd.estimates(made, ["g", "k"]).collect()}
+    for g in (0, 1):
+        for k in LENGTHS:
+            exact = len({s[i : i + k] for j, s in texts if j % 2 == g for i in range(len(s) - k + 1)})
+            assert got[g, k] == pytest.approx(exact, rel=0.15, abs=2)
+    near = {r["id"]: r["delta"] for r in packed.estimate_strings(strings, range(1, 12)).collect()}
+    exact = {r["id"]: r["delta"] for r in profile.exact_delta(strings).collect()}
+    assert near == pytest.approx(exact)
+
+
+def test_packed_long_string(spark):
+    from repetix.operators import packed
+
+    rng = random.Random(6)
+    chunks = ["".join(rng.choice("abcd") for _ in range(rng.randint(0, 60))) for _ in range(80)]
+    whole = "".join(chunks)
+    df = longstring.chunk_table(spark.createDataFrame(list(enumerate(chunks)), "at bigint, text string"), "at")
+    cd = packed.Packed(4096)
+    got = {r["k"]: r["d"] for r in cd.estimates(packed.long_string_sketch(df, [1, 3, 6, 30], cd), ["id", "k"]).collect()}
+    for k, d in got.items():
+        assert d == pytest.approx(len({whole[i : i + k] for i in range(len(whole) - k + 1)}), rel=0.06, abs=1)
+
+
+def test_rollup_is_the_union(strings):
+    made = sketch.build_sketch(strings.withColumn("a", F.col("id") % 2).withColumn("b", F.col("id") % 3), by=("a", "b"), lengths=LENGTHS)
+    got = {(r["a"], r["b"]): r["delta"] for r in sketch.estimate_delta(sketch.rollup_sketch(made, ["a", "b"]), by=("a", "b")).collect()}
+    assert len(got) == 6 + 2 + 1
+    assert max(d for (a, b), d in got.items() if b is not None) <= got[None, None] * 1.05
+
+
+def test_block_stream(spark, tmp_path):
+    from repetix.sources.ordered_blocks import OrderedBlocks
+
+    raw = bytes(range(200)) * 10
+    (tmp_path / "in").mkdir()
+    (tmp_path / "in" / "x.bin").write_bytes(raw)
+    spark.dataSource.register(OrderedBlocks)
+    stream = spark.readStream.format("ordered_blocks").option("block_bytes", 300).load(str(tmp_path / "in"))
+    q = stream.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "state")).start()
+    q.processAllAvailable()
+    q.stop()
+    rows = spark.read.parquet(str(tmp_path / "out")).orderBy("block").collect()
+    assert b"".join(bytes(r["bytes"]) for r in rows) == raw

@@ -115,3 +115,13 @@ def test_windowed_profile(spark):
     rows = spark.createDataFrame([("2024-01-01 01:00:00", "abab"), ("2024-01-01 05:00:00", "abc"), ("2024-01-02 01:00:00", "zz")], "ts string, text string").withColumn("ts", F.to_timestamp("ts"))
     got = {(str(r["start"])[:10], r["k"]): r["d"] for r in streams.windowed_profile(rows, "ts", F.window("ts", "1 day"), [], [1, 2]).collect()}
     assert got == {("2024-01-01", 1): 3, ("2024-01-01", 2): 3, ("2024-01-02", 1): 1, ("2024-01-02", 2): 1}
+
+
+def test_words_held_follow_the_window():
+    rng = random.Random(8)
+    sketch = StreamSketch(1 << 20, [1, 2, 4, 8, 16], window=64, cd="kmv", m=256, transform=False)
+    sizes = []
+    for _ in range(20):
+        sizes.append(sketch.extend(rng.randint(0, 3) for _ in range(1000)).words())
+    assert sizes[-1] == sizes[5] and sizes[-1] <= 64 + 5 * 256 + 10
+    assert sketch.adds >= 5 * (20_000 - 16)
