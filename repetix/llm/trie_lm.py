@@ -32,7 +32,7 @@ from .elias_fano import BigramTrie, Quantiser
 
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 END = b""
-BLOCK_BYTES = 16_000_000
+BLOCK_BYTES = 6_000_000
 #: Pieces that a context's pairs are spread over.
 PIECES = 64
 CLASSES = 128
