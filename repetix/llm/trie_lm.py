@@ -306,11 +306,12 @@ def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     spark = docs.sparkSession
     shards = partitions(spark)
+    pair_shards = 2 * shards  # a text has more pairs than words
     blocks = _bucketed(text_blocks(docs, id_col, text_col, block_bytes), shards)
     words = materialise(word_answers(word_questions(blocks, shards), shards), "lm-words")
     sums = words.where("block < 0").agg(F.sum("n"), F.sum("v")).first()
     told = _with_word_answers(blocks, words, ["block", "words", "tokens", "lengths", "train"])
-    answers = materialise(pair_answers(pair_questions(told, shards, shards), shards), "lm-pairs")
+    answers = materialise(pair_answers(pair_questions(told, shards, pair_shards), pair_shards), "lm-pairs")
     classes = (
         answers.where("block < 0").select(F.posexplode(F.arrays_zip("tokens", "single")).alias("class", "x"))
         .groupBy("class").agg(F.sum("x.tokens").alias("tokens"), F.sum("x.single").alias("single")).collect()  # CLASSES rows
@@ -321,7 +322,7 @@ def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             backoff[row["class"]] = min(0.999, max(0.02, row["single"] / row["tokens"]))
     codes = answers.where("block >= 0").groupBy("block").agg(F.collect_list(F.struct("shard", "codes")).alias("codes"))
     joined = _with_word_answers(blocks, words, ["block", "doc_ids", "words", "tokens", "lengths"]).join(codes, "block", "left")
-    return text_scores(joined, shards, shards, sums[0] or 0, sums[1] or 0, backoff)
+    return text_scores(joined, shards, pair_shards, sums[0] or 0, sums[1] or 0, backoff)
 
 
 def op3_trie_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
