@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from repetix.llm import exact_dedup, latent_votes, rank_array_bpe, simhash_trie, suffix_decontam
-from repetix.llm.common import checked, materialise, without_rows
+from repetix.llm.common import checked, materialise, with_row_numbers, without_rows
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -23,13 +23,13 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts keep that of the largest doc_id."""
-    docs = checked(docs, *COLUMNS)
+    docs = with_row_numbers(checked(docs, *COLUMNS))
     return without_rows(docs, exact_dedup.deduplicate(docs).where("NOT kept"))
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the least doc_id of each component of near fingerprints."""
-    docs = checked(docs, *COLUMNS)
+    docs = with_row_numbers(checked(docs, *COLUMNS))
     return without_rows(docs, simhash_trie.near_duplicates(docs).where("row_no <> keep_row"))
 
 

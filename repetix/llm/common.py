@@ -76,13 +76,31 @@ def checked(df: DataFrame, *columns: str) -> DataFrame:
 BROADCAST_ROWS = 4_000_000
 
 
+#: The column of row numbers in a table that with_row_numbers wrote.
+WRITTEN_NO = "__written_row_no"
+
+
 def numbered(docs: DataFrame) -> DataFrame:
-    """`docs` with row_no; the same for every read of the same files with the same settings."""
-    return docs.withColumn("row_no", F.monotonically_increasing_id())
+    """`docs` with row_no: the written number if there is one, else a number that holds for this one read only.
+
+    Spark packs file splits by the cores at hand, so two reads of the same files may number them differently.
+    """
+    return docs.withColumn("row_no", F.col(WRITTEN_NO) if WRITTEN_NO in docs.columns else F.monotonically_increasing_id())
+
+
+def written_no(docs: DataFrame) -> list[str]:
+    return [c for c in docs.columns if c == WRITTEN_NO]
+
+
+def with_row_numbers(docs: DataFrame) -> DataFrame:
+    """A written copy of `docs` whose rows carry their numbers, so that every later read agrees on them."""
+    return materialise(docs.withColumn(WRITTEN_NO, F.monotonically_increasing_id()), "numbered")
 
 
 def without_rows(docs: DataFrame, dropped: DataFrame) -> DataFrame:
-    """The rows of `docs` whose row_no isn't in `dropped`. Few of these are broadcast, so that no text moves; many are joined by a shuffle."""
+    """The rows of `docs`, from with_row_numbers, whose row_no isn't in `dropped`. Few of these are broadcast, so that no text moves; many are joined by a shuffle."""
+    if WRITTEN_NO not in docs.columns:
+        raise ValueError("rows are named by numbers that were written: with_row_numbers")
     dropped = materialise(dropped.select("row_no"), "dropped")
     few = dropped.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    return numbered(docs).join(F.broadcast(dropped) if few else dropped, "row_no", "left_anti").select(docs.columns)
+    return numbered(docs).join(F.broadcast(dropped) if few else dropped, "row_no", "left_anti").select([c for c in docs.columns if c != WRITTEN_NO])

@@ -12,12 +12,12 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, attach, checked, fresh_path, materialise, numbered, partitions
+from .common import ascii_lower, attach, checked, fresh_path, materialise, numbered, partitions, written_no
 
 
 def digest_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(row_no, doc_id, digest) of every row; row_no tells repeated rows apart."""
-    return numbered(checked(docs, id_col, text_col)).select(
+    return numbered(checked(docs, id_col, text_col, *written_no(docs))).select(
         "row_no",
         F.col(id_col).alias("doc_id"),
         F.unhex(F.sha2(ascii_lower(text_col).cast("binary"), 256)).alias("digest"),

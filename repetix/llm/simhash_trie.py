@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import attach, checked, materialise, numbered, partitions
+from .common import attach, checked, materialise, numbered, partitions, written_no
 
 BITS = 64
 SEED = 42
@@ -223,7 +223,7 @@ def near_duplicates(docs: DataFrame, budget: int = 3, id_col: str = "doc_id", te
     equal fingerprints are linked. A null doc_id never names a component unless all its ids
     are null. An empty table gives no rows.
     """
-    rows = materialise(fingerprints(numbered(checked(docs, id_col, text_col)), id_col, text_col), "fingerprints")
+    rows = materialise(fingerprints(numbered(checked(docs, id_col, text_col, *written_no(docs))), id_col, text_col), "fingerprints")
     least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_no"))
     groups = materialise(rows.groupBy("fp").agg(least.alias("least"), F.count("*").alias("group_size")), "distinct-fingerprints")
     linked = components(near_links(groups.select("fp"), budget), "fp_a", "fp_b")

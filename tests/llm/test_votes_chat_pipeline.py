@@ -118,3 +118,28 @@ def test_stages_keep_columns(spark, sf_dir):
         assert stage(spark, odd.where("false"), sf_dir).count() == 0
         assert stage(spark, odd, sf_dir).count() <= 3
     assert corpus_pipeline.exact_copies(spark, odd, sf_dir).count() == 1
+
+
+def test_decisions_hold_when_files_are_dealt_differently(spark, tmp_path, monkeypatch):
+    rows = [(i, f"text {i % 40} " + " ".join(f"w{i % 40}x{j}" for j in range(20)), "en", "s", 0) for i in range(400)]
+    schema = "doc_id bigint, text string, lang string, source string, n_chars bigint"
+    spark.createDataFrame(rows, schema).repartition(24).write.parquet(str(tmp_path / "docs"))
+    docs = spark.read.parquet(str(tmp_path / "docs"))
+    open_cost = "spark.sql.files.openCostInBytes"
+
+    def then_dealt_otherwise(decide):
+        def run(*args):
+            spark.conf.set(open_cost, "4194304")
+            found = decide(*args)
+            spark.conf.set(open_cost, "1")
+            return found
+
+        return run
+
+    for module, name in ((corpus_pipeline.exact_dedup, "deduplicate"), (simhash_trie, "near_duplicates")):
+        monkeypatch.setattr(module, name, then_dealt_otherwise(getattr(module, name)))
+    try:
+        assert {r["doc_id"] for r in corpus_pipeline.exact_copies(spark, docs, "").collect()} == set(range(360, 400))
+        assert {r["doc_id"] for r in corpus_pipeline.near_copies(spark, docs, "").collect()} == set(range(40))
+    finally:
+        spark.conf.unset(open_cost)
