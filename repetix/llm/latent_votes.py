@@ -30,6 +30,8 @@ NEIGHBOURS = 25
 SAMPLE = 4096
 BLOCK = 512
 REMEMBERED = 200_000
+#: Longer words, as texts without blanks have, are cut into consecutive pieces of so many characters, each with its own terms.
+PIECE = 64
 
 _CLASSES = [(re.compile(r"[^\W\d_]+"), "a"), (re.compile(r"\d+"), "0")]
 
@@ -41,7 +43,7 @@ def shape(word: str) -> str:
         run = m[0]
         return "a" if run.islower() else "A" if run.isupper() else "Aa" if run[0].isupper() else "aA"
 
-    out = _CLASSES[1][0].sub("0", re.sub(r"[^\W\d_]+", letters, word[:64]))
+    out = _CLASSES[1][0].sub("0", re.sub(r"[^\W\d_]+", letters, word))
     return re.sub(r"(.)\1{3,}", r"\1\1\1", out)
 
 
@@ -55,15 +57,21 @@ def term_counter():
 
     def count(text: str) -> tuple[np.ndarray, np.ndarray]:
         words = text.split()
-        total = len(words)
         weight: dict[int, float] = {}
         counted = Counter(words)
-        for word, n in counted.items():
+        pieces = counted
+        if max(map(len, counted), default=0) > PIECE:
+            pieces = Counter()
+            for word, n in counted.items():
+                for at in range(0, len(word), PIECE):
+                    pieces[word[at : at + PIECE]] += n
+        total = pieces.total()
+        for word, n in pieces.items():
             slots = seen.get(word)
             if slots is None:
                 if len(seen) > REMEMBERED:
                     seen.clear()
-                slots = seen[word] = (_slot("w " + word[:64].lower()), _slot("s " + shape(word)))
+                slots = seen[word] = (_slot("w " + word.lower()), _slot("s " + shape(word)))
             weight[slots[0]] = weight.get(slots[0], 0.0) + n
             weight[slots[1]] = weight.get(slots[1], 0.0) + n
         found = {s: math.log1p(100 * w / total) / 8 for s, w in weight.items()}

@@ -36,6 +36,18 @@ def test_quality_edges(spark):
     assert latent_votes.score_documents(docs.where("false"), model).count() == 0
 
 
+def test_a_long_word_is_read_whole():
+    count = latent_votes.term_counter()
+    terms = lambda text: dict(zip(*(a.tolist() for a in count(text)), strict=True))
+    head = "好" * 64
+    slots = [latent_votes._slot(f"w {c * 64}") for c in "坏新"]
+    long = terms(head + "坏" * 64 + "新" * 64)
+    assert all(s in long and s not in terms(head + "x" * 128) for s in slots)
+    assert long.keys() > {latent_votes._slot("w " + head)}
+    pieces = terms(f"{head} {'坏' * 64} {'新' * 64}")
+    assert all(long[s] == pytest.approx(pieces[s]) for s in slots)
+
+
 def test_blocked_product_equals_plain_cosines():
     import numpy as np
 
