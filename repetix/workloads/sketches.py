@@ -253,13 +253,19 @@ def event_stream(spark, sf_dir):
     return stream.select(F.col("user_id").alias("id"), "ts", "event_id", (code_of("event_type", ["click", "error", "purchase", "signup", "view"])).alias("symbol"))
 
 
+def longest_stream(spark, sf_dir):
+    """n_max of the streams: the events of the user who has most, 100,000 at least."""
+    most = load_table(spark, sf_dir, "events", ["user_id"]).groupBy("user_id").count().agg(F.max("count")).first()[0]
+    return max(100_000, most or 0)
+
+
 STREAMED = (1, 2, 3, 5)
 STREAM_SQL = f"""WITH {windows_cte(EVENTS, STREAMED)}, p AS (SELECT id, CAST(k AS INTEGER) AS k, CAST(count(DISTINCT g) AS DOUBLE) AS d FROM w GROUP BY id, k) SELECT p.id, p.k, p.d FROM p"""
 
 
 def streamed(**options):
     def run(spark, sf_dir):
-        rows = streams.stream_sketch(event_stream(spark, sf_dir), ["ts", "event_id"], n_max=100_000, lengths=list(STREAMED), **options)
+        rows = streams.stream_sketch(event_stream(spark, sf_dir), ["ts", "event_id"], n_max=longest_stream(spark, sf_dir), lengths=list(STREAMED), **options)
         last = streams.latest(streams.run_to_table(rows, "stream"))
         return last.select("id", F.explode("profile").alias("p")).select("id", "p.k", "p.d")
 
@@ -273,7 +279,7 @@ for _name, _options in (("stream_final_profile", {"window": 2}), ("stream_window
 @query("stream_drop_policy", "SELECT user_id AS id, count(*) AS n, true AS dropped FROM events GROUP BY user_id")
 def stream_drop_policy(spark, sf_dir):
     """With a low constant the transform of every stream is dropped."""
-    rows = streams.stream_sketch(event_stream(spark, sf_dir), ["ts", "event_id"], n_max=100_000, lengths=[1, 2, 4], window=3, discard_constant=1e-9)
+    rows = streams.stream_sketch(event_stream(spark, sf_dir), ["ts", "event_id"], n_max=longest_stream(spark, sf_dir), lengths=[1, 2, 4], window=3, discard_constant=1e-9)
     return streams.latest(streams.run_to_table(rows, "stream-drop")).select("id", "n", "dropped")
 
 
