@@ -4,6 +4,15 @@ from datetime import datetime, timedelta
 
 from repetix import workloads
 
+COLUMNS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
+
+
+def documents(spark, path, texts):
+    rows = [(i, t, "en", f"s{i % 2}", len(t)) for i, t in enumerate(texts)]
+    spark.createDataFrame(rows, COLUMNS).write.parquet(f"{path}/documents.parquet")
+    return str(path)
+
+
 def run(spark, name, sf):
     return workloads.queries()[name](spark, sf).collect()
 
@@ -13,3 +22,8 @@ def test_a_user_of_many_events_is_counted(spark, tmp_path):
     rows = [(i, start + timedelta(seconds=i), 1 if i < 100_050 else 2, "click" if i % 3 else "view") for i in range(100_060)]
     spark.createDataFrame(rows, "event_id bigint, ts timestamp, user_id bigint, event_type string").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
     assert {(r["id"], r["n"]) for r in run(spark, "stream_drop_policy", str(tmp_path))} == {(1, 100_050), (2, 10)}
+
+
+def test_bands_of_very_long_documents(spark, tmp_path):
+    sf = documents(spark, tmp_path, ["x" * 204_999, "x" * 205_000, "x" * 412_345, ""])
+    assert {(r["id"], r["low"]) for r in run(spark, "range_blocks", sf)} == {(0, 200_000), (1, 205_000), (2, 410_000), (3, 0)}
