@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+import functools
+import operator
+from collections.abc import Callable, Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams
 from repetix.plans.accuracy import plan_accuracy, sampled_lengths
+from repetix.session import fresh_path
 
 from .distinct import Buffered, CountDistinct, Hll, count_distinct, window_rows
 
@@ -46,6 +49,42 @@ def estimate_delta(sketches: DataFrame, by: Sequence[str] = ("id",), cd: CountDi
     return counted.groupBy(*by).agg(F.max(ratio).alias("delta"), F.max_by("k", F.struct(ratio, -F.col("k"))).alias("k_hat"))
 
 
+def _written(df: DataFrame, name: str) -> DataFrame:
+    path = fresh_path(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts: Callable[[DataFrame, list[int]], DataFrame], alpha: float | None = 1.25, text_col: str = "text") -> DataFrame:
+    """(by, delta, k_hat) over all lengths, from `found` over those up to `low`.
+
+    A set has no more distinct substrings of length k than windows, and windows / k falls with k; so a set goes on to
+    longer lengths only while its windows of length low + 1 could beat its delta. `counts(strings, lengths)` gives
+    (by, k, d). Every fourfold range of lengths is a round; without `alpha` all lengths in it count.
+    """
+    by = list(by)
+    found = _written(found.select(*by, "delta", "k_hat"), "delta")
+    same = lambda a, b: functools.reduce(operator.and_, [a[c].eqNullSafe(b[c]) for c in by])
+    while True:
+        size = F.size(text_col) if dict(df.dtypes)[text_col].startswith("array") else F.length(text_col)
+        longer = df.where(size > low)
+        windows = longer.groupBy(*by).agg(F.sum(size - low).alias("windows"))
+        best = found.select(*[F.col(c).alias(f"{c}__") for c in by], "delta")
+        met = windows.join(best, functools.reduce(operator.and_, [F.col(c).eqNullSafe(F.col(f"{c}__")) for c in by]), "left")
+        able = _written(met.where(F.col("windows") > F.coalesce("delta", F.lit(0.0)) * (low + 1)).select(*by), "able")
+        if able.isEmpty():
+            return found
+        high = 4 * low
+        lengths = [k for k in (sampled_lengths(high, alpha) if alpha else range(1, high + 1)) if k > low]
+        df = longer.join(able, same(longer, able), "left_semi")
+        ratio = F.col("d") / F.col("k")
+        more = counts(df, lengths).groupBy(*by).agg(F.max(ratio).alias("delta"), F.max_by("k", F.struct(ratio, -F.col("k"))).alias("k_hat"))
+        both = found.unionByName(more.select(*by, "delta", "k_hat"))
+        best = F.max_by(F.struct("delta", "k_hat"), F.struct("delta", -F.col("k_hat"))).alias("best")
+        found = _written(both.groupBy(*by).agg(best).select(*by, "best.delta", "best.k_hat"), "delta")
+        low = high
+
+
 def merge_sketches(*sketches: DataFrame, by: Sequence[str] = ("id",), cd: CountDistinct = Hll()) -> DataFrame:
     """Of the union of the sets: by key and length, where a sketch without a length counts as empty. All must have the same kind and parameters."""
     out = sketches[0]

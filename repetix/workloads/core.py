@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams, code_points, fingerprint, fingerprint_concat, fingerprint_roll, power_mod
-from repetix.operators import distance, metrics, profile
+from repetix.operators import distance, metrics, profile, sketch
 from repetix.plans.accuracy import plan_accuracy, sampled_lengths_column
 from repetix.sources.tables import event_sequences, line_sequences, load_table, order_sequences
 
@@ -166,6 +166,28 @@ def group_delta_rollup(spark, sf_dir):
     return sets.groupBy("lang", "source").agg(F.max(F.col("d") / F.col("k")).alias("delta"))
 
 
+def whole_group_delta(strings, by):
+    """(by, delta, k_hat) of the sets of strings, over all lengths."""
+    counts = lambda rows, lengths: distance.group_profile(rows, by, lengths)
+    return sketch.go_on(strings, by, profile.delta_of_profile(counts(strings, range(1, 5)), by), 4, counts, alpha=None)
+
+
+@query("group_delta_all_lengths_by_source")
+def group_delta_all_lengths(spark, sf_dir):
+    """The measure of every source: the queries above stop at three symbols, as their SQL does."""
+    return whole_group_delta(docs(spark, sf_dir, "source"), ["source"])
+
+
+@query("group_delta_all_lengths_rollup")
+def group_delta_all_lengths_rollup(spark, sf_dir):
+    """The measure of every (lang, source), every lang and all documents."""
+    strings = docs(spark, sf_dir, "lang", "source").withColumn("whole", F.lit(0))
+    none = [F.lit(None).cast("string").alias(c) for c in ("lang", "source")]
+    fine = whole_group_delta(strings, ["lang", "source"]).select("lang", "source", "delta")
+    langs = whole_group_delta(strings, ["lang"]).select("lang", none[1], "delta")
+    return fine.unionByName(langs).unionByName(whole_group_delta(strings, ["whole"]).select(*none, "delta"))
+
+
 def grid_sql(alpha: float, first: int) -> str:
     return f"""SELECT n, unnest(list_distinct([CAST(ceil(pow({alpha}, i) - 1e-12) AS BIGINT) FOR i IN generate_series({first}, CAST(floor(ln(n) / ln({alpha}) + 1e-9) AS BIGINT))])) AS k
 FROM (SELECT DISTINCT n_chars AS n FROM documents WHERE n_chars > 0)"""

@@ -98,9 +98,31 @@ def linear_counting_delta(spark, sf_dir):
     return sketch.estimate_delta(cd.build(rows_of(spark, sf_dir), ["id", "k"]), cd=cd).drop("k_hat")
 
 
+def on_items(cd):
+    """Over all lengths; those of the queries above are fixed by their SQL."""
+
+    def run(spark, sf_dir):
+        counts = lambda rows, lengths: cd.estimates(cd.build(window_rows(rows, lengths), ["id", "k"]), ["id", "k"])
+        strings = items(spark, sf_dir)
+        return sketch.go_on(strings, ["id"], profile.delta_of_profile(counts(strings, range(1, 9))), 8, counts, alpha=None)
+
+    return run
+
+
+for _name, _cd in (("kmv", Kmv(M_KMV)), ("f0", F0(M_F0)), ("linear_counting", LinearCounting(M_BITS))):
+    query(f"{_name}_delta_all_lengths")(on_items(_cd))
+
+
+def sketched_on(strings, by, sketches, low, cd=Hll()):
+    """The delta of `sketches`, whose lengths end at `low`, with longer lengths where those could win."""
+    counts = lambda rows, lengths: cd.estimates(sketch.build_sketch(rows, by, cd=cd, lengths=lengths), [*by, "k"])
+    return sketch.go_on(strings, by, sketch.estimate_delta(sketches, by, cd), low, counts)
+
+
 def estimated(cd):
     def run(spark, sf_dir):
-        return sketch.estimate_delta(sketch.build_sketch(docs(spark, sf_dir), cd=cd, max_length=100), cd=cd)
+        strings = docs(spark, sf_dir)
+        return sketched_on(strings, ["id"], sketch.build_sketch(strings, cd=cd, max_length=100), 100, cd)
 
     return run
 
@@ -114,7 +136,8 @@ def packed_delta(spark, sf_dir):
     """The fast path: every document's estimate in one narrow pass."""
     from repetix.plans.accuracy import sampled_lengths
 
-    return packed.estimate_strings(docs(spark, sf_dir), sampled_lengths(100, 1.25))
+    strings = docs(spark, sf_dir)
+    return packed.estimate_strings(strings, sampled_lengths(sketch.longest(strings), 1.25))  # a string stops where no longer length can win
 
 
 @query("packed_group_delta")
@@ -122,7 +145,9 @@ def packed_group_delta(spark, sf_dir):
     from repetix.plans.accuracy import sampled_lengths
 
     cd = packed.Packed()
-    return sketch.estimate_delta(cd.from_strings(docs(spark, sf_dir, "source"), ["source"], sampled_lengths(40, 1.25)), ["source"], cd)
+    strings = docs(spark, sf_dir, "source")
+    counts = lambda rows, lengths: cd.estimates(cd.from_strings(rows, ["source"], lengths), ["source", "k"])
+    return sketch.go_on(strings, ["source"], profile.delta_of_profile(counts(strings, sampled_lengths(40, 1.25)), ["source"]), 40, counts)
 
 
 @query("f0_median_delta")
@@ -144,16 +169,23 @@ def approx_delta(spark, sf_dir):
 
 @query("hll_merge_delta")
 def hll_merge_delta(spark, sf_dir):
-    """Sketches of documents, merged by source without reading a text again."""
+    """Sketches of documents, merged by source; a text is read again only where lengths over 40 could win."""
     sketches = sketch.build_sketch(docs(spark, sf_dir, "source"), by=("id", "source"), max_length=40)
     merged = sketch.merge_sketches(sketches.drop("id"), by=("source",))
-    return sketch.estimate_delta(merged, by=("source",))
+    return sketched_on(docs(spark, sf_dir, "source"), ["source"], merged, 40)
 
 
 @query("sketch_rollup")
 def sketch_rollup(spark, sf_dir):
-    sketches = sketch.build_sketch(docs(spark, sf_dir, "lang", "source"), by=("lang", "source"), max_length=40)
-    return sketch.estimate_delta(sketch.rollup_sketch(sketches, ["lang", "source"]), by=("lang", "source"))
+    strings = docs(spark, sf_dir, "lang", "source").withColumn("whole", F.lit(0))
+    sketches = sketch._written(sketch.build_sketch(strings, by=("whole", "lang", "source"), max_length=40), "sketches")
+    levels, out = ["whole", "lang", "source"], None
+    for n in (3, 2, 1):
+        by = levels[:n]
+        found = sketched_on(strings, by, sketch.merge_sketches(sketches.select(*by, "k", "cd"), by=by), 40)
+        level = found.select(*[F.col(c) if c in by else F.lit(None).cast("string").alias(c) for c in levels[1:]], "delta", "k_hat")
+        out = level if out is None else out.unionByName(level)
+    return out
 
 
 @query("sketch_extend", f"WITH {windows_cte(ITEMS, (1, 2, 4, 8))}, p AS (SELECT id, CAST(k AS INTEGER) AS k, count(DISTINCT g) AS d FROM w GROUP BY id, k) SELECT id, k, CAST(d AS DOUBLE) AS d FROM p")
@@ -237,14 +269,20 @@ def block_shift_profile(spark, sf_dir):
 
 @query("long_string_delta")
 def long_string_delta(spark, sf_dir):
-    """All documents as one string, with sketches: delta, its maximiser, and the certificate for the cap."""
+    """All documents as one string, with sketches: delta, its maximiser, and the certificate: lengths go on until they reach it."""
     chunks = longstring.chunk_table(load_table(spark, sf_dir, "documents", ["doc_id", "text"]), "doc_id")
     from repetix.plans.accuracy import length_bound, sampled_lengths
 
     cd = packed.Packed()
-    sketches = packed.long_string_sketch(chunks, sampled_lengths(128, 1.25), cd)
-    n = load_table(spark, sf_dir, "documents", ["text"]).agg(F.sum(F.length("text")).alias("n"))
-    return sketch.estimate_delta(sketches, cd=cd).crossJoin(F.broadcast(n)).withColumn("bound", length_bound(F.col("n"), F.col("delta")))
+    n = load_table(spark, sf_dir, "documents", ["text"]).agg(F.coalesce(F.sum(F.length("text")), F.lit(0)).cast("bigint").alias("n"))
+    sketches, low, high = None, 0, 128
+    while True:
+        more = packed.long_string_sketch(chunks, [k for k in sampled_lengths(high, 1.25) if k > low], cd)
+        sketches = sketch._written(more if sketches is None else sketches.unionByName(more), "long-string")
+        found = sketch.estimate_delta(sketches, cd=cd).crossJoin(F.broadcast(n)).withColumn("bound", length_bound(F.col("n"), F.col("delta")))
+        if found.where(F.col("bound") > high).where(F.col("n") > high).isEmpty():
+            return found
+        low, high = high, 4 * high
 
 
 def event_stream(spark, sf_dir):

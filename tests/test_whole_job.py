@@ -1,7 +1,10 @@
 """Queries over tables on which a cut would show."""
 
+import random
 from datetime import datetime, timedelta
 
+import pytest
+
 from repetix import workloads
 
 COLUMNS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -27,3 +30,49 @@ def test_a_user_of_many_events_is_counted(spark, tmp_path):
 def test_bands_of_very_long_documents(spark, tmp_path):
     sf = documents(spark, tmp_path, ["x" * 204_999, "x" * 205_000, "x" * 412_345, ""])
     assert {(r["id"], r["low"]) for r in run(spark, "range_blocks", sf)} == {(0, 200_000), (1, 205_000), (2, 410_000), (3, 0)}
+
+
+def brute(texts):
+    best = 0
+    for k in range(1, max(map(len, texts)) + 1):
+        if sum(max(0, len(t) - k + 1) for t in texts) <= best * k:
+            break
+        best = max(best, len({t[i : i + k] for t in texts for i in range(len(t) - k + 1)}) / k)
+    return best
+
+
+def far_texts():
+    """Their maximiser is beyond a hundred symbols."""
+    rng = random.Random(5)
+    return ["".join("a" * 40 + rng.choice("bc") for _ in range(100)) for _ in range(2)]
+
+
+def test_lengths_go_on_until_none_can_win(spark, tmp_path):
+    texts = far_texts()
+    sf, alone = documents(spark, tmp_path, texts), [brute([t]) for t in texts]
+    both = brute(texts)
+    assert min(alone) > 3.5
+    for name in ("hll_delta", "theta_delta", "packed_delta"):
+        assert [r["delta"] for r in sorted(run(spark, name, sf), key=lambda r: r["id"])] == pytest.approx(alone, rel=0.2)
+    for name in ("packed_group_delta", "hll_merge_delta"):
+        assert {r["source"]: r["delta"] for r in run(spark, name, sf)} == pytest.approx({"s0": alone[0], "s1": alone[1]}, rel=0.2)
+    rolled = {(r["lang"], r["source"]): r["delta"] for r in run(spark, "sketch_rollup", sf)}
+    assert rolled == pytest.approx({("en", "s0"): alone[0], ("en", "s1"): alone[1], ("en", None): both, (None, None): both}, rel=0.2)
+    assert run(spark, "long_string_delta", sf)[0]["delta"] > 0.8 * both
+
+
+def test_group_delta_over_all_lengths(spark, tmp_path):
+    rng = random.Random(1)
+    texts = ["".join(rng.choice("ab") for _ in range(600)) for _ in range(4)] + [""]
+    sf = documents(spark, tmp_path, texts)
+    groups = {f"s{j}": brute(texts[j::2]) for j in range(2)}
+    assert {r["source"]: r["delta"] for r in run(spark, "group_delta_all_lengths_by_source", sf)} == pytest.approx(groups)
+    rolled = {(r["lang"], r["source"]): r["delta"] for r in run(spark, "group_delta_all_lengths_rollup", sf)}
+    assert rolled == pytest.approx({("en", s): d for s, d in groups.items()} | {("en", None): brute(texts), (None, None): brute(texts)})
+
+
+@pytest.mark.parametrize("name", ["kmv", "f0", "linear_counting"])
+def test_items_over_all_lengths(spark, sf_dir, name):
+    exact = {r["id"]: r["delta"] for r in run(spark, "exact_delta_items", sf_dir)}
+    near = {r["id"]: r["delta"] for r in run(spark, f"{name}_delta_all_lengths", sf_dir)}
+    assert near == pytest.approx(exact, rel=0.5 if name == "kmv" else 0.3)
