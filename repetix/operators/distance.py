@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
@@ -68,8 +69,16 @@ def all_pairs_exact(df: DataFrame, lengths: Sequence[int]) -> DataFrame:
     return with_distance(pair_delta(df, pair_ids(df), lengths), delta_of_profile(profile))
 
 
-def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), size_bytes: int | None = None) -> DataFrame:
-    """(id_a, id_b, dist) from stored sketches (id, k, cd): unions only, no text.
+def pairs_within(singles: DataFrame, limit: float) -> DataFrame:
+    """(id_a, id_b): all pairs of (id, delta) that may be within `limit`, joined on bands of delta and the next, so no cross join; limit is below 1."""
+    banded = singles.where("delta > 0").withColumn("band", F.floor(F.log("delta") / -math.log(1 - limit)))
+    a = banded.select(F.col("id").alias("id_a"), F.col("delta").alias("da"), "band")
+    b = banded.select(F.col("id").alias("id_b"), F.col("delta").alias("db"), F.explode(F.array(*[F.col("band") + i for i in (-1, 0, 1)])).alias("band"))
+    return a.join(b, "band").where("id_a < id_b").where(may_be_within(F.col("da"), F.col("db"), limit)).select("id_a", "id_b")
+
+
+def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), size_bytes: int | None = None, pairs: DataFrame | None = None) -> DataFrame:
+    """(id_a, id_b, dist) from stored sketches (id, k, cd): unions only, no text. Of `pairs` (id_a, id_b) only, if given.
 
     One side is broadcast if its size is known to be below BROADCAST_BYTES; else both are
     joined on the length by a shuffle.
@@ -79,7 +88,10 @@ def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), size_bytes: int
     a = sketches.select(F.col("id").alias("id_a"), "k", F.col("cd").alias("cd_a"))
     b = sketches.select(F.col("id").alias("id_b"), "k", F.col("cd").alias("cd_b"))
     small = size_bytes is not None and size_bytes <= BROADCAST_BYTES
-    met = a.join(F.broadcast(b) if small else b, "k", "inner").where("id_a < id_b")
+    if pairs is None:
+        met = a.join(F.broadcast(b) if small else b, "k", "inner").where("id_a < id_b")
+    else:
+        met = pairs.join(a, "id_a").join(b, ["id_b", "k"])
     ratios = met.select("id_a", "id_b", (cd.estimate(cd.union(F.col("cd_a"), F.col("cd_b"))) / F.col("k")).alias("ratio"))
     united = ratios.groupBy("id_a", "id_b").agg(F.max("ratio").alias("met"))
     # where only one string has a length, the union is that string's set

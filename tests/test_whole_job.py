@@ -76,3 +76,13 @@ def test_items_over_all_lengths(spark, sf_dir, name):
     exact = {r["id"]: r["delta"] for r in run(spark, "exact_delta_items", sf_dir)}
     near = {r["id"]: r["delta"] for r in run(spark, f"{name}_delta_all_lengths", sf_dir)}
     assert near == pytest.approx(exact, rel=0.5 if name == "kmv" else 0.3)
+
+
+def test_overlap_and_near_copies_of_documents(spark, tmp_path):
+    rng = random.Random(2)
+    words = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(n))
+    item, text = words(20), words(300)
+    sf = documents(spark, tmp_path, [text, words(300) + item, text[:1000] + "x" + text[1000:], words(40), words(300)])
+    spark.createDataFrame([(1, item), (2, words(20))], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    assert {(r["id"], r["d"] == r["shared"], r["shared"] > 0) for r in run(spark, "benchmark_overlap_documents", sf)} == {(1, True, True), (2, False, False)}
+    assert [(r["id_a"], r["id_b"]) for r in run(spark, "near_documents_by_sketch", sf)] == [(0, 2)]
