@@ -33,11 +33,27 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+def passing(spark: SparkSession, path: str) -> str:
+    """`path`, which exists, goes when the application ends."""
+    jvm = spark.sparkContext._jvm
+    place = jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
+    return path
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write `df` to the shared folder and read it back: lineage ends there, and lost executors lose nothing."""
+    """Write `df` to the shared folder and read it back: lineage ends there, and lost executors lose nothing. The files go when the application ends."""
     path = fresh_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(passing(df.sparkSession, path))
+
+
+def drop_table(spark: SparkSession, table: str, path: str | None = None) -> None:
+    """Drop a table from the catalog and, if `path` is given, its files."""
+    spark.sql(f"DROP TABLE IF EXISTS {table}")
+    if path:
+        place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
 
 
 def ascii_lower(text: str | Column) -> Column:

@@ -46,11 +46,54 @@ def test_index_persists_over_batches(spark, odd):
     assert deduplicate(odd, index).where("kept").count() == 7
     assert deduplicate(odd, index).where("kept").count() == 0
     index.drop()
-    again = DigestIndex(spark, path=index.path, buckets=3)
+    again = DigestIndex(spark, path=index.path)
+    assert again.buckets == 3
     new = spark.createDataFrame([(100, "AB C"), (101, "new")], "doc_id bigint, text string")
     got = {r["doc_id"]: (r["kept"], r["keep_id"]) for r in deduplicate(new, again).collect()}
     assert got == {100: (False, 2), 101: (True, 101)}
     assert again.entries().count() == 8
+    with pytest.raises(ValueError):
+        DigestIndex(spark, path=index.path, buckets=4)
+
+
+@pytest.mark.parametrize("later", [4, 16])
+def test_an_index_is_reopened_with_other_shuffle_partitions(spark, later):
+    texts = spark.range(200).select(F.col("id").alias("doc_id"), F.concat(F.lit("t"), "id").alias("text"))
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        spark.conf.set("spark.sql.shuffle.partitions", "8")
+        index = DigestIndex(spark)
+        assert deduplicate(texts, index).where("kept").count() == 200
+        spark.conf.set("spark.sql.shuffle.partitions", str(later))
+        got = deduplicate(texts, DigestIndex(spark, path=index.path))
+        assert got.count() == 200 and got.where("kept").count() == 0
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def test_a_batch_is_appended_once(spark, odd):
+    index = DigestIndex(spark, buckets=2)
+    first = deduplicate(odd, index, batch="monday")
+    expected = sorted(map(str, first.collect()))
+    assert sorted(map(str, deduplicate(odd, index, batch="monday").collect())) == expected
+    assert index.entries().count() == 7
+    # entries of an append that failed before it was finished
+    spark.sql(f"INSERT INTO {index.table} VALUES (unhex('00'), 1, 1, 'half'), (unhex('01'), 2, 1, 'half')")
+    assert index.entries().count() == 7
+    new = spark.createDataFrame([(1, "n")], "doc_id bigint, text string")
+    assert deduplicate(new, index, batch="tuesday").where("kept").count() == 1
+
+
+def test_a_small_batch_on_a_skewed_index(spark):
+    """Entries of large groups of an earlier batch are no broadcast of a later one, and a digest that is hot only now is."""
+    index = DigestIndex(spark, buckets=2)
+    old = spark.range(6000).select(F.col("id").alias("doc_id"), F.concat(F.lit("t"), F.col("id") % 3).alias("text"))
+    assert deduplicate(old, index).where("kept").count() == 3
+    new = spark.range(3000).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 2500, "hot now").when(F.col("id") < 2600, "t1").otherwise(F.concat(F.lit("u"), "id")).alias("text"))
+    got = deduplicate(new, index)
+    assert got.count() == 3000 and got.where("kept").count() == 401
+    assert {tuple(r) for r in got.where("kept AND doc_id < 2600").select("doc_id", "group_size").collect()} == {(2499, 2500)}
+    assert {r["group_size"] for r in got.where("doc_id >= 2500 AND doc_id < 2600").collect()} == {2000}
 
 
 def test_anti_join_is_sort_merge_on_buckets(spark, odd):
