@@ -2,6 +2,7 @@ import hashlib
 import math
 import random
 import re
+import time
 from collections import Counter
 
 import duckdb
@@ -46,6 +47,31 @@ def test_bpe_equals_the_library(spark, odd, texts):
     assert rank_array_bpe.digests(odd.where("false"), path).count() == 0
 
 
+def test_bpe_of_every_code_point():
+    """Alone between ASCII and among combining marks, where classes and canonical order show."""
+    from tokenizers import Tokenizer
+
+    path = rank_array_bpe.default_tokenizer()
+    library, bpe = Tokenizer.from_file(path), rank_array_bpe.RankArrayBpe(path)
+    points = [c for c in range(0x110000) if not 0xD800 <= c <= 0xDFFF]
+    for at in range(0, len(points), 4000):
+        text = "".join(f"a{chr(c)}b 1{chr(c)}2 a\u0345{chr(c)}\u0316 " for c in points[at : at + 4000])
+        assert bpe.encode(text) == library.encode(text, add_special_tokens=False).ids, hex(points[at])
+
+
+def test_bpe_of_long_words():
+    from tokenizers import Tokenizer
+
+    path = rank_array_bpe.default_tokenizer()
+    library, bpe = Tokenizer.from_file(path), rank_array_bpe.RankArrayBpe(path)
+    rng = random.Random(2)
+    words = ["".join(rng.choice(letters) for _ in range(n)) for n in (127, 128, 129, 200, 3000, 200_000) for letters in ("ab", "etaoinshrdlucm", "a\u00e9\u4e2d")]
+    for word in [*words, "a" * 5000, "the" * 700, "na" * 64]:
+        start = time.monotonic()
+        assert bpe.encode(word) == library.encode(word, add_special_tokens=False).ids
+        assert time.monotonic() - start < 10
+
+
 def greedy(word, heads, tails):
     at, n = 0, 0
     while at < len(word):
