@@ -25,6 +25,8 @@ PATHS, WORDS, PATH_DIM, WORD_DIM, MEASURES, HIDDEN = 2048, 512, 16, 6, 10, 20
 INPUT = PATH_DIM + WORD_DIM + MEASURES
 PAGES_AT_ONCE = 64
 REMEMBERED = 100_000
+#: Longer words are hashed anew each time, so that what is remembered has a bound in bytes.
+REMEMBERED_LENGTH = 256
 
 Encoded = tuple[list[np.ndarray], list[np.ndarray], np.ndarray]
 
@@ -39,9 +41,11 @@ class Encoder:
     def slot(self, word: str) -> int:
         found = self.slots.get(word)
         if found is None:
-            if len(self.slots) > REMEMBERED:
-                self.slots.clear()
-            found = self.slots[word] = zlib.crc32(word[:64].lower().encode("utf-8", "surrogatepass")) % WORDS
+            found = zlib.crc32(word.lower().encode("utf-8", "surrogatepass")) % WORDS
+            if len(word) <= REMEMBERED_LENGTH:
+                if len(self.slots) > REMEMBERED:
+                    self.slots.clear()
+                self.slots[word] = found
         return found
 
     def path(self, path: tuple[str, ...]) -> np.ndarray:
@@ -205,7 +209,7 @@ class BlockLabeller:
         return out
 
 
-def trained(pages: int = 600, seed: int = 11) -> BlockLabeller:
+def trained(pages: int = 900, seed: int = 11) -> BlockLabeller:
     maker, encoder = PageMaker(seed), Encoder()
     made = [b for b in (blocks_of(maker.page()) for _ in range(pages)) if b]
     return BlockLabeller().train([encoder.page(b) for b in made], [np.array([x.label for x in b], np.float32) for b in made])

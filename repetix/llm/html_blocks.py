@@ -15,13 +15,24 @@ BLOCK_TAGS = frozenset(
     "summary table tbody td tfoot th thead title tr ul".split()
 )
 VOID_TAGS = frozenset("area base basefont bgsound br col embed frame hr img input keygen link meta param source track wbr".split())
-HIDDEN_TAGS = frozenset("script style noscript template svg math iframe object canvas audio video noframes noembed head title".split())
+HIDDEN_TAGS = frozenset("script style template svg iframe object canvas audio video noframes noembed head title".split())
 CLOSES_P = BLOCK_TAGS - frozenset("body button caption dd dt head html label legend li optgroup option select tbody td tfoot th thead title tr".split())
+# Elements that may stand in a head; elements whose content is no markup; those of a drawing that hold text or markup again.
+HEAD_TAGS = frozenset("base basefont bgsound head html link meta noframes noscript script style template title".split())
+RAW_TAGS = ("script", "style", "textarea", "title", "iframe", "noembed", "noframes")
+DRAWING_TEXT = frozenset("foreignobject desc title".split())
+INLINE_HTML = frozenset("b big br code em embed i img s small span strike strong sub sup tt u var".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[/!?]?[a-zA-Z\[](?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*(?:>|\Z)|<\?[^>]*>?|[^<]+|<", re.S)
-_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
-_MARKS = re.compile(r"\b(class|id|role|data-y)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-_RAW = {t: re.compile(rf"</{t}\b[^>]*(?:>|\Z)", re.I) for t in ("script", "style", "textarea", "title", "noscript", "iframe", "noembed", "noframes")}
+# A tag is its name and attributes. A quote opens a value only straight after the equals sign; elsewhere it is a letter like others.
+_BLANK = r"[ \t\n\f\r]"
+_VALUE = rf"{_BLANK}*+=({_BLANK}*+)(?:\"([^\"]*+)(?:\"|\Z)|'([^']*+)(?:'|\Z)|([^ \t\n\f\r>\"'][^ \t\n\f\r>]*+))?+"
+_ATTRIBUTE = rf"(=?+[^ \t\n\f\r/>=]++|=)(?:{_VALUE})?+"
+_TAG = rf"</?[a-zA-Z][^ \t\n\f\r/>]*+(?:[ \t\n\f\r/]++|{re.sub(r'(?<!\\)[(](?![?])', '(?:', _ATTRIBUTE)})*+(?:>|\Z)"
+_TOKEN = re.compile(rf"<!--(?:-?>|.*?(?:--!?>|\Z))|{_TAG}|<[!?/][^>]*+(?:>|\Z)|[^<]++|<", re.S)
+_NAME = re.compile(r"<(/?)([a-zA-Z][^ \t\n\f\r/>]*)")
+_MARKS = re.compile(_ATTRIBUTE, re.S)
+_MARKED = re.compile("class|id|role|data-y", re.I)
+_RAW = {t: re.compile(rf"</{t}(?=[ \t\n\f\r/>]|\Z)[^>]*(?:>|\Z)", re.I) for t in RAW_TAGS}
 _PART = re.compile(r"[a-z]+")
 
 
@@ -34,18 +45,29 @@ class Block:
     elements: list[str] = field(default_factory=list)
 
 
+def marks_of(tag: str, at: int) -> dict[str, str]:
+    """class, id, role and data-y of a tag, from place `at` on; of an attribute given twice the first counts."""
+    found: dict[str, str] = {}
+    if _MARKED.search(tag, at):
+        for m in _MARKS.finditer(tag, at, len(tag) - 1):
+            name = m[1].lower()
+            if name in ("class", "id", "role", "data-y") and m[2] is not None:
+                found.setdefault(name, html.unescape(m[3] or m[4] or m[5] or "").lower())
+    return found
+
+
 def blocks_of(page: str | None) -> list[Block]:
     """The page's runs of text between block tags, white space as single blanks; nothing of scripts, styles or the head."""
     page = page or ""
     stack: list[tuple[str, tuple[str, ...], str]] = []
     found: list[Block] = []
     texts: list[str] = []
-    linked = hidden = anchors = 0
+    linked = hidden = anchors = drawings = 0
 
     def flush() -> None:
         nonlocal linked
         if texts:
-            text = " ".join(html.unescape("".join(texts)).split())
+            text = " ".join("".join(texts).split())
             if text:
                 label = next((y for _, _, y in reversed(stack) if y), "0")
                 path = tuple(e for _, elements, _ in stack for e in elements)
@@ -54,11 +76,23 @@ def blocks_of(page: str | None) -> list[Block]:
         linked = 0
 
     def pop(to: int) -> None:
-        nonlocal hidden, anchors
+        nonlocal hidden, anchors, drawings
         while len(stack) > to:
             tag = stack.pop()[0]
             hidden -= tag in HIDDEN_TAGS
             anchors -= tag == "a"
+            drawings -= tag in ("svg", "math")
+
+    def out_of(tag: str) -> None:
+        """End the drawings that an HTML element can't stand in, and the head where it can't."""
+        for i in range(len(stack) - 1, -1, -1):
+            if stack[i][0] in DRAWING_TEXT:
+                break
+            if stack[i][0] in ("svg", "math"):
+                pop(i)
+                break
+        if stack and stack[-1][0] == "head" and tag not in HEAD_TAGS:
+            pop(len(stack) - 1)
 
     at, size = 0, len(page)
     while at < size:
@@ -66,8 +100,10 @@ def blocks_of(page: str | None) -> list[Block]:
         at = m.end()
         token = m[0]
         if token[0] != "<" or token == "<":
+            if hidden and stack[-1][0] == "head" and not token.isspace():
+                pop(len(stack) - 1)
             if not hidden:
-                texts.append(token)
+                texts.append(html.unescape(token) if "&" in token else token)
                 if anchors:
                     linked += len(token)
             continue
@@ -85,6 +121,8 @@ def blocks_of(page: str | None) -> list[Block]:
                 if stack[i][0] in BLOCK_TAGS and tag not in BLOCK_TAGS:
                     break
             continue
+        if drawings and (tag in BLOCK_TAGS or tag in INLINE_HTML) or stack and stack[-1][0] == "head":
+            out_of(tag)
         if tag in BLOCK_TAGS:
             flush()
             if tag in CLOSES_P or tag in ("li", "dd", "dt", "td", "th", "tr", "option"):
@@ -99,17 +137,18 @@ def blocks_of(page: str | None) -> list[Block]:
                 pop(next((i for i, e in enumerate(stack) if e[0] == "head"), len(stack)))
         elif tag == "br":
             texts.append(" ")
-        if tag in VOID_TAGS or token.endswith("/>") and tag not in BLOCK_TAGS:
+        if tag in VOID_TAGS or token.endswith("/>") and (drawings or tag in ("svg", "math")):
             continue
-        marks = {a.lower(): (x or y or z).lower() for a, x, y, z in _MARKS.findall(token)} if len(token) > len(tag) + 2 else {}
-        elements = (tag, *(f"{k}:{part}" for k in ("class", "id", "role") if k in marks for part in _PART.findall(marks[k])))
-        if tag in _RAW:
+        if tag in ("script", "style") or tag in _RAW and not drawings:
             end = _RAW[tag].search(page, at)
             at = end.end() if end else size
             continue
+        marks = marks_of(token, name.end()) if len(token) > len(tag) + 2 else {}
+        elements = (tag, *(f"{k}:{part}" for k in ("class", "id", "role") if k in marks for part in _PART.findall(marks[k])))
         stack.append((tag, elements, marks.get("data-y", "")))
         hidden += tag in HIDDEN_TAGS
         anchors += tag == "a"
+        drawings += tag in ("svg", "math")
     flush()
     return found
 
@@ -162,7 +201,10 @@ class PageMaker:
         inner = self.said(low, high)
         if self.chance(0.2):
             inner = f"<b>{inner}<br>" if self.chance(0.5) else f'{inner} <a href="/x">{self.said(1, 3)}</a> {self.said(3, 20)}'
-        return f"<p>{inner}" + "</p>" * self.chance(0.9)
+        if self.chance(0.02):
+            inner = f"{inner} <math><mi>{self.said(1, 1)}</mi><mo>=</mo><mn>2</mn></math> {self.said(1, 5)}"
+        said = f"<p>{inner}" + "</p>" * self.chance(0.9)
+        return f"<noscript>{said}</noscript>" if self.chance(0.01) else said
 
     def around(self, kind: str) -> str:
         name = self.pick(AROUND[kind])
@@ -187,7 +229,8 @@ class PageMaker:
             inner = f'<a href="/">{self.said(1, 3)}</a>' + (f"<p>{self.said(2, 8)}</p>" if self.chance(0.5) else "")
         else:
             inner = (f"<h4>{self.said(1, 3)}</h4>" if self.chance(0.6) else "") + (self.links(4) if self.chance(0.6) else f"<p>{self.said(3, 30)}</p>")
-        return f'<{tag}{mark} data-y="0">{inner}</{tag}>'
+        whole = f'<{tag}{mark} data-y="0">{inner}</{tag}>'
+        return f"<noscript>{whole}</noscript>" if kind == "notice" and self.chance(0.3) else whole
 
     def article(self) -> str:
         rng, parts = self.rng, []
