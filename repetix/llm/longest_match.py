@@ -9,6 +9,7 @@ are never built.
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -17,7 +18,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import checked
 
+#: Words, and bytes of words, that a worker remembers; beyond either the memory starts anew, which changes no result.
 REMEMBERED = 200_000
+REMEMBERED_BYTES = 128 << 20
 
 
 class LongestMatchCounter:
@@ -83,28 +86,40 @@ def sentencepiece_vocabulary(path: str) -> tuple[list[str], list[str]]:
     return [p[1:] for p in pieces if p[0] == mark and len(p) > 1], [p for p in pieces if p[0] != mark]
 
 
+@functools.lru_cache(maxsize=1)
+def word_coder(vocabulary: str):
+    """words -> tokens of each, -1 for an unknown one; words are remembered, for all tasks of a worker."""
+    counter = LongestMatchCounter(*sentencepiece_vocabulary(vocabulary))
+    known: dict[str, int] = {}
+    held = 0
+
+    def coded(words: list[str]) -> list[int]:
+        nonlocal held
+        try:
+            return [known[w] for w in words]
+        except KeyError:
+            if len(known) > REMEMBERED or held > REMEMBERED_BYTES:
+                known.clear()
+                held = 0
+            for w in set(words).difference(known):
+                n, fits = counter.count(w)
+                known[w] = n if fits else -1
+                held += 4 * len(w)
+            return [known[w] for w in words]
+
+    return coded
+
+
 def count_tokens(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, n_tokens, n_unknown (words counted as one unknown token): one row for each row.
 
-    Words are what white space separates. Null and empty texts have none; texts of any length
-    are read whole. `vocabulary` is the path of the file, readable on every executor.
+    Words are what white space separates. Null and empty texts have none, null ids and rows
+    repeated whole stay as they are; texts and words of any length are read whole. An empty
+    table gives no rows. `vocabulary` is the path of the file, readable on every executor.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = LongestMatchCounter(*sentencepiece_vocabulary(vocabulary))
-        known: dict[str, int] = {}
-
-        def coded(words: list[str]) -> list[int]:
-            try:
-                return [known[w] for w in words]
-            except KeyError:
-                if len(known) > REMEMBERED:
-                    known.clear()
-                for w in set(words).difference(known):
-                    n, fits = counter.count(w)
-                    known[w] = n if fits else -1
-                return [known[w] for w in words]
-
+        coded = word_coder(vocabulary)
         for batch in batches:
             rows = []
             for text in batch.column(text_col):
