@@ -10,9 +10,11 @@ public tokenizer file.
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import heapq
 import json
+import re
 import unicodedata
 from collections.abc import Callable, Iterator
 
@@ -23,8 +25,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import checked
 
-#: Words remembered by a task; beyond it the memory starts anew, which changes no result.
-REMEMBERED = 200_000
+#: Words remembered by a worker; beyond it the memory starts anew, which changes no result.
+REMEMBERED = 300_000
 #: The same for the bytes of the words and of what is remembered of them.
 REMEMBERED_BYTES = 128 << 20
 #: Words of more bytes have their rank array in blocks.
@@ -68,6 +70,13 @@ def split_pattern(late: bool) -> regex.Pattern:
     return regex.compile(SPLIT.format(letter=letter, number=number, other=other), regex.V1)
 
 
+def latin_pattern() -> re.Pattern:
+    """The split pattern for text of small letters below U+0100, where a plain class of each kind will do."""
+    of = {kind: "".join(chr(c) for c in range(256) if unicodedata.category(chr(c))[0] == kind and not chr(c).isupper()) for kind in "LN"}
+    space = "\t\n\v\f\r \x85\xa0"
+    return re.compile(SPLIT.format(letter=of["L"], number=of["N"], other="^" + space + of["L"] + of["N"]))
+
+
 def byte_letters() -> list[str]:
     """The printable letter that stands for each byte in byte-level vocabularies."""
     shown = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
@@ -77,6 +86,15 @@ def byte_letters() -> list[str]:
     return [letters[b] for b in range(256)]
 
 
+def beyond_latin(text: str) -> bool:
+    """Whether there are characters that one byte can't hold; a quick test, as all late ones are."""
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return True
+    return False
+
+
 class RankArrayBpe:
     """Encoder of a `tokenizers` JSON file of the kind BPE with a word-end suffix and no decoder."""
 
@@ -93,10 +111,10 @@ class RankArrayBpe:
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.special_split = regex.compile("(" + "|".join(regex.escape(t) for t in sorted(self.special, key=len, reverse=True)) + ")")
         self.tokens = {i: t for t, i in [*self.ids.items(), *self.special.items()]}
-        self.words, self.late_words = split_pattern(False), split_pattern(True)
-        self.space = regex.compile(f"[{SPACE}]+")
+        self.words, self.late_words, self.latin_words = split_pattern(False), split_pattern(True), latin_pattern()
         self.late = regex.compile(f"[{LATE_LETTERS}{LATE_NUMBERS}]")
         self.late_marks = regex.compile(f"([{LATE_MARKS}])")
+        self.late_case = regex.compile("[" + "".join(f"{chr(first)}-{chr(last)}" for first, last, _ in LATE_LOWER) + "]")
         self.late_lower = {c: chr(c + by) for first, last, by in LATE_LOWER for c in range(first, last + 1)}
 
     def pieces(self, word: str) -> list[str]:
@@ -171,12 +189,17 @@ class RankArrayBpe:
             changed(b)
         return [p for part in parts for p in part]
 
-    def normalise(self, text: str) -> str:
-        if not text.isascii():
-            apart = self.late_marks.split(text)
-            text = unicodedata.normalize("NFC", text) if len(apart) == 1 else "".join(unicodedata.normalize("NFC", t) for t in apart)
-            text = text.replace("\u03a3", "\u03c3").translate(self.late_lower)  # no final sigma by context
-        return self.space.sub(" ", text).lower()
+    def split(self, text: str) -> list[str]:
+        """The words of a text without special tokens. White space only parts words, so runs of it needn't be made one blank first."""
+        if not beyond_latin(text):  # such text is its own normal form
+            return self.latin_words.findall(text.lower())
+        apart = self.late_marks.split(text)
+        text = unicodedata.normalize("NFC", text) if len(apart) == 1 else "".join(unicodedata.normalize("NFC", t) for t in apart)
+        text = text.replace("\u03a3", "\u03c3")  # no final sigma by context
+        if self.late_case.search(text):
+            text = text.translate(self.late_lower)
+        text = text.lower()
+        return (self.late_words if self.late.search(text) else self.words).findall(text)
 
     def parts(self, text: str) -> Iterator[tuple[bool, list[str]]]:
         """Runs of words (False) and special tokens (True), in order."""
@@ -184,9 +207,7 @@ class RankArrayBpe:
             if n % 2:
                 yield True, [run]
             elif run:
-                said = self.normalise(run)
-                late = not said.isascii() and self.late.search(said)
-                yield False, (self.late_words if late else self.words).findall(said)
+                yield False, self.split(run)
 
     def word_ids(self, word: str) -> list[int]:
         return [self.ids[p] for p in self.pieces(word) if p in self.ids]
@@ -203,8 +224,9 @@ class RankArrayBpe:
         return " ".join(self.tokens[i] for i in ids if i in self.tokens)
 
 
+@functools.lru_cache(maxsize=1)
 def encoder(path: str) -> Callable[[str], tuple[bytes, bytes]]:
-    """text -> (ids as little-endian unsigned 32-bit integers, decoded text in UTF-8), with words remembered."""
+    """text -> (ids as little-endian unsigned 32-bit integers, decoded text in UTF-8), with words remembered; one for all tasks of a worker."""
     bpe = RankArrayBpe(path)
     ids_of: dict[str, bytes] = {}
     text_of: dict[str, bytes] = {}

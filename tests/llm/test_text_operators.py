@@ -96,8 +96,16 @@ def test_longest_match_equals_greedy(spark, odd, texts):
     counter = longest_match.LongestMatchCounter(heads, tails)
     for word in {w for t in texts[:60] for w in t.split()}:
         assert counter.count(word) == greedy(word, heads, tails), word
-    rows = longest_match.count_tokens(odd, longest_match.default_vocabulary()).collect()
-    assert len(rows) == len(ODD) and rows[6]["n_words"] == 5000
+    long_words = ["a" * 50_000, "qx" * 40_000 + "\u4e2d", "zz " * 9]
+    more = spark.createDataFrame([(100 + i, t, "x", "x", "x") for i, t in enumerate([*texts[60:90], *long_words, None])], odd.schema)
+    both = odd.unionByName(more)
+    rows = longest_match.count_tokens(both, longest_match.default_vocabulary()).collect()
+    expected = []
+    for doc_id, text in both.select("doc_id", "text").collect():
+        found = [greedy(w, heads, tails) for w in (text or "").split()]
+        expected.append((doc_id, len(found), sum(n for n, _ in found), sum(not known for _, known in found)))
+    assert sorted(map(tuple, rows), key=repr) == sorted(expected, key=repr)
+    assert longest_match.count_tokens(odd.where("false"), longest_match.default_vocabulary()).count() == 0
 
 
 def windows_hit(text, items, window=13):
