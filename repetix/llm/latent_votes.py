@@ -163,6 +163,7 @@ def fit_votes(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col:
     """Fit on at most `sample` labelled texts whose crc32(id) mod 3 is not 1: those of least xxhash64(id).
 
     Rows of one id with different labels count as the lower; null labels and ids are left out.
+    An id with several texts counts once, and its rows are made one before anything is collected.
     """
     usable = checked(labels, id_col, label_col).where(F.col(id_col).isNotNull() & F.col(label_col).isNotNull() & (fold_of(id_col, 3) != 1))
     chosen = usable.groupBy(id_col).agg(F.min(label_col).cast("int").alias("label")).orderBy(F.xxhash64(id_col), id_col).limit(sample)
@@ -178,9 +179,10 @@ def fit_votes(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col:
 
     labelled = checked(docs, id_col, text_col).join(F.broadcast(chosen), id_col)
     kept = labelled.select(id_col, "label", text_col)
-    found = kept.mapInArrow(run, f"`{id_col}` {dict(kept.dtypes)[id_col]}, label int, slots binary, weights binary").collect()
-    once = {r[0]: r for r in sorted(found, key=lambda r: (r[0], r[2]))}  # a repeated id counts once
-    return LatentVotes.fit([(np.frombuffer(r[2], np.int32), np.frombuffer(r[3], np.float32), r[1]) for r in once.values()])
+    counted = kept.mapInArrow(run, f"`{id_col}` {dict(kept.dtypes)[id_col]}, label int, slots binary, weights binary")
+    once = counted.groupBy(id_col).agg(F.max(F.struct("slots", "weights", "label")).alias("of"))  # a repeated id counts once; `sample` rows at most
+    found = once.select(id_col, "of.*").orderBy(id_col).collect()
+    return LatentVotes.fit([(np.frombuffer(r["slots"], np.int32), np.frombuffer(r["weights"], np.float32), r["label"]) for r in found])
 
 
 def score_documents(docs: DataFrame, model: LatentVotes, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:

@@ -1,5 +1,8 @@
+import zlib
+
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from repetix.llm import latent_votes, registry, simhash_trie, snapshot_chat, suffix_decontam
@@ -36,6 +39,16 @@ def test_quality_edges(spark):
     assert latent_votes.score_documents(docs.where("false"), model).count() == 0
 
 
+def test_a_repeated_labelled_id_is_collected_once(spark, monkeypatch):
+    docs = spark.range(3000).select(F.when(F.col("id") < 2990, 0).otherwise(F.col("id")).alias("doc_id"), F.concat(F.lit("text number "), F.col("id") % 3).alias("text"))
+    labels = docs.select("doc_id", (F.col("doc_id") % 2).alias("quality")).distinct()
+    seen = []
+    monkeypatch.setattr(latent_votes.LatentVotes, "fit", lambda rows: seen.append(rows) or "model")
+    assert latent_votes.fit_votes(docs, labels) == "model"
+    learnt = [i for i in [0, *range(2990, 3000)] if zlib.crc32(str(i).encode()) % 3 != 1]
+    assert len(seen[0]) == len(learnt) and sorted(r[2] for r in seen[0]) == sorted(i % 2 for i in learnt)
+
+
 def test_a_long_word_is_read_whole():
     count = latent_votes.term_counter()
     terms = lambda text: dict(zip(*(a.tolist() for a in count(text)), strict=True))
