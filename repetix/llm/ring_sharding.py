@@ -18,6 +18,10 @@ from .common import checked, materialise
 
 CELL_BITS = 12
 POS_BITS = 62
+#: Keys that one window ranks, about; arcs of more are ranked in several. Windows are fewer than keys / WINDOW_ROWS + arcs.
+WINDOW_ROWS = 500_000
+#: Copies of a repeated row that are written out at a time.
+CHUNK = 10_000
 
 
 def _position(*what) -> F.Column:
@@ -81,12 +85,17 @@ def capacities(rows: int, shards: int, slack: float | None) -> dict[int, int]:
     return dict.fromkeys(range(shards), most)
 
 
-def assign_shards(docs: DataFrame, shards: int, vnodes: int = 128, slack: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def assign_shards(
+    docs: DataFrame, shards: int, vnodes: int = 128, slack: float | None = None, id_col: str = "doc_id", text_col: str = "text", window_rows: int = WINDOW_ROWS, chunk: int = CHUNK
+) -> DataFrame:
     """One row for each row: doc_id, size, text_crc32, shard, slot (gapless from 0 in each shard).
 
     The key is the id; a null id is a key like any other, a null text has size 16 and the crc of
-    no bytes. Rows alike in id, size and crc are counted before they are dealt, so a repeated row
-    is no hot key. No shard takes more than its capacity. An empty table gives no rows.
+    no bytes. Rows alike in id, size and crc are counted before they are dealt. All rows of one
+    id start on one arc, whatever their texts, and go on clockwise from its shard when that is
+    full, in the order of a hash of id, size and crc; an arc of many rows is ranked in ranges of
+    that hash, and a row repeated very often is written out in chunks, so that neither is one
+    task's work. No shard takes more than its capacity. An empty table gives no rows.
     """
     spark = docs.sparkSession
     text = F.coalesce(F.col(text_col), F.lit("")).cast("binary")
@@ -96,26 +105,34 @@ def assign_shards(docs: DataFrame, shards: int, vnodes: int = 128, slack: float
         .groupBy("doc_id", "size", "text_crc32")
         .agg(F.count("*").alias("alike"))
         .withColumn("at", _position(F.lit("key"), "doc_id"))
+        .withColumn("turn", _position(F.lit("turn"), "doc_id", "size", "text_crc32"))
     )
     arcs = ring_arcs(spark, shards, vnodes)
     shift = POS_BITS - CELL_BITS
     cells = arcs.withColumn("cell", F.explode(F.sequence(F.shiftright("lo", shift), F.shiftright(F.greatest(F.col("hi") - 1, F.col("lo")), shift))))
     keys = keys.withColumn("cell", F.shiftright("at", shift))
     on_arc = (keys["cell"] == cells["cell"]) & (keys["at"] >= cells["lo"]) & (keys["at"] < cells["hi"])
-    keys = materialise(keys.join(F.broadcast(cells), on_arc).select("arc", "at", "doc_id", "size", "text_crc32", "alike"), "ring-keys")
+    keys = materialise(keys.join(F.broadcast(cells), on_arc).select("arc", "turn", "doc_id", "size", "text_crc32", "alike"), "ring-keys")
 
-    counts = {r["arc"]: r["n"] for r in keys.groupBy("arc").agg(F.sum("alike").alias("n")).collect()}  # shards * vnodes + 1 rows at most
-    ring = [(r["arc"], r["shard"], counts.get(r["arc"], 0)) for r in arcs.select("arc", "shard").orderBy("arc").collect()]
+    counts = {r["arc"]: (r["n"], r["keys"]) for r in keys.groupBy("arc").agg(F.sum("alike").alias("n"), F.count("*").alias("keys")).collect()}  # shards * vnodes + 1 rows at most
+    ring = [(r["arc"], r["shard"], counts.get(r["arc"], (0, 0))[0]) for r in arcs.select("arc", "shard").orderBy("arc").collect()]
     segments = spark.createDataFrame(
-        plan_segments(ring, capacities(sum(counts.values()), shards, slack)), "arc int, from_rank long, to_rank long, shard int, first_slot long"
-    )
-    along = Window.partitionBy("arc").orderBy("at", "doc_id", "size", "text_crc32")
-    ranked = (
-        keys.withColumn("before", F.sum("alike").over(along.rowsBetween(Window.unboundedPreceding, 0)) - F.col("alike"))
-        .withColumn("nth", F.explode(F.sequence(F.lit(0).cast("long"), F.col("alike") - 1)))
-        .withColumn("rank", F.col("before") + F.col("nth"))
-        .drop("before", "nth", "alike", "at")
+        plan_segments(ring, capacities(sum(n for n, _ in counts.values()), shards, slack)), "arc int, from_rank long, to_rank long, shard int, first_slot long"
     )
+    # arcs of many keys in ranges of the hash, each with the rows before it
+    pieces = F.broadcast(spark.createDataFrame([(arc, -(-n // window_rows)) for arc, (_, n) in counts.items()], "arc int, pieces int"))
+    pieced = keys.join(pieces, "arc").withColumn("piece", F.floor(F.col("turn") / float(1 << POS_BITS) * F.col("pieces"))).drop("pieces")
+    earlier = Window.partitionBy("arc").orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
+    starts = pieced.groupBy("arc", "piece").agg(F.sum("alike").alias("n")).select("arc", "piece", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start"))
+    along = Window.partitionBy("arc", "piece").orderBy("turn", "doc_id", "size", "text_crc32").rowsBetween(Window.unboundedPreceding, 0)
+    placed = pieced.withColumn("upto", F.sum("alike").over(along)).join(F.broadcast(starts), ["arc", "piece"])  # one row for each window
+    first = placed.select("arc", "doc_id", "size", "text_crc32", "alike", (F.col("start") + F.col("upto") - F.col("alike")).alias("rank"))
+
+    nth = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), n.cast("long") - 1))
+    few = first.where(F.col("alike") <= chunk)
+    many = first.where(F.col("alike") > chunk).withColumn("chunk", nth(F.ceil(F.col("alike") / chunk))).repartition("doc_id", "size", "text_crc32", "chunk")
+    many = many.withColumn("rank", F.col("rank") + F.col("chunk") * chunk).withColumn("alike", F.least(F.lit(chunk), F.col("alike") - F.col("chunk") * chunk)).drop("chunk")
+    ranked = few.unionByName(many).withColumn("nth", nth(F.col("alike"))).withColumn("rank", F.col("rank") + F.col("nth"))
     inside = (ranked["arc"] == segments["arc"]) & (ranked["rank"] >= segments["from_rank"]) & (ranked["rank"] < segments["to_rank"])
     return ranked.join(F.broadcast(segments), inside).select(
         "doc_id", "size", "text_crc32", "shard", (F.col("first_slot") + F.col("rank") - F.col("from_rank")).alias("slot")

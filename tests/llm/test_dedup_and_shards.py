@@ -8,6 +8,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
+from repetix.llm import ring_sharding
 from repetix.llm.exact_dedup import DigestIndex, deduplicate
 from repetix.llm.ring_sharding import assign_shards, capacities, plan_segments
 from repetix.llm.simhash_trie import fingerprint, near_duplicates, trie_links
@@ -132,6 +133,44 @@ def test_a_repeated_row_is_no_hot_key(spark):
     assert {r["shard"]: r["count"] for r in got.groupBy("shard").count().collect()} == dict.fromkeys(range(6), 500)
 
 
+@pytest.mark.parametrize("slack", [None, 0.1])
+def test_shards_equal_a_walk_key_by_key(spark, slack):
+    """Every key is put on the ring by itself: home shards first, then clockwise to the first shard with room."""
+    shards, vnodes = 5, 6
+    rows = [(i % 50, f"text {i % 70}") for i in range(400)] + [(7, f"hot {i}") for i in range(200)] + [(None, "t")] * 30 + [(8, "same")] * 90
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    position = lambda *what: ring_sharding._position(*what)
+    points = spark.range(shards * vnodes).select(F.col("id") % shards, position(F.lit("ring point"), F.col("id") % shards, F.floor(F.col("id") / shards))).collect()
+    points = sorted((at, shard) for shard, at in points)
+    size, crc = (F.octet_length("text").cast("long") + 16).alias("size"), F.crc32(F.col("text").cast("binary")).alias("crc")
+    keyed = docs.select("doc_id", size, crc).select("doc_id", "size", "crc", position(F.lit("key"), "doc_id").alias("at"), position(F.lit("turn"), "doc_id", "size", "crc").alias("turn"))
+    on_arc = defaultdict(list)
+    for r in keyed.collect():
+        on_arc[next((i for i, (at, _) in enumerate(points) if at >= r["at"]), len(points))].append((r["turn"], r["doc_id"], r["size"], r["crc"]))
+    free = capacities(len(rows), shards, slack)
+    ring = [*(s for _, s in points), points[0][1]]
+    landed, waiting, over = defaultdict(list), [], {}
+    for arc, shard in enumerate(ring):
+        for key in sorted(on_arc[arc], key=lambda k: k[0]):
+            if free[shard]:
+                free[shard] -= 1
+                landed[key[1:]].append(shard)
+            else:
+                over.setdefault(arc, []).append(key)
+    for lap in range(2):
+        for arc, shard in enumerate(ring):
+            while waiting and free[shard]:
+                free[shard] -= 1
+                landed[waiting.pop(0)[1:]].append(shard)
+            waiting += over.get(arc, []) if lap == 0 else []
+    assert not waiting
+    for window_rows, chunk in ((10**6, 10**6), (7, 4)):
+        got = defaultdict(list)
+        for r in assign_shards(docs, shards, vnodes, slack, window_rows=window_rows, chunk=chunk).collect():
+            got[r["doc_id"], r["size"], r["text_crc32"]].append(r["shard"])
+        assert {k: sorted(v) for k, v in got.items()} == {k: sorted(v) for k, v in landed.items()}
+
+
 def test_segments_are_gapless():
     rng = random.Random(3)
     arcs = [(i, i % 4, rng.randint(0, 9)) for i in range(24)]
