@@ -1,164 +1,203 @@
 """The transform of a reversed stream, grown symbol by symbol, in runs; and marks that follow the stream at a distance.
 
-Runs lie in buckets of bounded length with their totals, so a place is found over the buckets
-and then within one: about the square root of the number of runs for each operation.
+The runs, without the marker, are the leaves of a balanced tree of bounded fan-out whose nodes
+hold lengths and symbol counts, so a place, a rank and an insertion each cost one way down. The
+number of runs is kept up to date from the two neighbours of each new symbol.
 """
 
 from __future__ import annotations
 
 from bisect import insort
 
-#: Runs of a bucket at most.
-BUCKET = 64
+#: Runs of a leaf and children of a node at most.
+FANOUT = 32
+
+
+class _Node:
+    __slots__ = ("children", "counts", "runs", "size")
+
+    def __init__(self, runs: list[list[int]] | None = None, children: list[_Node] | None = None):
+        self.runs, self.children = runs, children
+        self.counts: dict[int, int] = {}
+        if runs is not None:
+            self.size = sum(n for _, n in runs)
+            for s, n in runs:
+                self.counts[s] = self.counts.get(s, 0) + n
+        else:
+            self.size = sum(c.size for c in children)
+            for c in children:
+                for s, n in c.counts.items():
+                    self.counts[s] = self.counts.get(s, 0) + n
+
+    def halved(self) -> _Node | None:
+        """The new right neighbour of a node that has grown too wide."""
+        mine = self.runs if self.runs is not None else self.children
+        if len(mine) <= FANOUT:
+            return None
+        left, right = mine[: len(mine) // 2], mine[len(mine) // 2 :]
+        if self.runs is not None:
+            other = _Node(right)
+            self.__init__(left)
+        else:
+            other = _Node(children=right)
+            self.__init__(children=left)
+        return other
+
+    def insert(self, place: int, symbol: int) -> _Node | None:
+        if self.runs is None:
+            for i, c in enumerate(self.children):
+                if place <= c.size:
+                    break
+                place -= c.size
+            new = c.insert(place, symbol)
+            if new is not None:
+                self.children.insert(i + 1, new)
+        else:
+            runs = self.runs
+            for i, (s, n) in enumerate(runs):
+                if s == symbol and place <= n:
+                    runs[i][1] += 1
+                    break
+                if place < n:
+                    runs[i : i + 1] = [[s, place], [symbol, 1], [s, n - place]] if place else [[symbol, 1], [s, n]]
+                    break
+                place -= n
+                if not place and i + 1 < len(runs) and runs[i + 1][0] != symbol:
+                    runs.insert(i + 1, [symbol, 1])
+                    break
+            else:
+                runs.append([symbol, 1])
+        self.size += 1
+        self.counts[symbol] = self.counts.get(symbol, 0) + 1
+        return self.halved()
 
 
 class RunLengthBwt:
     """Places count from 0. Symbols are integers from 1; 0 is the marker, which sorts first and stands once."""
 
     def __init__(self):
-        self.buckets: list[list[list[int]]] = [[[0, 1]]]
-        self.sizes = [1]
-        self.counts: list[dict[int, int]] = [{0: 1}]
-        self.totals: dict[int, int] = {0: 1}
-        self.order: list[int] = [0]
+        self.root = _Node([])
+        self.order: list[int] = []
         self.marker = 0
+        self.kept = 0  # runs without the marker
 
     @classmethod
     def restore(cls, runs: list[tuple[int, int]]) -> RunLengthBwt:
-        out = cls()
-        parts = [[list(r) for r in runs[i : i + BUCKET // 2]] for i in range(0, len(runs), BUCKET // 2)]
-        out.buckets = parts
-        out.sizes = [sum(n for _, n in p) for p in parts]
-        out.counts, out.totals = [], {}
-        at = 0
-        for p in parts:
-            c: dict[int, int] = {}
-            for s, n in p:
-                if s == 0:
-                    out.marker = at
-                c[s] = c.get(s, 0) + n
-                out.totals[s] = out.totals.get(s, 0) + n
-                at += n
-            out.counts.append(c)
-        out.order = sorted(out.totals)
+        out, at, plain = cls(), 0, []
+        for s, n in runs:
+            if s == 0:
+                out.marker = at
+            elif plain and plain[-1][0] == s:
+                plain[-1][1] += n
+            else:
+                plain.append([s, n])
+            at += n
+        level = [_Node(plain[i : i + FANOUT // 2]) for i in range(0, len(plain), FANOUT // 2)] or [_Node([])]
+        while len(level) > 1:
+            level = [_Node(children=level[i : i + FANOUT // 2]) for i in range(0, len(level), FANOUT // 2)]
+        out.root, out.kept, out.order = level[0], len(plain), sorted(level[0].counts)
         return out
 
-    def state(self) -> list[tuple[int, int]]:
+    def _plain(self) -> list[list[int]]:
+        """The runs without the marker; neighbours differ, also from leaf to leaf."""
         merged: list[list[int]] = []
-        for b in self.buckets:
-            for s, n in b:
+        stack = [self.root]
+        while stack:
+            node = stack.pop()
+            if node.runs is None:
+                stack += reversed(node.children)
+                continue
+            for s, n in node.runs:
                 if merged and merged[-1][0] == s:
                     merged[-1][1] += n
                 else:
                     merged.append([s, n])
-        return [tuple(r) for r in merged]
+        return merged
+
+    def state(self) -> list[tuple[int, int]]:
+        out, at, put = [], 0, False
+        for s, n in self._plain():
+            if not put and at <= self.marker < at + n:
+                out += [(s, self.marker - at)] * (self.marker > at) + [(0, 1), (s, at + n - self.marker)]
+                put = True
+            else:
+                out.append((s, n))
+            at += n
+        return out if put else [*out, (0, 1)]
 
     def __len__(self) -> int:
-        return sum(self.sizes)
+        return self.root.size + 1
 
     def runs(self, marker: bool = True) -> int:
-        kept = [s for s, _ in self.state() if marker or s]
-        return sum(1 for i, s in enumerate(kept) if not i or kept[i - 1] != s)
-
-    def _bucket(self, place: int) -> tuple[int, int]:
-        for b, size in enumerate(self.sizes):
-            if place < size:
-                return b, place
-            place -= size
-        return len(self.sizes) - 1, self.sizes[-1]
-
-    def access(self, place: int) -> int:
-        b, rest = self._bucket(place)
-        for s, n in self.buckets[b]:
-            if rest < n:
+        if not marker:
+            return self.kept
+        return self.kept + 1 + (0 < self.marker < self.root.size and self._at(self.marker - 1) == self._at(self.marker))
+
+    def _at(self, place: int) -> int:
+        """The symbol at a place of the sequence without the marker."""
+        node = self.root
+        while node.runs is None:
+            for c in node.children:
+                if place < c.size:
+                    break
+                place -= c.size
+            node = c
+        for s, n in node.runs:
+            if place < n:
                 return s
-            rest -= n
+            place -= n
         raise IndexError(place)
 
-    def rank(self, symbol: int, place: int) -> int:
-        """Occurrences of the symbol before the place."""
-        b, rest = self._bucket(place)
-        found = sum(c.get(symbol, 0) for c in self.counts[:b])
-        for s, n in self.buckets[b]:
-            if rest <= 0:
+    def access(self, place: int) -> int:
+        return 0 if place == self.marker else self._at(place - (place > self.marker))
+
+    def _rank(self, symbol: int, place: int) -> int:
+        found, node = 0, self.root
+        while node.runs is None:
+            for c in node.children:
+                if place <= c.size:
+                    break
+                found += c.counts.get(symbol, 0)
+                place -= c.size
+            node = c
+        for s, n in node.runs:
+            if place <= 0:
                 break
-            found += min(n, rest) if s == symbol else 0
-            rest -= n
+            found += min(n, place) if s == symbol else 0
+            place -= n
         return found
 
+    def rank(self, symbol: int, place: int) -> int:
+        """Occurrences of the symbol before the place."""
+        if symbol == 0:
+            return int(place > self.marker)
+        return self._rank(symbol, place - (place > self.marker))
+
     def smaller(self, symbol: int) -> int:
-        return sum(self.totals[s] for s in self.order if s < symbol)
+        counts, total = self.root.counts, int(symbol > 0)
+        for s in self.order:
+            if s >= symbol:
+                break
+            total += counts[s]
+        return total
 
     def lf(self, place: int) -> int:
         symbol = self.access(place)
         return self.smaller(symbol) + self.rank(symbol, place)
 
-    def _remove(self, place: int) -> None:
-        b, rest = self._bucket(place)
-        runs = self.buckets[b]
-        for i, (s, n) in enumerate(runs):
-            if rest < n:
-                if n == 1:
-                    runs.pop(i)
-                    if 0 < i < len(runs) and runs[i - 1][0] == runs[i][0]:
-                        runs[i - 1][1] += runs.pop(i)[1]
-                else:
-                    runs[i][1] -= 1
-                self.sizes[b] -= 1
-                self._count(b, s, -1)
-                break
-            rest -= n
-        if not runs and len(self.buckets) > 1:
-            del self.buckets[b], self.sizes[b], self.counts[b]
-
-    def _insert(self, place: int, symbol: int) -> None:
-        b, rest = self._bucket(place)
-        runs = self.buckets[b]
-        for i, (s, n) in enumerate(runs):
-            if s == symbol and 0 <= rest <= n:
-                runs[i][1] += 1
-                break
-            if rest < n:
-                runs[i : i + 1] = [[s, rest], [symbol, 1], [s, n - rest]] if rest else [[symbol, 1], [s, n]]
-                break
-            rest -= n
-            if not rest and i + 1 < len(runs) and runs[i + 1][0] != symbol:
-                runs.insert(i + 1, [symbol, 1])
-                break
-        else:
-            runs.append([symbol, 1])
-        self.sizes[b] += 1
-        self._count(b, symbol, 1)
-        if len(runs) > BUCKET:
-            self._halve(b)
-
-    def _count(self, b: int, symbol: int, by: int) -> None:
-        self.counts[b][symbol] = self.counts[b].get(symbol, 0) + by
-        if symbol not in self.totals:
-            insort(self.order, symbol)
-        self.totals[symbol] = self.totals.get(symbol, 0) + by
-
-    def _halve(self, b: int) -> None:
-        runs = self.buckets[b]
-        halves = [runs[: len(runs) // 2], runs[len(runs) // 2 :]]
-        self.buckets[b : b + 1] = halves
-        self.sizes[b : b + 1] = [sum(n for _, n in h) for h in halves]
-        counted = []
-        for h in halves:
-            c: dict[int, int] = {}
-            for s, n in h:
-                c[s] = c.get(s, 0) + n
-            counted.append(c)
-        self.counts[b : b + 1] = counted
-
     def extend(self, symbol: int) -> int:
         """Append to the stream; returns the marker's new place."""
-        self._remove(self.marker)
-        self._insert(self.marker, symbol)
-        new = self.smaller(symbol) + self.rank(symbol, self.marker) + 1
-        self._insert(new, 0)
-        self.marker = new
-        return new
+        at, size = self.marker, self.root.size
+        left, right = self._at(at - 1) if at else None, self._at(at) if at < size else None
+        if symbol not in (left, right):
+            self.kept += 2 if left == right and left is not None else 1
+        if symbol not in self.root.counts:
+            insort(self.order, symbol)
+        beside = self.root.insert(at, symbol)
+        if beside is not None:
+            self.root = _Node(children=[self.root, beside])
+        self.marker = self.smaller(symbol) + self._rank(symbol, at)
+        return self.marker
 
 
 class Bookmarks:

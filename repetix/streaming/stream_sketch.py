@@ -5,6 +5,8 @@ find the windows that end in new symbols. Lengths up to K come from the last K s
 ones from a run-length transform of the reversed stream with a bookmark for each length, until
 the transform has so many runs that no longer length can be the maximiser, when it is dropped
 and the longer lengths stand still. Without the transform only lengths up to K are counted.
+Count-distinct states are registers of a fixed size by default, so that the whole state is
+sub-linear in the stream; `exact` keeps the sets themselves, for tests.
 """
 
 from __future__ import annotations
@@ -21,6 +23,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from repetix.functions.fingerprint import SHIFT, FingerprintParams, window_fingerprints
 from repetix.functions.hashing import hash_array
+from repetix.functions.symbols import encode
 from repetix.plans.accuracy import should_drop, window_length
 from repetix.session import fresh_path
 
@@ -60,14 +63,14 @@ class DistinctState:
 
 @dataclass
 class StreamSketch:
-    """n_max bounds the stream's length; window None means sqrt(n_max) * log2(n_max)."""
+    """n_max bounds the stream's length; window None means sqrt(n_max) * log2(n_max). cd: f0 (m registers), kmv (m hashes) or exact (not sub-linear)."""
 
     n_max: int
     lengths: Sequence[int]
     window: int | None = None
     transform: bool = True
     discard_constant: float = 8.0
-    cd: str = "exact"
+    cd: str = "f0"
     m: int = 1024
     params: FingerprintParams = FingerprintParams()
     n: int = 0
@@ -99,16 +102,20 @@ class StreamSketch:
             self.states[k].add(np.unique(of(k)[first:]))
             self.adds += max(0, len(joined) - k + 1 - first)
         if self.bwt is not None:
+            made: dict[int, list[int]] = {k: [] for k in self.long}
             for a in chunk.tolist():
-                self._extend_long(int(a))
+                self._extend_long(int(a), made)
                 if self.bwt is None:
                     break
+            for k, fps in made.items():
+                self.states[k].add(np.array(fps, np.int64))
+                self.adds += len(fps)
         self.n += len(chunk) - self.seen_long
         self.seen_long = 0
         self.recent = joined[-max(1, self.window) :]
         return self
 
-    def _extend_long(self, a: int) -> None:
+    def _extend_long(self, a: int, made: dict[int, list[int]]) -> None:
         place = self.bwt.extend(a + 1)
         q, base = self.params.moduli, self.params.base
         leaving: dict[int, int] = {}
@@ -127,8 +134,7 @@ class StreamSketch:
             else:
                 continue
             f = self.prints[k]
-            self.states[k].add(np.array([f[0] if len(f) == 1 else f[0] << SHIFT | f[1]], np.int64))
-            self.adds += 1
+            made[k].append(f[0] if len(f) == 1 else f[0] << SHIFT | f[1])
         self.marks.advance(self.bwt, place, self.n)
         if should_drop(self.bwt.runs(marker=False), self.n_max, self.window, self.discard_constant):
             self.bwt, self.dropped_at = None, self.n
@@ -147,9 +153,23 @@ class StreamSketch:
         best = max(((d / k, -k) for k, d in self.profile()), default=(0.0, 0))
         return best[0], -best[1] if best[0] else 0
 
+    def bound(self) -> int:
+        """Certificate: no maximiser is longer than n / delta (as far as delta is estimated well)."""
+        delta = self.estimate()[0]
+        return int(self.n / delta) if delta > 0 else 0
+
+    def certified(self) -> bool:
+        """Whether the lengths that are counted to the end reach the certificate, so that no longer one could win."""
+        counted = self.short if self.bwt is None else self.lengths
+        return bool(counted) and self.bound() <= max(counted)
+
+    def registers(self) -> list[tuple[int, int, int]]:
+        """(k, bucket, level) of the taken registers of f0 states."""
+        return [(k, int(b), int(s.values[b])) for k, s in self.states.items() for b in np.flatnonzero(s.values >= 0)]
+
     def words(self) -> int:
-        """Words held: window, runs, bookmarks, fingerprints and count-distinct states."""
-        held = len(self.recent) + len(self.prints) * 2 + sum(len(s.values) for s in self.states.values())
+        """Words of 8 bytes held: window, runs, bookmarks, fingerprints and count-distinct states."""
+        held = len(self.recent) + len(self.prints) * 2 + sum(-(-s.values.nbytes // 8) for s in self.states.values())
         return held + (2 * len(self.bwt.state()) + len(self.marks.places) if self.bwt is not None else 0)
 
     def dumps(self) -> bytes:
@@ -170,14 +190,20 @@ class StreamSketch:
         return out
 
 
-OUTPUT = "id {kind}, n bigint, delta double, k_hat int, runs bigint, dropped boolean, profile array<struct<k:int,d:double>>"
+OUTPUT = (
+    "id {kind}, n bigint, delta double, k_hat int, bound bigint, certified boolean, runs bigint, dropped_at bigint, dropped boolean, adds bigint, words bigint, state_bytes bigint, "
+    "profile array<struct<k:int,d:double>>, registers array<struct<k:int,bucket:int,level:int>>, late array<struct<{late}>>"
+)
 
 
 class SketchProcessor(StatefulProcessor):
-    """One state for each stream; rows of a micro-batch are put in order before they are read."""
+    """One state for each stream; rows of a micro-batch are put in order before they are read.
+
+    A symbol can't be put into a stream afterwards, so a row that is not beyond the last one read is late: it comes out in `late` and changes nothing.
+    """
 
-    def __init__(self, options: dict, order: list[str]):
-        self.options, self.order = options, order
+    def __init__(self, options: dict, order: list[str], value: str, registers: bool):
+        self.options, self.order, self.value, self.registers = options, order, value, registers
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.state = handle.getValueState("sketch", "raw binary")
@@ -185,14 +211,30 @@ class SketchProcessor(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         batch = pd.concat(list(rows)).sort_values(self.order, kind="stable")
         held = self.state.get()
-        sketch = StreamSketch.loads(bytes(held[0])) if held is not None else StreamSketch(**self.options)
-        sketch.extend(batch["symbol"])
-        self.state.update((sketch.dumps(),))
+        sketch, last = StreamSketch(**self.options), None
+        if held is not None:
+            raw, last = pickle.loads(bytes(held[0]))
+            sketch = StreamSketch.loads(raw)
+        places = list(batch[self.order].itertuples(index=False, name=None))
+        on_time = [last is None or p > last for p in places]
+        late = batch[[not t for t in on_time]]
+        batch = batch[on_time]
+        if len(batch):
+            last = places[-1]
+            if self.value == "text":
+                sketch.extend(encode("".join(t for t in batch["text"] if t)))
+            else:
+                sketch.extend(batch["symbol"])
+        raw = sketch.dumps()
+        self.state.update((pickle.dumps((raw, last)),))
         delta, k_hat = sketch.estimate()
         yield pd.DataFrame(
             {
-                "id": [key[0]], "n": [sketch.n], "delta": [delta], "k_hat": [k_hat], "runs": [sketch.runs() or 0],
-                "dropped": [sketch.dropped_at is not None], "profile": [[{"k": k, "d": d} for k, d in sketch.profile()]],
+                "id": [key[0]], "n": [sketch.n], "delta": [delta], "k_hat": [k_hat], "bound": [sketch.bound()], "certified": [sketch.certified()],
+                "runs": pd.array([sketch.runs()], "Int64"), "dropped_at": pd.array([sketch.dropped_at], "Int64"), "dropped": [sketch.dropped_at is not None],
+                "adds": [sketch.adds], "words": [sketch.words()], "state_bytes": [len(raw)], "profile": [[{"k": k, "d": d} for k, d in sketch.profile()]],
+                "registers": [[{"k": k, "bucket": b, "level": x} for k, b, x in sketch.registers()] if self.registers else None],
+                "late": [late[[*self.order, self.value]].to_dict("records")],
             }
         )
 
@@ -200,18 +242,24 @@ class SketchProcessor(StatefulProcessor):
         pass
 
 
-def stream_sketch(stream: DataFrame, order: Sequence[str], **options) -> DataFrame:
-    """Streaming (id, n, delta, k_hat, runs, dropped, profile) of a streaming (id, symbol int, order columns...).
+def stream_sketch(stream: DataFrame, order: Sequence[str], registers: bool = False, **options) -> DataFrame:
+    """Streaming rows of OUTPUT from a streaming (id, symbol int, order columns...), or (id, text, order columns...) that arrives in pieces.
 
-    After every micro-batch a row for each stream that grew. Rows must come in order from batch
-    to batch; `on_time` splits off those that don't.
+    After every micro-batch a row for each stream that met rows; `late` has the rows that came
+    too late, of which `late_rows` makes a table. `registers` adds those of f0 states.
     """
     spark = stream.sparkSession
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    kept = stream.select("id", "symbol", *order)
-    return kept.groupBy("id").transformWithStateInPandas(
-        SketchProcessor(options, list(order)), OUTPUT.format(kind=dict(kept.dtypes)["id"]), outputMode="Append", timeMode="None"
-    )
+    value = "text" if "text" in stream.columns else "symbol"
+    kept = stream.select("id", value, *order)
+    types = dict(kept.dtypes)
+    schema = OUTPUT.format(kind=types["id"], late=", ".join(f"{c}: {types[c]}" for c in [*order, value]))
+    return kept.groupBy("id").transformWithStateInPandas(SketchProcessor(options, list(order), value, registers), schema, outputMode="Append", timeMode="None")
+
+
+def late_rows(rows: DataFrame) -> DataFrame:
+    """(id, order columns..., value): the side table of the rows that came too late."""
+    return rows.select("id", F.explode("late").alias("late")).select("id", "late.*")
 
 
 def on_time(stream: DataFrame, ts_col: str, delay: str) -> DataFrame:

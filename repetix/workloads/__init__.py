@@ -1,8 +1,8 @@
 """Named queries over the given tables, with oracle SQL where SQL can say the same."""
 
-from . import baselines, checks, core, experiments, sketches, uses
+from . import baselines, checks, core, experiments, sketches, stream_queries, uses
 
-MODULES = (core, sketches, baselines, checks, experiments, uses)
+MODULES = (core, sketches, stream_queries, baselines, checks, experiments, uses)
 
 
 def queries() -> dict:

@@ -45,7 +45,7 @@ def test_transform_grows_like_brute_force(seed):
 def test_stream_counts(window, constant):
     rng = random.Random(window)
     stream, lengths = [rng.randint(0, 2) for _ in range(250)], [1, 2, 3, 5, 9, 30]
-    sketch = StreamSketch(500, lengths, window=window, discard_constant=constant)
+    sketch = StreamSketch(500, lengths, window=window, discard_constant=constant, cd="exact")
     at = 0
     while at < len(stream):
         step = rng.randint(1, 40)
@@ -61,7 +61,7 @@ def test_stream_counts(window, constant):
 
 def test_naive_buffer_is_the_window_of_the_whole_stream():
     stream = [0, 1, 1, 0] * 30
-    sketch = StreamSketch(len(stream), list(range(1, 121)), window=len(stream), transform=False).extend(stream)
+    sketch = StreamSketch(len(stream), list(range(1, 121)), window=len(stream), transform=False, cd="exact").extend(stream)
     import numpy as np
 
     assert sketch.estimate() == exact_delta(np.array(stream))[:2]
@@ -93,7 +93,7 @@ def test_spark_stream_over_batches_and_restart(spark, tmp_path):
 
     def go():
         stream = spark.readStream.schema(schema).parquet(source)
-        rows = streams.stream_sketch(stream, ["seq"], n_max=1000, lengths=[1, 2, 7], window=3)
+        rows = streams.stream_sketch(stream, ["seq"], n_max=1000, lengths=[1, 2, 7], window=3, cd="exact")
         q = rows.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
         q.awaitTermination()
         return rows.schema
@@ -125,3 +125,35 @@ def test_words_held_follow_the_window():
         sizes.append(sketch.extend(rng.randint(0, 3) for _ in range(1000)).words())
     assert sizes[-1] == sizes[5] and sizes[-1] <= 64 + 5 * 256 + 10
     assert sketch.adds >= 5 * (20_000 - 16)
+
+
+def test_default_state_is_sub_linear_and_runs_are_counted_as_they_come():
+    rng = random.Random(4)
+    n = 40_000
+    sketch = StreamSketch(n, [1, 2, 4, 8, 16, 4096, 16384], discard_constant=0.2)
+    sizes = [sketch.extend(rng.randint(0, 3) for _ in range(4000)).words() for _ in range(10)]
+    assert sketch.window == 3058 and sketch.short == [1, 2, 4, 8, 16]
+    assert sketch.dropped_at is not None and sketch.runs() is None and sketch.frozen() == [4096, 16384]
+    assert sizes[-1] <= sketch.window + 7 * 128 + 2 * 2 and len(sketch.dumps()) < 8 * n / 4
+    kept = StreamSketch(n, [1, 2, 4, 8, 16, 4096, 16384]).extend(rng.randint(0, 1) for _ in range(6000))
+    state = [s for s, _ in kept.bwt.state() if s]
+    assert kept.runs() == sum(1 for i, s in enumerate(state) if not i or state[i - 1] != s)
+    # a random stream's maximiser is short, so the counted lengths reach the certificate
+    assert sketch.certified() and sketch.bound() <= 16
+
+
+def test_chunked_text_and_late_rows(spark, tmp_path):
+    schema = "id string, seq bigint, text string"
+    source = str(tmp_path / "in")
+
+    def put(*rows):
+        spark.createDataFrame(rows, schema).coalesce(1).write.mode("append").parquet(source)
+
+    put(("a", 2, "cd"), ("a", 1, "ab"), ("b", 5, "x"))
+    put(("a", 4, "ef"), ("a", 2, "late"), ("b", 6, None), ("a", 1, "later"))
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(source)
+    rows = streams.run_to_table(streams.stream_sketch(stream, ["seq"], n_max=100, lengths=[1, 2], cd="exact"), "chunks")
+    last = {r["id"]: r for r in streams.latest(rows).collect()}
+    assert last["a"]["n"] == 6 and {p["k"]: p["d"] for p in last["a"]["profile"]} == {1: 6, 2: 5}
+    assert last["b"]["n"] == 1 and last["a"]["bound"] == 1 and last["a"]["certified"]
+    assert sorted(map(tuple, streams.late_rows(rows).collect())) == [("a", 1, "later"), ("a", 2, "late")]
