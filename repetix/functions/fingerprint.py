@@ -62,6 +62,10 @@ class FingerprintParams:
                 found.append(q)
         return cls(tuple(found), base)
 
+    def with_random_base(self, seed: int, alphabet: int = 1_114_112) -> FingerprintParams:
+        """The same primes with a base drawn uniformly from the residues above the alphabet's size."""
+        return FingerprintParams(self.moduli, random.Random(seed).randrange(alphabet, min(self.moduli)))
+
     def weight(self, length: int) -> tuple[int, ...]:
         """base^length modulo each prime, by fast exponentiation."""
         return tuple(pow(self.base, length, q) for q in self.moduli)

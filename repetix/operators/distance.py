@@ -1,19 +1,31 @@
-"""Pair measures and compression distances, exact and from sketches."""
+"""Pair measures and compression distances, exact and from sketches.
+
+All pairs are met in blocks: every string has a bucket, and a pair of buckets is the key of an
+equi-join or group, so that the work is spread over many keys and no task holds more than two
+buckets. Asked pairs only open the blocks that they lie in.
+"""
 
 from __future__ import annotations
 
 import math
 from collections.abc import Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from repetix.functions.fingerprint import FingerprintParams, window_fingerprints
+from repetix.functions.symbols import encode
+
 from .distinct import Buffered, Hll, window_rows
 from .profile import codec_size, delta_of_profile, exact_delta
 from .sketch import build_sketch, longest
 
-#: Bytes of sketches that all-pairs may broadcast; more are joined by shuffling on the length.
-BROADCAST_BYTES = 256 << 20
+#: Strings of a bucket, about, where whole sets of fingerprints are compared.
+BUCKET = 48
+#: Distinct fingerprints compared at a time within a block.
+COLUMNS = 1 << 16
 
 
 def compression_distance(a: Column, b: Column, both: Column) -> Column:
@@ -28,25 +40,103 @@ def pair_ids(df: DataFrame, id_col: str = "id") -> DataFrame:
     return ids.join(ids.toDF("id_b"), F.col("id_a") < F.col("id_b"))
 
 
-def pair_profile(df: DataFrame, pairs: DataFrame, lengths: Sequence[int]) -> DataFrame:
-    """(id_a, id_b, k, d): sizes of the unions of both strings' substring sets, d_a + d_b - shared."""
-    rows = window_rows(df, lengths)
-    sizes = rows.groupBy("id", "k").agg(F.count("*").alias("d"))
-    a, b = rows.select(F.col("id").alias("id_a"), "k", "fp"), rows.select(F.col("id").alias("id_b"), "k", "fp")
-    shared = a.join(b, ["k", "fp"]).where("id_a < id_b").groupBy("id_a", "id_b", "k").agg(F.count("*").alias("shared"))
-    sized = pairs.join(sizes.select(F.col("id").alias("id_a"), "k", F.col("d").alias("d_a")), "id_a").join(
-        sizes.select(F.col("id").alias("id_b"), "k", F.col("d").alias("d_b")), ["id_b", "k"], "full_outer"
-    )
-    sized = sized.where("id_a IS NOT NULL AND id_b IS NOT NULL")
-    return sized.join(shared, ["id_a", "id_b", "k"], "left").select(
-        "id_a", "id_b", "k", (F.coalesce("d_a", F.lit(0)) + F.coalesce("d_b", F.lit(0)) - F.coalesce("shared", F.lit(0))).alias("d")
-    )
-
+def block_join(df: DataFrame, columns: Sequence[str], on: Sequence[str] = (), blocks: int | None = None, spread: bool = False) -> DataFrame:
+    """All pairs id_a < id_b of (id, columns..., on...) as (id_a, id_b, <column>_a, <column>_b, on...), by an equi-join on pairs of hash buckets.
 
-def pair_delta(df: DataFrame, pairs: DataFrame, lengths: Sequence[int], semantics: str = "union") -> DataFrame:
-    """(id_a, id_b, delta): of the union of substring sets, or of the concatenation, which has windows across the border."""
+    With `spread` one side is dealt out by the pairs of buckets even if the other is small enough for a broadcast: for work that costs more than its bytes.
+    """
+    tasks = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    blocks = blocks or max(8, math.ceil(math.sqrt(2 * tasks)))
+    own = df.select("id", *columns, *on, F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("__own"))
+    left = own.select("*", F.col("__own").alias("__i"), F.explode(F.sequence(F.col("__own"), F.lit(blocks - 1))).alias("__j"))
+    right = own.select(F.col("id").alias("__id"), *[F.col(c).alias(f"__{c}") for c in columns], *on, F.col("__own").alias("__j"), F.explode(F.sequence(F.lit(0), F.col("__own"))).alias("__i"))
+    if spread:
+        left = left.repartition(max(tasks, blocks * (blocks + 1) // 2), "__i", "__j")
+    met = left.join(right, ["__i", "__j", *on]).where("__i < __j AND id <> __id OR id < __id")
+    first = F.col("id") < F.col("__id")
+    both = [x for c in columns for x in (F.when(first, F.col(c)).otherwise(F.col(f"__{c}")).alias(f"{c}_a"), F.when(first, F.col(f"__{c}")).otherwise(F.col(c)).alias(f"{c}_b"))]
+    return met.select(F.least("id", "__id").alias("id_a"), F.greatest("id", "__id").alias("id_b"), *both, *on)
+
+
+def string_sets(df: DataFrame, lengths: Sequence[int], params: FingerprintParams = FingerprintParams()) -> DataFrame:
+    """(id, k, fps binary): the sorted fingerprints of every string's windows, empty where a string has none."""
+    kept = df.select("id", "text")
+    types = dict(kept.dtypes)
+    unit = {"string": "codepoint", "binary": "byte"}.get(types["text"], "symbol")
+    wanted = sorted(set(lengths))
+
+    def run(batches):
+        for batch in batches:
+            for i, value in enumerate(batch.column("text")):
+                of = window_fingerprints(encode(value.as_py(), unit), params)
+                sets = [np.unique(of(k)).astype("<i8").tobytes() for k in wanted]
+                yield pa.RecordBatch.from_arrays([batch.column("id").take(pa.array([i] * len(wanted))), pa.array(wanted, pa.int32()), pa.array(sets, pa.binary())], names=["id", "k", "fps"])
+
+    return kept.mapInArrow(run, f"id {types['id']}, k int, fps binary")
+
+
+def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
+    """Sizes of all pairwise intersections of sorted sets, by products of membership matrices over ranges of the members."""
+    of = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    every = np.concatenate(sets) if sets else np.empty(0, np.int64)
+    order = np.argsort(every, kind="stable")
+    every, of = every[order], of[order]
+    member = np.cumsum(np.concatenate(([0], every[1:] != every[:-1]))) if len(every) else every
+    shared = np.zeros((len(sets), len(sets)))
+    for low in range(0, int(member[-1]) + 1 if len(member) else 0, COLUMNS):
+        a, b = np.searchsorted(member, [low, low + COLUMNS])
+        has = np.zeros((len(sets), min(COLUMNS, int(member[b - 1]) - low + 1)), np.float32)
+        has[of[a:b], member[a:b] - low] = 1
+        shared += has @ has.T  # exact: below 2^24 in each range
+    return shared.astype(np.int64)
+
+
+def pair_profile(df: DataFrame, pairs: DataFrame | None, lengths: Sequence[int], buckets: DataFrame | None = None) -> DataFrame:
+    """(id_a, id_b, k, d): sizes of the unions of both strings' substring sets, of `pairs` (id_a < id_b) or of all.
+
+    Every string's sorted sets go to the blocks, pairs of buckets, that hold a pair that is
+    asked for, and are compared there, length by length. Buckets are of a hash of the id, or of
+    `buckets` (id, bucket), which can keep pairs that need no comparison in blocks of their own.
+    """
+    sets = string_sets(df, lengths)
+    kind = dict(sets.dtypes)["id"]
+    if buckets is None:
+        n = -(-df.select("id").distinct().count() // BUCKET) or 1
+        sets = sets.withColumn("bucket", F.pmod(F.xxhash64("id"), F.lit(n)))
+        own = df.select("id").distinct().withColumn("bucket", F.pmod(F.xxhash64("id"), F.lit(n)))
+    else:
+        sets, own = sets.join(buckets, "id"), buckets
+    names = own.select("bucket").distinct()
+    if pairs is None:
+        blocks = names.select(F.col("bucket").alias("i")).join(names.select(F.col("bucket").alias("j")), F.col("i") <= F.col("j"))  # of buckets, not of strings
+    else:
+        located = pairs.join(own.toDF("id_a", "a"), "id_a").join(own.toDF("id_b", "b"), "id_b")
+        blocks = located.select(F.least("a", "b").alias("i"), F.greatest("a", "b").alias("j")).distinct()
+    opened = blocks.select("i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("bucket"))
+
+    def compare(table: pa.Table) -> pa.Table:
+        ids, bucket = table.column("id").to_pylist(), table.column("bucket").to_numpy()
+        i, j, k = (table.column(c)[0].as_py() for c in ("i", "j", "k"))
+        found = [np.frombuffer(f.as_py(), "<i8") for f in table.column("fps")]
+        shared, sizes = shared_counts(found), [len(f) for f in found]
+        out = []
+        for x in range(len(ids)):
+            for y in range(x + 1, len(ids)):
+                if i == j or bucket[x] != bucket[y]:
+                    a, b = (x, y) if ids[x] < ids[y] else (y, x)
+                    out.append((ids[a], ids[b], k, int(sizes[a] + sizes[b] - shared[a, b])))
+        columns = list(zip(*out, strict=True)) if out else [[], [], [], []]
+        types = [table.schema.field("id").type, pa.int32(), pa.int64()]
+        return pa.table({"id_a": pa.array(columns[0], types[0]), "id_b": pa.array(columns[1], types[0]), "k": pa.array(columns[2], types[1]), "d": pa.array(columns[3], types[2])})
+
+    met = sets.join(opened, "bucket").groupBy("i", "j", "k").applyInArrow(compare, f"id_a {kind}, id_b {kind}, k int, d bigint")
+    return met if pairs is None else met.join(pairs.select("id_a", "id_b"), ["id_a", "id_b"], "left_semi")
+
+
+def pair_delta(df: DataFrame, pairs: DataFrame | None, lengths: Sequence[int], semantics: str = "union", buckets: DataFrame | None = None) -> DataFrame:
+    """(id_a, id_b, delta): of the union of substring sets (all pairs if `pairs` is None), or of the concatenation, which has windows across the border."""
     if semantics == "union":
-        return delta_of_profile(pair_profile(df, pairs, lengths), ("id_a", "id_b")).drop("k_hat")
+        return delta_of_profile(pair_profile(df, pairs, lengths, buckets), ("id_a", "id_b")).drop("k_hat")
     text = df.select("id", "text")
     joined = pairs.join(text.toDF("id_a", "text_a"), "id_a").join(text.toDF("id_b", "text_b"), "id_b")
     whole = joined.select(F.struct("id_a", "id_b").alias("id"), F.concat("text_a", "text_b").alias("text"))
@@ -65,8 +155,8 @@ def with_distance(pairs: DataFrame, singles: DataFrame) -> DataFrame:
 
 
 def all_pairs_exact(df: DataFrame, lengths: Sequence[int]) -> DataFrame:
-    profile = window_rows(df, lengths).groupBy("id", "k").agg(F.count("*").alias("d"))
-    return with_distance(pair_delta(df, pair_ids(df), lengths), delta_of_profile(profile))
+    profile = string_sets(df, lengths).select("id", "k", (F.octet_length("fps") / 8).cast("bigint").alias("d"))
+    return with_distance(pair_delta(df, None, lengths), delta_of_profile(profile))
 
 
 def pairs_within(singles: DataFrame, limit: float) -> DataFrame:
@@ -77,20 +167,23 @@ def pairs_within(singles: DataFrame, limit: float) -> DataFrame:
     return a.join(b, "band").where("id_a < id_b").where(may_be_within(F.col("da"), F.col("db"), limit)).select("id_a", "id_b")
 
 
-def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), size_bytes: int | None = None, pairs: DataFrame | None = None) -> DataFrame:
-    """(id_a, id_b, dist) from stored sketches (id, k, cd): unions only, no text. Of `pairs` (id_a, id_b) only, if given.
+def delta_buckets(singles: DataFrame, limit: float, size: int = BUCKET) -> DataFrame:
+    """(id, bucket) of (id, delta): ranges of delta of the width of `limit`, large ones split by a hash, so that blocks hold pairs of like measure."""
+    band = F.floor(F.log(F.greatest("delta", F.lit(1e-9))) / -math.log(1 - limit)).cast("bigint")
+    banded = singles.select("id", band.alias("band"))
+    counts = banded.groupBy("band").agg(F.ceil(F.count("*") / size).cast("bigint").alias("parts"))
+    return banded.join(counts, "band").select("id", (F.col("band") * (1 << 32) + F.pmod(F.xxhash64("id"), F.col("parts"))).alias("bucket"))
 
-    One side is broadcast if its size is known to be below BROADCAST_BYTES; else both are
-    joined on the length by a shuffle.
-    """
+
+def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), pairs: DataFrame | None = None, blocks: int | None = None) -> DataFrame:
+    """(id_a, id_b, dist) from stored sketches (id, k, cd): unions only, no text. Of `pairs` (id_a, id_b) only, if given; else of all, met in blocks."""
     ratio = (cd.estimate("cd") / F.col("k")).alias("ratio")
     singles = sketches.select("id", ratio).groupBy("id").agg(F.max("ratio").alias("delta"))
-    a = sketches.select(F.col("id").alias("id_a"), "k", F.col("cd").alias("cd_a"))
-    b = sketches.select(F.col("id").alias("id_b"), "k", F.col("cd").alias("cd_b"))
-    small = size_bytes is not None and size_bytes <= BROADCAST_BYTES
     if pairs is None:
-        met = a.join(F.broadcast(b) if small else b, "k", "inner").where("id_a < id_b")
+        met = block_join(sketches, ["cd"], ["k"], blocks)
     else:
+        a = sketches.select(F.col("id").alias("id_a"), "k", F.col("cd").alias("cd_a"))
+        b = sketches.select(F.col("id").alias("id_b"), "k", F.col("cd").alias("cd_b"))
         met = pairs.join(a, "id_a").join(b, ["id_b", "k"])
     ratios = met.select("id_a", "id_b", (cd.estimate(cd.union(F.col("cd_a"), F.col("cd_b"))) / F.col("k")).alias("ratio"))
     united = ratios.groupBy("id_a", "id_b").agg(F.max("ratio").alias("met"))
@@ -99,13 +192,16 @@ def all_pairs_sketch(sketches: DataFrame, cd: Buffered = Hll(), size_bytes: int
     return pairs.select("id_a", "id_b", compression_distance(F.col("da"), F.col("db"), F.greatest("met", "da", "db")).alias("dist"))
 
 
+def merge_cost(sketches: DataFrame) -> DataFrame:
+    """(id_a, id_b, unions): unions of count-distinct sketches that merging each pair takes, one a length that both have."""
+    return block_join(sketches.select("id", "k"), [], ["k"]).groupBy("id_a", "id_b").agg(F.count("*").alias("unions"))
+
+
 def all_pairs_codec(df: DataFrame, codec: str = "xz") -> DataFrame:
     """(id_a, id_b, dist) with a codec's output size as the measure: every pair's concatenation is compressed."""
     size = codec_size(codec)
-    sized = df.select("id", "text", size(F.col("text")).alias("z"))
-    a, b = sized.toDF("id_a", "text_a", "za"), sized.toDF("id_b", "text_b", "zb")
-    met = a.join(b, F.col("id_a") < F.col("id_b")).withColumn("zab", size(F.concat("text_a", "text_b")))
-    return met.select("id_a", "id_b", compression_distance(F.col("za").cast("double"), F.col("zb").cast("double"), F.col("zab").cast("double")).alias("dist"))
+    met = block_join(df.select("id", "text", size(F.col("text")).cast("double").alias("z")), ["text", "z"], spread=True).withColumn("zab", size(F.concat("text_a", "text_b")).cast("double"))
+    return met.select("id_a", "id_b", compression_distance(F.col("z_a"), F.col("z_b"), F.col("zab")).alias("dist"))
 
 
 def all_pairs_distance(df: DataFrame, measure: str = "sketch", alpha: float = 1.25, lg_k: int = 12, lengths: Sequence[int] | None = None) -> DataFrame:
@@ -137,6 +233,5 @@ def may_be_within(da: Column, db: Column, limit: float) -> Column:
 
 def jaccard(sketches: DataFrame) -> DataFrame:
     """(id_a, id_b, k, jaccard) from Theta sketches (id, k, cd), which also intersect: shared windows over all windows."""
-    a, b = sketches.select(F.col("id").alias("id_a"), "k", F.col("cd").alias("a")), sketches.select(F.col("id").alias("id_b"), "k", F.col("cd").alias("b"))
-    both = F.theta_sketch_estimate(F.theta_intersection("a", "b")) / F.theta_sketch_estimate(F.theta_union("a", "b"))
-    return a.join(b, "k").where("id_a < id_b").select("id_a", "id_b", "k", both.alias("jaccard"))
+    both = F.theta_sketch_estimate(F.theta_intersection("cd_a", "cd_b")) / F.theta_sketch_estimate(F.theta_union("cd_a", "cd_b"))
+    return block_join(sketches, ["cd"], ["k"]).select("id_a", "id_b", "k", both.alias("jaccard"))

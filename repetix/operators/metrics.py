@@ -56,11 +56,20 @@ def trend_agreement(measures: DataFrame) -> DataFrame:
     return met.groupBy("id", "measure_a", "measure_b").agg(F.corr("va", "vb").alias("pearson"), F.corr("ra", "rb").alias("spearman"))
 
 
-def rank_auc(rows: DataFrame, score: str, label: str) -> DataFrame:
-    """(positives, negatives, auc): how often label 1 scores above label 0, ties half. One row for each score value is ranked."""
+def rank_auc(rows: DataFrame, score: str, label: str, ranges: int = 256) -> DataFrame:
+    """(positives, negatives, auc): how often label 1 scores above label 0, ties half.
+
+    One row for each score value is ranked, in ranges of the score and then over the ranges' sums, so that no task ranks all values.
+    """
     by_score = rows.groupBy(F.col(score).alias("s")).agg(F.sum(F.col(label).cast("long")).alias("pos"), F.sum(1 - F.col(label).cast("long")).alias("neg"))
-    below = F.coalesce(F.sum("neg").over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    won = by_score.withColumn("won", F.col("pos") * (below + F.col("neg") / 2))
+    cuts = by_score.agg(F.percentile_approx("s", F.array(*[F.lit(i / ranges) for i in range(1, ranges)]))).first()[0] or []
+    edges = sorted(set(cuts))
+    ranged = by_score.withColumn("range", F.size(F.filter(F.array(*map(F.lit, edges)), lambda e: e <= F.col("s"))) if edges else F.lit(0))
+    sums = ranged.groupBy("range").agg(F.sum("neg").alias("n"))
+    earlier = sums.select("range", F.coalesce(F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))  # `ranges` rows at most
+    inside = F.coalesce(F.sum("neg").over(Window.partitionBy("range").orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    below = ranged.withColumn("inside", inside).join(F.broadcast(earlier), "range")
+    won = below.withColumn("won", F.col("pos") * (F.col("base") + F.col("inside") + F.col("neg") / 2))
     return won.agg(F.sum("pos").alias("positives"), F.sum("neg").alias("negatives"), (F.sum("won") / F.sum("pos") / F.sum("neg")).alias("auc"))
 
 

@@ -10,10 +10,28 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams
-from repetix.plans.accuracy import plan_accuracy, sampled_lengths
+from repetix.plans.accuracy import length_bound, plan_accuracy, sampled_lengths
 from repetix.session import fresh_path
 
 from .distinct import Buffered, CountDistinct, Hll, count_distinct, window_rows
+from .profile import local_maximum
+
+
+#: What must be alike in sketches that are merged; kept as metadata of the column k, also through Parquet.
+ABOUT = "sketch"
+
+
+def described(sketches: DataFrame, about: dict) -> DataFrame:
+    return sketches.withMetadata("k", {ABOUT: about})
+
+
+def description(sketches: DataFrame) -> dict:
+    """Kind and parameters of the count-distinct sketches, moduli, base, unit, and whether a key's sketch is that of a set of strings. Empty if unknown."""
+    return sketches.schema["k"].metadata.get(ABOUT, {}) if "k" in sketches.columns else {}
+
+
+def _kind(cd: CountDistinct) -> str:
+    return repr(cd)
 
 
 def longest(df: DataFrame, text_col: str = "text") -> int:
@@ -23,17 +41,20 @@ def longest(df: DataFrame, text_col: str = "text") -> int:
 
 def build_sketch(
     df: DataFrame, by: Sequence[str] = ("id",), alpha: float = 1.25, cd: CountDistinct = Hll(), grid: str = "with_unit", max_length: int | None = None,
-    lengths: Sequence[int] | None = None, text_col: str = "text", unit: str | None = None, params: FingerprintParams = FingerprintParams(),
+    lengths: Sequence[int] | None = None, text_col: str = "text", unit: str | None = None, params: FingerprintParams = FingerprintParams(), of_sets: bool | None = None,
 ) -> DataFrame:
     """(by, k, cd...): sketches of the strings that share `by`.
 
     Without `lengths` the grid goes up to the longest string, or to `max_length`, which loses
-    nothing where n / delta (see plans.length_bound) is below it.
+    nothing where n / delta (see plans.length_bound) is below it. `of_sets` tells whether several
+    strings may share a key; by default only the key `id` is that of one string.
     """
+    unit = unit or {"string": "codepoint", "binary": "byte"}.get(dict(df.dtypes)[text_col], "symbol")
+    about = {"kind": _kind(cd), "moduli": list(params.moduli), "base": params.base, "unit": unit, "of_sets": tuple(by) != ("id",) if of_sets is None else of_sets}
     if lengths is None:
         lengths = sampled_lengths(max_length or longest(df, text_col), alpha, grid)
     rows = window_rows(df, lengths, by, text_col, unit, params)
-    return cd.build(rows, [*by, "k"])
+    return described(cd.build(rows, [*by, "k"]), about)
 
 
 def build_for(df: DataFrame, epsilon: float, target: str = "delta", **options) -> DataFrame:
@@ -42,6 +63,14 @@ def build_for(df: DataFrame, epsilon: float, target: str = "delta", **options) -
     return build_sketch(df, alpha=plan.alpha, cd=Hll(plan.hll_lg_k), **options)
 
 
+def certified(found: DataFrame, strings: DataFrame, cap: int, by: Sequence[str] = ("id",), text_col: str = "text") -> DataFrame:
+    """`found` (by, delta, ...) over lengths up to `cap`, with n (symbols of all its strings), bound (n / delta: no maximiser is longer) and certified (bound <= cap)."""
+    size = F.size(text_col) if dict(strings.dtypes)[text_col].startswith("array") else F.length(text_col)
+    sizes = strings.groupBy(*by).agg(F.sum(size).cast("bigint").alias("n"))
+    bound = length_bound(F.col("n"), F.col("delta"))
+    return found.join(sizes, list(by)).withColumn("bound", bound).withColumn("certified", F.col("bound") <= cap)
+
+
 def estimate_delta(sketches: DataFrame, by: Sequence[str] = ("id",), cd: CountDistinct = Hll()) -> DataFrame:
     """(by, delta, k_hat): the largest estimate a length and the least length that attains it."""
     ratio = F.col("d") / F.col("k")
@@ -85,27 +114,60 @@ def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts:
         low = high
 
 
+def grow_to_local_maximum(df: DataFrame, counts: Callable[[DataFrame, list[int]], DataFrame], strict: bool = True, first: int = 8) -> DataFrame:
+    """(id, delta, k_hat) of the heuristic that grows the length until d / k falls (or, not `strict`, stands), without a cap.
+
+    `counts(strings, lengths)` gives (id, k, d), exact or sketched. Every fourfold range of
+    lengths is a round, for the strings that haven't fallen yet; beyond its end a string has no
+    windows, which is a fall.
+    """
+    out, high = None, first
+    while True:
+        size = F.size("text") if dict(df.dtypes)["text"].startswith("array") else F.length("text")
+        every = df.select("id", F.explode(F.array(*map(F.lit, range(1, high + 1)))).alias("k"))
+        counted = every.join(counts(df, list(range(1, high + 1))).select("id", "k", "d"), ["id", "k"], "left").withColumn("d", F.coalesce("d", F.lit(0)))
+        found = _written(local_maximum(counted, strict).join(df.select("id", size.alias("n")), "id"), "local-maxima")
+        done = found.where((F.col("k_hat") < high) | (F.col("n") <= high)).select("id", "delta", "k_hat")
+        out = done if out is None else out.unionByName(done)
+        rest = found.where((F.col("k_hat") >= high) & (F.col("n") > high))
+        if rest.isEmpty():
+            return out
+        df, high = df.join(rest.select("id"), "id", "left_semi"), 4 * high
+
+
 def merge_sketches(*sketches: DataFrame, by: Sequence[str] = ("id",), cd: CountDistinct = Hll()) -> DataFrame:
-    """Of the union of the sets: by key and length, where a sketch without a length counts as empty. All must have the same kind and parameters."""
-    out = sketches[0]
-    for other in sketches[1:]:
-        if set(other.columns) != set(out.columns):
-            raise ValueError("sketches of different kinds can't be merged")
-        out = out.unionByName(other)
-    return cd.merge(out, [*by, "k"])
+    """Of the union of the sets: by key and length, where a sketch without a length counts as empty.
+
+    All must have the same kind and parameters, that of `cd`; grids of one ratio but other
+    lengths may differ. Sketches that say nothing about themselves merge only with their like.
+    """
+    told = [description(s) for s in sketches]
+    alike = [{k: v for k, v in t.items() if k != "of_sets"} for t in told]
+    if any(set(s.columns) != set(sketches[0].columns) for s in sketches) or any(t != alike[0] for t in alike):
+        raise ValueError(f"sketches of different kinds can't be merged: {alike}")
+    if alike[0] and alike[0]["kind"] != _kind(cd):
+        raise ValueError(f"the sketches are {alike[0]['kind']}, not {_kind(cd)}")
+    out = functools.reduce(lambda a, b: a.unionByName(b), sketches)
+    merged = cd.merge(out, [*by, "k"])
+    return described(merged, {**told[0], "of_sets": True}) if told[0] else merged
 
 
 def extend_sketch(sketches: DataFrame, tails: DataFrame, chunks: DataFrame, lengths: Sequence[int], cd: CountDistinct = Hll(), id_col: str = "id") -> tuple[DataFrame, DataFrame]:
     """Append a chunk to every string: (sketches, tails) after it.
 
     tails: (id, tail), each string's last max(lengths) - 1 symbols; chunks: (id, text). Only
-    windows that end in the chunk are added. Defined for single strings, not for sets.
+    windows that end in the chunk are added. Defined for single strings; sketches of sets are refused.
     """
+    about = description(sketches)
+    if about.get("of_sets"):
+        raise ValueError("a sketch of a set of strings has no end to append to")
     keep = max(lengths) - 1
     longer = tails.join(chunks, id_col, "full_outer").select(id_col, F.concat(F.coalesce("tail", F.lit("")), F.coalesce("text", F.lit(""))).alias("text"))
-    new = build_sketch(longer, (id_col,), lengths=lengths, cd=cd)
+    new = build_sketch(longer, (id_col,), lengths=lengths, cd=cd, of_sets=False)
+    new = new if about else new.withMetadata("k", {})
     kept = longer.select(id_col, F.when(F.length("text") > keep, F.expr(f"right(text, {keep})")).otherwise(F.col("text")).alias("tail"))
-    return merge_sketches(sketches, new, by=(id_col,), cd=cd), kept
+    merged = merge_sketches(sketches, new, by=(id_col,), cd=cd)
+    return described(merged, about) if about else merged, kept
 
 
 def rollup_sketch(sketches: DataFrame, levels: Sequence[str], cd: Buffered = Hll()) -> DataFrame:

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from repetix.operators import distance, metrics, profile
+from repetix.operators import distance, metrics, profile, sketch
+from repetix.operators.distinct import Hll
 from repetix.sources.tables import load_table
 
 from .common import DOCS, ITEMS, TURNS, Registry, docs, items, profile_cte, strings, turns
@@ -90,7 +91,7 @@ n AS (SELECT id, ctx, sym, count(*) AS n FROM c GROUP BY ALL), p AS (SELECT id,
 SELECT s.id, CAST({k} AS INTEGER) AS k, coalesce(b.bits, 0) AS bits FROM s LEFT JOIN (SELECT id, -sum(n * log2(p)) / max(m) AS bits FROM p GROUP BY id) b ON s.id = b.id"""
 
 
-for _k in (1, 2):
+for _k in (1, 2, 4):
     query(f"entropy{_k}_turns", entropy_sql(_k))(lambda spark, sf_dir, k=_k: profile.entropies(turns(spark, sf_dir), [k]))
 
 
@@ -103,16 +104,25 @@ for _name, _strict in (("local_max_delta", True), ("local_max_plateau_delta", Fa
     query(_name, local_sql(_strict))(lambda spark, sf_dir, strict=_strict: profile.local_maximum(profile.substring_profile(items(spark, sf_dir), range(1, 41)), strict))
 
 
+def exact_counts(rows, lengths):
+    return profile.substring_profile(rows, lengths)
+
+
+def sketched_counts(rows, lengths):
+    return HLL.estimates(sketch.build_sketch(rows, cd=HLL, lengths=lengths), ["id", "k"])
+
+
+HLL = Hll(14)
+query("local_max_uncapped", local_sql(True))(lambda spark, sf_dir: sketch.grow_to_local_maximum(items(spark, sf_dir), exact_counts))
+query("local_max_sketched")(lambda spark, sf_dir: sketch.grow_to_local_maximum(items(spark, sf_dir), sketched_counts))
+
+
 @query("local_max_misses")
 def local_max_misses(spark, sf_dir):
     """Strings on which the heuristic is wrong: documents, and adversarial ones."""
-    from repetix.operators.profile import exact_delta, local_maximum, substring_profile
-
-    hard = adversarial(spark)
-    rows = docs(spark, sf_dir).select(F.col("id").cast("string").alias("id"), "text").unionByName(hard)
-    counted = substring_profile(rows, range(1, 41)).where("d > 0")
-    rules = [local_maximum(counted, strict).select("id", F.col("delta").alias("heuristic"), F.lit(name).alias("stops_before")) for name, strict in (("fall", True), ("stand", False))]
-    missed = exact_delta(rows).join(rules[0].unionByName(rules[1]), "id").where("heuristic < delta - 1e-9")
+    rows = sketch._written(docs(spark, sf_dir).select(F.col("id").cast("string").alias("id"), "text").where("text <> ''").unionByName(adversarial(spark)).repartition(16), "strings")
+    rules = [sketch.grow_to_local_maximum(rows, exact_counts, strict).select("id", F.col("delta").alias("heuristic"), F.lit(name).alias("stops_before")) for name, strict in (("fall", True), ("stand", False))]
+    missed = profile.exact_delta(rows).join(rules[0].unionByName(rules[1]), "id").where("heuristic < delta - 1e-9")
     return missed.select("id", "n", "delta", "k_hat", "heuristic", "stops_before")
 
 
@@ -134,9 +144,8 @@ def adversarial_delta(spark, sf_dir):
     return profile.exact_delta(adversarial(spark)).select("id", "delta", "k_hat")
 
 
-@query("distance_by_codec")
-def distance_by_codec(spark, sf_dir):
-    return distance.all_pairs_distance(items(spark, sf_dir), "xz")
+for _codec in profile.CODECS:
+    query("distance_by_codec" if _codec == "xz" else f"distance_by_{_codec}")(lambda spark, sf_dir, codec=_codec: distance.all_pairs_distance(items(spark, sf_dir), codec))
 
 
 @query("maximiser_histogram")
@@ -152,7 +161,7 @@ def markup_delta(spark, sf_dir):
     return profile.exact_delta(raw).select("id", F.col("delta").alias("raw")).join(profile.exact_delta(bare).select("id", F.col("delta").alias("bare")), "id")
 
 
-@query("json_field_delta", "SELECT CAST(json_extract(props, '$.k') AS INTEGER) AS field, count(*) AS rows FROM events GROUP BY 1")
+@query("json_field_counts", "SELECT CAST(json_extract(props, '$.k') AS INTEGER) AS field, count(*) AS rows FROM events GROUP BY 1")
 def json_fields(spark, sf_dir):
     events = load_table(spark, sf_dir, "events", ["props"])
     return events.select(F.from_json("props", "k int")["k"].alias("field")).groupBy("field").agg(F.count("*").alias("rows"))

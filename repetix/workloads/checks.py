@@ -144,3 +144,20 @@ def profiles_agree(spark, sf_dir):
     c = profile.substring_profile(rows, SHORT, mode="fingerprint").where("d > 0").withColumnRenamed("d", "c")
     met = a.join(b, ["id", "k"], "full_outer").join(c, ["id", "k"], "full_outer")
     return met.select((F.col("d").eqNullSafe(F.col("b")) & F.col("d").eqNullSafe(F.col("c"))).alias("holds"))
+
+
+@invariant("parses_polylog")
+def parses_polylog(spark, sf_dir):
+    """Phrases and runs are at most delta times a polylogarithm."""
+    limit = 8 * F.col("delta") * F.pow(F.log2("n"), 2) + EPS
+    return with_parses(spark, sf_dir).where("n >= 8").select(((F.col("z") <= limit) & (F.col("r") <= limit)).alias("holds"))
+
+
+@invariant("capped_then_exact")
+def capped_then_exact(spark, sf_dir):
+    """Counts up to three symbols, carried on where the certificate isn't met, give what all lengths give."""
+    strings = turns(spark, sf_dir)
+    counts = lambda rows, lengths: profile.substring_profile(rows, lengths)
+    capped = profile.delta_of_profile(counts(strings, [1, 2, 3]))
+    whole = sketch.go_on(strings, ["id"], capped, 3, counts, alpha=None).select("id", F.col("delta").alias("got"))
+    return profile.exact_delta(strings).join(whole, "id", "left").select((F.abs(F.coalesce("got", F.lit(0.0)) - F.col("delta")) <= EPS).alias("holds"))

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams, code_points, fingerprint, fingerprint_concat, fingerprint_roll, power_mod
 from repetix.operators import distance, metrics, profile, sketch
-from repetix.plans.accuracy import plan_accuracy, sampled_lengths_column
+from repetix.plans.accuracy import plan_accuracy, sampled_lengths, sampled_lengths_column
 from repetix.sources.tables import event_sequences, line_sequences, load_table, order_sequences
 
 from .common import DOCS, ITEMS, SHORT, TURNS, Registry, delta_of, docs, items, profile_cte, profile_sql, turns, windows_cte
@@ -178,6 +178,24 @@ def group_delta_all_lengths(spark, sf_dir):
     return whole_group_delta(docs(spark, sf_dir, "source"), ["source"])
 
 
+@query("sketch_delta_by_language")
+def sketch_delta_by_language(spark, sf_dir):
+    """Every language's documents as one set, in registers made in the task; lengths go on while they could win."""
+    from repetix.operators import packed
+
+    cd, strings = packed.Packed(), docs(spark, sf_dir, "lang")
+    counts = lambda rows, lengths: cd.estimates(cd.from_strings(rows, ["lang"], lengths), ["lang", "k"])
+    return sketch.go_on(strings, ["lang"], profile.delta_of_profile(counts(strings, sampled_lengths(40, 1.25)), ["lang"]), 40, counts)
+
+
+@query("repeated_text_delta", f"SELECT id, true AS same_set FROM ({ITEMS})")
+def repeated_text(spark, sf_dir):
+    """A text written eight times over has the delta of two copies at most, as a set and as a string up to the border."""
+    rows = items(spark, sf_dir)
+    once, often = profile.exact_delta(rows).select("id", F.col("delta").alias("once"), "n"), profile.exact_delta(rows.select("id", F.repeat("text", F.lit(8)).alias("text"))).select("id", F.col("delta").alias("often"))
+    return once.join(often, "id").select("id", ((F.col("often") >= F.col("once") - 1e-9) & (F.col("often") <= F.col("once") + 1 + 1e-9)).alias("same_set"))
+
+
 @query("group_delta_all_lengths_rollup")
 def group_delta_all_lengths_rollup(spark, sf_dir):
     """The measure of every (lang, source), every lang and all documents."""

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from repetix.operators import distance, metrics, phylogeny, profile, sketch
+from repetix.operators import distance, longstring, metrics, phylogeny, profile, sketch
 from repetix.operators.distinct import Hll
 from repetix.session import fresh_path
 
@@ -13,6 +13,8 @@ from .common import Registry, docs
 query = Registry()
 QUERIES, ORACLES = query.queries, query.oracles
 PREFIXES, LONGEST, SEQUENCES, SEQUENCE_LENGTH = 10, 5, 29, 81_000
+#: Symbols of the longest prefix of a source: parses need the whole prefix in one task.
+STUDY = 50_000
 
 
 def written(df, name):
@@ -30,8 +32,24 @@ def prefixes(spark, sf_dir):
     return steps.select(F.col("id").alias("doc_id"), length.alias("prefix_len"), F.left("text", length).alias("text"))
 
 
-def prefix_measures_of(spark, sf_dir):
-    rows = written(prefixes(spark, sf_dir).select(F.struct("doc_id", "prefix_len").alias("id"), "text").repartition(16), "prefixes")
+def concatenations(spark, sf_dir, by, most):
+    """(id, text): the documents that share `by` as one string in doc_id order, its first `most` symbols. Documents beyond these are left out by their offsets, before any are put together."""
+    rows = docs(spark, sf_dir, *by).withColumn("key", F.concat_ws("/", *by))
+    placed = longstring.offsets(longstring.chunk_table(rows, "id", by="key")).where(F.col("start") < most)
+    whole = placed.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("start", "at", "text"))).alias("parts"))
+    return whole.select("id", F.left(F.array_join(F.transform("parts", lambda p: p["text"]), ""), F.lit(most)).alias("text"))
+
+
+def source_prefixes(spark, sf_dir):
+    """(id, prefix_len, text): ten equal steps of the documents of each source as one string, which is repetitive, up to STUDY symbols."""
+    rows = concatenations(spark, sf_dir, ["source"], STUDY).withColumn("n", F.length("text"))
+    steps = rows.withColumn("step", F.explode(F.sequence(F.lit(1), F.lit(PREFIXES))))
+    length = F.floor(F.col("n") * F.col("step") / PREFIXES).cast("int")
+    return steps.select(F.col("id").alias("doc_id"), length.alias("prefix_len"), F.left("text", length).alias("text"))
+
+
+def prefix_measures_of(spark, sf_dir, strings=prefixes):
+    rows = written(strings(spark, sf_dir).select(F.struct("doc_id", "prefix_len").alias("id"), "text").repartition(64), "prefixes")
     near = sketch.estimate_delta(sketch.build_sketch(rows, max_length=128)).select("id", F.col("delta").alias("delta_sketch"))
     codecs = rows.select("id", *[profile.codec_size(c)(F.col("text")).cast("double").alias(c) for c in ("xz", "lzma2_raw")])
     wide = profile.exact_delta(rows).select("id", "delta").join(near, "id").join(profile.parse_sizes(rows).select("id", F.col("r").cast("double").alias("r"), F.col("z").cast("double").alias("z")), "id").join(codecs, "id")
@@ -48,11 +66,19 @@ def prefix_trend(spark, sf_dir):
     return metrics.trend_agreement(written(prefix_measures_of(spark, sf_dir), "prefix-measures"))
 
 
+@query("prefix_measures_by_source")
+def prefix_measures_by_source(spark, sf_dir):
+    return metrics.normalised(prefix_measures_of(spark, sf_dir, source_prefixes))
+
+
+@query("prefix_trend_by_source")
+def prefix_trend_by_source(spark, sf_dir):
+    return metrics.trend_agreement(written(prefix_measures_of(spark, sf_dir, source_prefixes), "prefix-measures"))
+
+
 def sequences(spark, sf_dir):
     """(id, text): 29 strings, the concatenations of documents by language and source, each cut to 81,000 symbols."""
-    grouped = docs(spark, sf_dir, "lang", "source").groupBy("lang", "source").agg(F.sort_array(F.collect_list(F.struct("id", "text"))).alias("parts"))
-    whole = grouped.select(F.concat_ws("/", "lang", "source").alias("id"), F.left(F.array_join(F.transform("parts", lambda p: p["text"]), ""), F.lit(SEQUENCE_LENGTH)).alias("text"))
-    return whole.orderBy("id").limit(SEQUENCES)
+    return concatenations(spark, sf_dir, ["lang", "source"], SEQUENCE_LENGTH).orderBy("id").limit(SEQUENCES)
 
 
 def tree_distances(spark, sf_dir):

@@ -8,10 +8,12 @@ from repetix.functions.fingerprint import FingerprintParams
 from repetix.functions.hashing import OFFSET, P, SCALE, seed_for
 from repetix.operators import distance, longstring, metrics, packed, profile, sketch
 from repetix.operators.distinct import F0, Exact, F0Median, Hll, Kmv, LinearCounting, Theta, approx_profile, window_rows
+from repetix.plans.accuracy import sampled_lengths
 from repetix.sources.tables import load_table
 from repetix.streaming import stream_sketch as streams
 
 from .common import ITEMS, SHORT, Registry, delta_of, docs, items, turns, windows_cte
+from .common import strings as texts
 from .core import EVENTS, sql_print
 
 query = Registry()
@@ -134,16 +136,12 @@ for _name, _cd in (("hll_delta", Hll()), ("theta_delta", Theta())):
 @query("packed_delta")
 def packed_delta(spark, sf_dir):
     """The fast path: every document's estimate in one narrow pass."""
-    from repetix.plans.accuracy import sampled_lengths
-
     strings = docs(spark, sf_dir)
     return packed.estimate_strings(strings, sampled_lengths(sketch.longest(strings), 1.25))  # a string stops where no longer length can win
 
 
 @query("packed_group_delta")
 def packed_group_delta(spark, sf_dir):
-    from repetix.plans.accuracy import sampled_lengths
-
     cd = packed.Packed()
     strings = docs(spark, sf_dir, "source")
     counts = lambda rows, lengths: cd.estimates(cd.from_strings(rows, ["source"], lengths), ["source", "k"])
@@ -167,6 +165,30 @@ def approx_delta(spark, sf_dir):
     return profile.delta_of_profile(approx_profile(rows, ["id", "k"]))
 
 
+@query("sketch_size_documents")
+def sketch_size_documents(spark, sf_dir):
+    """Lengths and bytes of every document's sketch."""
+    return metrics.sketch_size(sketch.build_sketch(docs(spark, sf_dir), max_length=100))
+
+
+GRID = sampled_lengths(1 << 24, 1.25)
+
+
+@query(
+    "merge_cost_items",
+    f"WITH s AS ({ITEMS}), k AS (SELECT unnest([{', '.join(map(str, GRID))}]) AS k) SELECT a.id AS id_a, b.id AS id_b, count(*) AS unions FROM s a JOIN s b ON a.id < b.id JOIN k ON k <= length(a.text) AND k <= length(b.text) GROUP BY a.id, b.id",
+)
+def merge_cost_items(spark, sf_dir):
+    return distance.merge_cost(sketch.build_sketch(items(spark, sf_dir)))
+
+
+@query("certified_documents")
+def certified_documents(spark, sf_dir):
+    """The estimate over lengths up to 16 of every document, with the certificate that tells whether longer lengths could win."""
+    strings = docs(spark, sf_dir)
+    return sketch.certified(sketch.estimate_delta(sketch.build_sketch(strings, max_length=16)), strings, 16)
+
+
 @query("hll_merge_delta")
 def hll_merge_delta(spark, sf_dir):
     """Sketches of documents, merged by source; a text is read again only where lengths over 40 could win."""
@@ -205,8 +227,6 @@ def sketch_extend(spark, sf_dir):
 @query("sketch_error_by_alpha")
 def sketch_error_by_alpha(spark, sf_dir):
     """(alpha, cd, strings, mean, p99, max): one sketch of all lengths of the finest grids serves every ratio."""
-    from repetix.plans.accuracy import sampled_lengths
-
     strings = docs(spark, sf_dir)
     exact = profile.exact_delta(strings).select("id", "delta")
     grids = {a: sampled_lengths(100, a) for a in (2.0, 1.5, 1.25, 1.1, 1.05)}
@@ -225,8 +245,6 @@ def sketch_error_by_alpha(spark, sf_dir):
 @query("grid_error_exact_counts")
 def grid_error(spark, sf_dir):
     """The share of the error that the grid alone makes: exact counts on sampled lengths."""
-    from repetix.plans.accuracy import sampled_lengths
-
     strings = docs(spark, sf_dir)
     grids = {a: sampled_lengths(100, a) for a in (2.0, 1.5, 1.25, 1.1)}
     by_grid = spark.createDataFrame([(a, k) for a, ks in grids.items() for k in ks], "alpha double, k int")
@@ -246,6 +264,32 @@ def all_pairs_sketch_error(spark, sf_dir):
     return exact.join(near, ["id_a", "id_b"]).agg(F.count("*").alias("pairs"), F.sum(beyond).alias("beyond"))
 
 
+def conversations(spark, sf_dir):
+    df = load_table(spark, sf_dir, "conversations", ["conv_id", "text"])
+    return df.select(F.col("conv_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"))
+
+
+@query("sketch_error_other_corpora")
+def sketch_error_other_corpora(spark, sf_dir):
+    """(corpus, cd, alpha, strings, mean, p99, max) on pages and on conversations as sets of turns, by every family; `exact` is the grid's own share."""
+    ratios = (2.0, 1.5, 1.25, 1.1, 1.05, 1.025)
+    grids = {a: sampled_lengths(64, a) for a in ratios}
+    wanted = sorted({k for ks in grids.values() for k in ks})
+    by_grid = spark.createDataFrame([(a, k) for a, ks in grids.items() for k in ks], "alpha double, k int")
+    families = {"exact": Exact(), "hll": Hll(), "theta": Theta(), "kmv": Kmv(1024), "f0": F0(4096), "f0_median": F0Median(3, 4096), "linear": LinearCounting(M_BITS)}
+    out = None
+    for corpus, strings in (("pages", texts(spark, sf_dir, "pages", "page_id", "html")), ("conversations", conversations(spark, sf_dir))):
+        rows = sketch._written(window_rows(strings, wanted), "windows")
+        truth = Exact().estimates(Exact().build(rows, ["id", "k"]), ["id", "k"]).groupBy("id").agg(F.max(F.col("d") / F.col("k")).alias("exact"))  # every length to 64 is in a grid or falls between neighbours
+        counted = {name: cd.estimates(cd.build(rows, ["id", "k"]), ["id", "k"]) for name, cd in families.items()} | {"approx_count_distinct": approx_profile(rows, ["id", "k"])}
+        for name, profile_of in counted.items():
+            deltas = profile_of.join(F.broadcast(by_grid), "k").groupBy("id", "alpha").agg(F.max(F.col("d") / F.col("k")).alias("delta"))
+            errors = deltas.join(truth, "id").withColumn("error", F.abs(F.col("delta") - F.col("exact")) / F.col("exact"))
+            summary = metrics.error_summary(errors, ["alpha"]).withColumn("cd", F.lit(name)).withColumn("corpus", F.lit(corpus))
+            out = summary if out is None else out.unionByName(summary)
+    return out
+
+
 WHOLE = "SELECT 0 AS id, string_agg(text, '' ORDER BY item_id) AS text FROM benchmark"
 
 
@@ -267,11 +311,21 @@ def block_shift_profile(spark, sf_dir):
     return longstring.block_shift_windows(chunks, (1, 3, 100, 1000, 3000), size=512).groupBy("k").agg(F.count_distinct("fp").alias("d"))
 
 
+POWERS = [1 << i for i in range(13)]
+
+
+@query("long_string_plan", f"WITH {windows_cte(WHOLE, POWERS)}, p AS (SELECT id, CAST(k AS INTEGER) AS k, count(DISTINCT g) AS d FROM w GROUP BY id, k), n AS (SELECT 0 AS id, sum(length(text)) AS n FROM benchmark) SELECT x.id, CAST(n AS BIGINT) AS n, delta, k_hat, CAST(floor(n / delta) AS BIGINT) AS bound FROM ({delta_of('p')}) x JOIN n ON n.id = x.id")
+def long_string_plan(spark, sf_dir):
+    """All items as one string: lengths up to 4 with halos, longer ones by block shift up to the certificate."""
+    chunks = longstring.chunk_table(load_table(spark, sf_dir, "benchmark"), "item_id")
+    return longstring.sketch_long_strings(chunks, Exact(), alpha=2.0, cap=4, size=512)[1]
+
+
 @query("long_string_delta")
 def long_string_delta(spark, sf_dir):
     """All documents as one string, with sketches: delta, its maximiser, and the certificate: lengths go on until they reach it."""
     chunks = longstring.chunk_table(load_table(spark, sf_dir, "documents", ["doc_id", "text"]), "doc_id")
-    from repetix.plans.accuracy import length_bound, sampled_lengths
+    from repetix.plans.accuracy import length_bound
 
     cd = packed.Packed()
     n = load_table(spark, sf_dir, "documents", ["text"]).agg(F.coalesce(F.sum(F.length("text")), F.lit(0)).cast("bigint").alias("n"))
