@@ -19,14 +19,17 @@ query = Registry()
 QUERIES, ORACLES = query.queries, query.oracles
 STREAMED = (1, 2, 3, 5)
 ORDER = ["ts", "event_id"]
-#: An event's symbol is a small letter, that before `a` for types not known.
-SYMBOL = (code_of("event_type", EVENT_TYPES) + ord("a")).alias("symbol")
+
+
+def event_symbol():
+    """An event's symbol is a small letter, that before `a` for types not known."""
+    return (code_of("event_type", EVENT_TYPES) + ord("a")).alias("symbol")
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     stream = spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parque[t]")  # a pattern, as a stream's plain path must be a folder
-    return stream.select(F.col("user_id").alias("id"), *ORDER, SYMBOL)
+    return stream.select(F.col("user_id").alias("id"), *ORDER, event_symbol())
 
 
 def longest_stream(spark: SparkSession, sf_dir: str) -> int:
@@ -94,7 +97,7 @@ DELAYED = "event_id % 20 = 0"
 )
 def stream_late_rows(spark, sf_dir):
     """Every twentieth event arrives after all others; those behind their user's last one go to the side table."""
-    events = load_table(spark, sf_dir, "events", ["user_id", "ts", "event_id", "event_type"]).select(F.col("user_id").alias("id"), *ORDER, SYMBOL)
+    events = load_table(spark, sf_dir, "events", ["user_id", "ts", "event_id", "event_type"]).select(F.col("user_id").alias("id"), *ORDER, event_symbol())
     stream = in_batches([events.where(f"NOT {DELAYED}"), events.where(DELAYED)], "late-events")
     rows = streams.stream_sketch(stream, ORDER, n_max=longest_stream(spark, sf_dir), lengths=[1, 2], transform=False)
     return streams.late_rows(streams.run_to_table(rows, "stream-late")).select("id", "event_id")
@@ -102,7 +105,7 @@ def stream_late_rows(spark, sf_dir):
 
 def runs_by_batch(spark, sf_dir):
     """(id, n, runs, words, dropped): the state of every user's stream after each quarter of the events."""
-    events = load_table(spark, sf_dir, "events", ["user_id", "ts", "event_id", "event_type"]).select(F.col("user_id").alias("id"), *ORDER, SYMBOL)
+    events = load_table(spark, sf_dir, "events", ["user_id", "ts", "event_id", "event_type"]).select(F.col("user_id").alias("id"), *ORDER, event_symbol())
     quarters = [r for r in events.select(F.percentile_approx("event_id", F.array(*map(F.lit, (0.25, 0.5, 0.75))))).first()[0] or []]
     edges = [None, *quarters, None]
     inside = lambda lo, hi: (F.lit(lo is None) | (F.col("event_id") > F.lit(lo))) & (F.lit(hi is None) | (F.col("event_id") <= F.lit(hi)))
