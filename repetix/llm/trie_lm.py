@@ -1,16 +1,21 @@
-"""LM scoring with sharded Elias-Fano n-gram tries (order two).
+"""LM scoring with sharded Elias-Fano n-gram tries (order three).
 
-The probability of a word after another is (1 - b) * c(v w) / c(v) + b * p(w): p is the additive
-unigram estimate, c counts training tokens, and the back-off b depends on the class of c(v):
-the share of that class's training tokens whose pair occurs once, that is, would be unseen were
-the token left out. For every context this sums to one.
+Probabilities are smoothed by a prior of the next lower order: after a context c that training
+has C times, a word has (count + m * lower) / (C + m), where lower is its probability after the
+context without its first word, and in the end the additive unigram estimate; m is PRIOR_2 or
+PRIOR_3. Contexts of two words that training has once have no level of their own: there the
+lower order stands. The probabilities of all words and the end after a context sum to one. The
+tries store them quantised, each off by under 1.4 per cent (2.8 at order three, whose lower
+probability is read from a code), so that the sum over a context is off by as much at most.
 
 No task and no broadcast holds the model. Texts become blocks of word numbers, written once.
-A block asks each word shard for its words' counts and each pair shard for its pairs; a pair
-shard adds up the training counts of all blocks, builds the trie of its pairs in a
-memory-mapped file, and answers each block with quantised ratios. Questions and answers are
-packed arrays, one row for each block and shard. A frequent context is spread over shards by
-word, and a pair appears once in a block's question however often the block has it.
+A block asks word shards for its words' counts, then pair shards for its pairs, then triple
+shards for its triples. A shard adds up the training counts of all blocks, builds the trie
+level of its contexts in a memory-mapped file, and answers with codes by a successor search
+inside the context's pointers. A pair's answer names its place in the level, which is the
+context of its triples. Questions and answers are packed arrays, one row for each block and
+shard. A frequent context is spread over shards by word, and an n-gram appears once in a
+block's question however often the block has it. Shards grow in number with the tokens.
 """
 
 from __future__ import annotations
@@ -21,21 +26,28 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checked, fresh_path, materialise, partitions
-from .elias_fano import BigramTrie, Quantiser
+from .common import checked, drop_table, fresh_path, materialise, partitions
+from .elias_fano import Quantiser, TrieLevel
+from .rank_array_bpe import slices
 
-LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 END = b""
 BLOCK_BYTES = 6_000_000
-#: Pieces that a context's pairs are spread over.
+#: Weights of the lower order, in tokens.
+PRIOR_2, PRIOR_3 = 1000.0, 30.0
+#: Contexts of two words with fewer training tokens have no successors.
+LEAST_CONTEXT = 2
+#: Pieces that a context's successors are spread over: every pair context, and pairs of words with more than HOT tokens.
 PIECES = 64
-CLASSES = 128
+HOT = 100_000
+#: Training tokens for each pair shard, beyond the session's partitions.
+SHARD_TOKENS = 4_000_000
 
 
 def packed(values: np.ndarray) -> bytes:
@@ -46,54 +58,56 @@ def unpacked(raw: bytes, dtype) -> np.ndarray:
     return np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), dtype)
 
 
-def tokens_of(text: str | None) -> list[bytes]:
-    """Words between ASCII blanks with A-Z lower-cased, then one end."""
-    words = (text or "").encode("utf-8", "surrogatepass").translate(LOWER).split()
-    words.append(END)
-    return words
-
-
 def in_training(doc_id) -> bool:
     return doc_id is None or zlib.crc32(str(doc_id).encode()) % 5 != 1
 
 
-def count_class(counts: np.ndarray) -> np.ndarray:
-    """Two classes for each doubling of the count; class 0 is for contexts never seen."""
-    return np.where(counts > 0, 1 + np.floor(2 * np.log2(np.maximum(counts, 1))), 0).astype(np.int64)
-
-
 def text_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row for each run of texts: block, doc_ids, lengths (tokens), train, words (hashes), counts (training), tokens (numbers of words)."""
 
+    def numbered(texts: pa.Array) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+        """(words, lengths, numbers of the tokens); the last word is the end. All in Arrow: splits at the six ASCII blanks, lowers A-Z."""
+        split = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(texts.cast(pa.large_string()), "")))
+        parts = split.flatten()
+        there = pc.not_equal(parts, "")
+        kept = np.concatenate(([0], np.cumsum(there.to_numpy(zero_copy_only=False))))
+        offsets = split.offsets.to_numpy()
+        lengths = np.diff(kept[offsets - offsets[0]]) + 1
+        words = parts.filter(there).dictionary_encode()
+        tokens = np.full(int(lengths.sum()), len(words.dictionary), np.int64)
+        ends = np.zeros(len(tokens), bool)
+        ends[np.cumsum(lengths) - 1] = True
+        tokens[~ends] = words.indices.to_numpy()
+        return [*words.dictionary.cast(pa.large_binary()).to_pylist(), END], lengths, tokens
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first = TaskContext.get().partitionId() << 32
-        made = 0
+        made = size = 0
+        ids: list = []
+        texts: list[pa.Array] = []
 
         def close() -> pa.RecordBatch:
-            nonlocal made
-            flags, lens = np.array(train, bool), np.array(lengths, np.int64)
-            tokens = np.concatenate(numbered)
-            counts = np.bincount(tokens[np.repeat(flags, lens)], minlength=len(number))
-            hashes = np.fromiter((xxhash.xxh64_intdigest(w) for w in number), np.uint64, len(number))
+            nonlocal made, size
+            words, lengths, tokens = numbered(pa.concat_arrays(texts))
+            train = np.fromiter(map(in_training, ids), bool, len(ids))
+            counts = np.bincount(tokens[np.repeat(train, lengths)], minlength=len(words))
+            hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
             row = [
-                pa.array([first + made], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([packed(lens.astype("<u4"))]), pa.array([packed(flags)]),
+                pa.array([first + made], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([packed(lengths.astype("<u4"))]), pa.array([packed(train)]),
                 pa.array([hashes.tobytes()]), pa.array([packed(counts.astype("<u4"))]), pa.array([packed(tokens.astype("<u4"))]),
             ]
-            made += 1
+            made, size = made + 1, 0
+            ids.clear()
+            texts.clear()
             return pa.RecordBatch.from_arrays(row, names=["block", "doc_ids", "lengths", "train", "words", "counts", "tokens"])
 
-        ids, train, lengths, numbered, number, size = [], [], [], [], {}, 0
         for batch in batches:
-            for doc_id, text in zip(batch.column(id_col).to_pylist(), batch.column(text_col), strict=True):
-                words = tokens_of(text.as_py())
-                numbered.append(np.fromiter((number.setdefault(w, len(number)) for w in words), np.uint32, len(words)))
-                ids.append(doc_id)
-                train.append(in_training(doc_id))
-                lengths.append(len(words))
-                size += sum(map(len, words)) + len(words)
-                if size >= block_bytes:
+            for part in slices(batch, text_col, block_bytes):
+                ids += part.column(id_col).to_pylist()
+                texts.append(part.column(text_col))
+                size += pc.sum(pc.binary_length(part.column(text_col))).as_py() or 0
+                if size >= block_bytes // 2:
                     yield close()
-                    ids, train, lengths, numbered, number, size = [], [], [], [], {}, 0
         if ids:
             yield close()
 
@@ -101,11 +115,14 @@ def text_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int =
     return checked(docs, id_col, text_col).select(F.col(id_col).cast("bigint").alias(id_col), text_col).mapInArrow(run, schema)
 
 
-def _bucketed(blocks: DataFrame, buckets: int) -> DataFrame:
-    """The blocks in the shared folder, bucketed so that later joins on the block don't move them."""
-    spark, name = blocks.sparkSession, f"lm_blocks_{uuid.uuid4().hex}"
-    blocks.write.bucketBy(buckets, "block").sortBy("block").option("path", fresh_path(spark, "lm-blocks")).saveAsTable(name)
-    return spark.table(name)
+def _bucketed(rows: DataFrame, buckets: int, name: str, made: list[tuple[str, str]], deal: bool = True) -> DataFrame:
+    """The rows in the shared folder, bucketed by block so that later joins on the block don't move them. `made` lists tables to drop."""
+    spark = rows.sparkSession
+    table, path = f"lm_{name}_{uuid.uuid4().hex}", fresh_path(spark, f"lm-{name}")
+    dealt = rows.repartition(buckets, "block") if deal else rows
+    dealt.write.bucketBy(buckets, "block").sortBy("block").option("path", path).option("compression", "uncompressed").saveAsTable(table)
+    made.append((table, path))
+    return spark.table(table)
 
 
 def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
@@ -162,135 +179,191 @@ def word_answers(questions: DataFrame, shards: int) -> DataFrame:
     return questions.repartition(shards, "shard").mapInArrow(run, "shard int, block bigint, place int, ranks binary, counts binary, n bigint, v bigint")
 
 
-def _with_word_answers(blocks: DataFrame, answers: DataFrame, columns: list[str]) -> DataFrame:
-    told = answers.where("block >= 0").groupBy("block").agg(F.collect_list(F.struct("shard", "place", "ranks", "counts")).alias("told"))
-    return blocks.select(*columns).join(told, "block")
+def _told(blocks: DataFrame, answers: DataFrame, columns: list[str], name: str, *fields: str) -> DataFrame:
+    """`blocks` with the answers to each, an array of structs; both are bucketed by block."""
+    given = answers.where("block >= 0").groupBy("block").agg(F.collect_list(F.struct(*fields)).alias(name))
+    return blocks.select(*columns).join(given, "block", "left")
+
+
+class Block:
+    """A block's n-grams in the order of the words' global ids, and where the questions to each shard stand."""
+
+    def __init__(self, row: dict, word_shards: int, shards: int, n: int, v: int, hot: int = HOT):
+        home = (np.frombuffer(row["words"], np.uint64) % np.uint64(word_shards)).astype(np.int64)
+        ids, counts = np.zeros(len(home), np.int64), np.zeros(len(home), np.int64)
+        order = np.argsort(home, kind="stable")
+        edges = np.searchsorted(home[order], np.arange(word_shards + 1))
+        for part in row["told"]:
+            at = order[edges[part["shard"]] : edges[part["shard"] + 1]]
+            ids[at] = (part["place"] << 32) | unpacked(part["ranks"], "<u4").astype(np.int64)
+            counts[at] = unpacked(part["counts"], "<u8").astype(np.int64)
+        by_id = np.argsort(ids, kind="stable")
+        renumbered = np.empty(len(ids), np.int64)
+        renumbered[by_id] = np.arange(len(ids))
+        self.ids, self.counts, self.shards, self.hot = ids[by_id], counts[by_id], shards, hot
+        self.tokens = renumbered[unpacked(row["tokens"], "<u4")]
+        self.lengths = unpacked(row["lengths"], "<u4").astype(np.int64)
+        self.starts = np.cumsum(self.lengths) - self.lengths
+        self.train = np.repeat(unpacked(row["train"], bool), self.lengths)
+        self.unigram = (self.counts + 0.5) / (n + 0.5 * (v + 1))
+        end = self.tokens[self.lengths[0] - 1]
+        keys = np.concatenate(([end], self.tokens[:-1])) * len(ids) + self.tokens  # the context of a text's first word is the end
+        pairs, self.pair_of = np.unique(keys, return_inverse=True)
+        self.a, self.b = pairs // len(ids), pairs % len(ids)
+        ask = np.flatnonzero((self.counts[self.a] > 0) & (self.counts[self.b] > 0))
+        v_id, w_id = self.ids[self.a[ask]].astype(np.uint64), self.ids[self.b[ask]]
+        mixed = (v_id * np.uint64(0x9E3779B97F4A7C15)) ^ ((w_id % PIECES).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F))
+        self.asked, self.edges = self._dealt(ask, ((mixed ^ mixed >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(33)) % np.uint64(shards))
+
+    def _dealt(self, ask: np.ndarray, shard: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(shard.astype(np.uint32), kind="stable")
+        return ask[order], np.searchsorted(shard[order], np.arange(self.shards + 1, dtype=shard.dtype))
+
+    def pair_questions(self) -> Iterator[tuple]:
+        seen = np.bincount(self.pair_of[self.train], minlength=len(self.a))
+        low = Quantiser.codes(np.log10(self.unigram))
+        for s in range(self.shards):
+            mine = self.asked[self.edges[s] : self.edges[s + 1]]
+            if len(mine):
+                yield s, self.ids[self.a[mine]], self.counts[self.a[mine]], self.ids[self.b[mine]], seen[mine], low[self.b[mine]]
+
+    def hear_pairs(self, told: list[dict]) -> None:
+        """From the answers: each pair's probability, training count and place, and the triples of contexts that have successors."""
+        codes, total, node = np.zeros(len(self.a), np.uint16), np.zeros(len(self.a), np.int64), np.zeros(len(self.a), np.int64)
+        for part in told or []:
+            at = self.asked[self.edges[part["shard"]] : self.edges[part["shard"] + 1]]
+            codes[at], total[at] = unpacked(part["codes"], "<u2"), unpacked(part["totals"], "<u4")
+            node[at] = (part["place"] << 32) | np.cumsum(unpacked(part["steps"], "<u4"), dtype=np.int64)
+        self.codes, self.total = codes, total
+        self.pair = np.where(codes > 0, Quantiser.probabilities()[codes], PRIOR_2 * self.unigram[self.b] / (self.counts[self.a] + PRIOR_2))
+        follows = np.ones(len(self.tokens), bool)
+        follows[self.starts] = False
+        self.at = np.flatnonzero(follows & (np.concatenate(([0], total[self.pair_of[:-1]])) >= LEAST_CONTEXT))
+        context = self.pair_of[self.at - 1]
+        triples, first, self.triple_of = np.unique(context * len(self.ids) + self.tokens[self.at], return_index=True, return_inverse=True)
+        self.context, self.last = triples // len(self.ids), triples % len(self.ids)
+        self.lower = self.pair_of[self.at[first]]  # the pair of the triple's last two words
+        ask = np.flatnonzero(codes[self.lower] > 0)
+        ask = ask[np.argsort(node[self.context[ask]], kind="stable")]
+        piece = np.where(total[self.context[ask]] > self.hot, self.ids[self.last[ask]] % PIECES, 0)
+        self.node = node
+        self.asked_3, self.edges_3 = self._dealt(ask, ((node[self.context[ask]] >> 32) + piece * 7919) % self.shards)
+
+    def triple_questions(self) -> Iterator[tuple]:
+        seen = np.bincount(self.triple_of[self.train[self.at]], minlength=len(self.context))
+        for s in range(self.shards):
+            mine = self.asked_3[self.edges_3[s] : self.edges_3[s + 1]]
+            if len(mine):
+                yield s, self.node[self.context[mine]], self.total[self.context[mine]], self.ids[self.last[mine]], seen[mine], self.codes[self.lower[mine]]
+
+    def log10(self, told: list[dict]) -> np.ndarray:
+        """Of every token's probability, from the answers to the triples."""
+        codes = np.zeros(len(self.context), np.uint16)
+        for part in told or []:
+            codes[self.asked_3[self.edges_3[part["shard"]] : self.edges_3[part["shard"] + 1]]] = unpacked(part["codes"], "<u2")
+        unseen = PRIOR_3 * self.pair[self.lower] / (self.total[self.context] + PRIOR_3)
+        triple = np.where(codes > 0, Quantiser.probabilities()[codes], unseen)
+        out = np.log10(self.pair)[self.pair_of]
+        out[self.at] = np.log10(triple)[self.triple_of]
+        return out
+
+
+QUESTION = "shard int, block bigint, contexts binary, context_counts binary, of binary, words binary, high binary, counts binary, lower binary"
+
+
+def _asked(block: int, question: tuple) -> pa.RecordBatch:
+    shard, context, context_count, word, seen, lower = question
+    new = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
+    columns = [
+        pa.array([shard], pa.int32()), pa.array([block], pa.int64()), pa.array([packed(np.diff(context[new], prepend=0))]), pa.array([packed(context_count[new].astype("<u8"))]),
+        pa.array([packed(np.diff(np.append(new, len(context))).astype("<u4"))]), pa.array([packed(word.astype("<u4"))]), pa.array([packed((word >> 32).astype("<u4"))]),
+        pa.array([packed(seen.astype("<u4"))]), pa.array([packed(lower.astype("<u2"))]),
+    ]
+    return pa.RecordBatch.from_arrays(columns, names=[f.split()[0] for f in QUESTION.split(", ")])
+
+
+def pair_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for row in _rows(batches):
+            for question in Block(row, word_shards, shards, n, v).pair_questions():
+                yield _asked(row["block"], question)
 
+    return joined.mapInArrow(run, QUESTION)
 
-def _global_words(words: bytes, told: list[dict], shards: int) -> tuple[np.ndarray, np.ndarray]:
-    """(id, training count over all texts) of each of the block's words; ids are the same in all blocks."""
-    home = (np.frombuffer(words, np.uint64) % np.uint64(shards)).astype(np.int64)
-    ids, counts = np.zeros(len(home), np.int64), np.zeros(len(home), np.int64)
-    order = np.argsort(home, kind="stable")
-    edges = np.searchsorted(home[order], np.arange(shards + 1))
-    for part in told:
-        at = order[edges[part["shard"]] : edges[part["shard"] + 1]]
-        ids[at] = (part["place"] << 32) | unpacked(part["ranks"], "<u4").astype(np.int64)
-        counts[at] = unpacked(part["counts"], "<u8").astype(np.int64)
-    return ids, counts
 
+def triple_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, hot: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for row in _rows(batches):
+            block = Block(row, word_shards, shards, n, v, hot)
+            block.hear_pairs(row["pairs"])
+            for question in block.triple_questions():
+                yield _asked(row["block"], question)
 
-def _pairs(tokens: np.ndarray, lengths: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(context, word, inverse) of the block's pairs; the context of a text's first word is the end."""
-    end = tokens[lengths[0] - 1]
-    keys = np.concatenate(([end], tokens[:-1])).astype(np.int64) * n_words + tokens
-    pairs, inverse = np.unique(keys, return_inverse=True)
-    return pairs // n_words, pairs % n_words, inverse
+    return joined.mapInArrow(run, QUESTION)
 
 
-def _pair_order(v: np.ndarray, w: np.ndarray, c_v: np.ndarray, c_w: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of seen words by shard, context and word, and where each shard's begin. v, w are ids."""
-    ask = np.flatnonzero((c_v > 0) & (c_w > 0))
-    mixed = (v[ask].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) ^ ((w[ask] % PIECES).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F))
-    shard = ((mixed ^ mixed >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(33)) % np.uint64(shards)
-    order = np.lexsort((w[ask], v[ask], shard))
-    return ask[order], np.searchsorted(shard[order], np.arange(shards + 1, dtype=np.uint64))
+ANSWER = "shard int, block bigint, place int, codes binary, totals binary, steps binary"
 
 
-def pair_questions(joined: DataFrame, word_shards: int, shards: int) -> DataFrame:
-    """(shard, block, contexts, of, words, high, counts): each block's pairs of words that training has."""
+def answers(questions: DataFrame, shards: int, prior: float, places: bool) -> DataFrame:
+    """(shard, block, place, codes, totals, steps): for each question the codes, and with `places` the training counts and the steps from place to place."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for row in _rows(batches):
-            ids, counts = _global_words(row["words"], row["told"], word_shards)
-            tokens, lengths = unpacked(row["tokens"], "<u4"), unpacked(row["lengths"], "<u4").astype(np.int64)
-            a, b, inverse = _pairs(tokens, lengths, len(ids))
-            seen = np.bincount(inverse[np.repeat(unpacked(row["train"], bool), lengths)], minlength=len(a))
-            order, edges = _pair_order(ids[a], ids[b], counts[a], counts[b], shards)
-            for s in range(shards):
-                mine = order[edges[s] : edges[s + 1]]
-                if not len(mine):
-                    continue
-                v, w = ids[a[mine]], ids[b[mine]]
-                new = np.concatenate(([True], v[1:] != v[:-1]))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([s], pa.int32()), pa.array([row["block"]], pa.int64()), pa.array([packed(np.stack([v[new], counts[a[mine]][new]]))]),
-                        pa.array([packed(np.diff(np.append(np.flatnonzero(new), len(v))).astype("<u4"))]),
-                        pa.array([packed(w.astype("<u4"))]), pa.array([packed((w >> 32).astype("<u4"))]), pa.array([packed(seen[mine].astype("<u4"))]),
-                    ],
-                    names=["shard", "block", "contexts", "of", "words", "high", "counts"],
-                )
-
-    return joined.mapInArrow(run, "shard int, block bigint, contexts binary, of binary, words binary, high binary, counts binary")
-
-
-def pair_answers(questions: DataFrame, shards: int) -> DataFrame:
-    """(shard, block, codes) and, for each task, sums by class of the context's count (block -1)."""
+    def build(c: np.ndarray, n_contexts: int, n_words: int, keys: np.ndarray, total: np.ndarray, lower: np.ndarray) -> TrieLevel:
+        trained = np.flatnonzero(total > 0)
+        of, word, total = keys[trained] // n_words, keys[trained] % n_words, total[trained]
+        smoothed = (total + prior * Quantiser.probabilities()[lower[trained]]) / (c[of] + prior)
+        return TrieLevel(n_contexts, of, word, np.log10(smoothed), total).map_to_file()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = list(_rows(batches))
-        if not rows:
+        asked, heads, head_counts, of, word, seen, lower = [], [], [], [], [], [], []
+        for row in _rows(batches):
+            asked.append((row["shard"], row["block"]))
+            heads.append(np.cumsum(unpacked(row["contexts"], np.int64)))
+            head_counts.append(unpacked(row["context_counts"], "<u8").astype(np.int64))
+            of.append(unpacked(row["of"], "<u4"))
+            word.append(unpacked(row["words"], "<u4").astype(np.int64) | unpacked(row["high"], "<u4").astype(np.int64) << 32)
+            seen.append(unpacked(row["counts"], "<u4"))
+            lower.append(unpacked(row["lower"], "<u2"))
+        if not asked:
             return
-        v, c, w, n, lengths = [], [], [], [], []
-        for row in rows:
-            heads = unpacked(row.pop("contexts"), np.int64).reshape(2, -1)
-            of = unpacked(row.pop("of"), "<u4")
-            v.append(np.repeat(heads[0], of))
-            c.append(np.repeat(heads[1], of))
-            w.append(unpacked(row.pop("words"), "<u4").astype(np.int64) | unpacked(row.pop("high"), "<u4").astype(np.int64) << 32)
-            n.append(unpacked(row.pop("counts"), "<u4"))
-            lengths.append(len(w[-1]))
-        v, c, w, n = (np.concatenate(x) for x in (v, c, w, n))
-        trie, sums = build(v, w, c, n)
+        lengths = [len(w) for w in word]
+        contexts, first, head_no = np.unique(np.concatenate(heads), return_index=True, return_inverse=True)
+        c = np.concatenate(head_counts)[first]
+        words, word_no = np.unique(np.concatenate(word), return_inverse=True)
+        del heads, head_counts, word
+        keys, first, no = np.unique(np.repeat(head_no, np.concatenate(of)) * len(words) + word_no, return_index=True, return_inverse=True)
+        total = np.bincount(no, weights=np.concatenate(seen), minlength=len(keys)).astype(np.int64)
+        level = build(c, len(contexts), len(words), keys, total, np.concatenate(lower)[first])
+        found = level.places(keys // len(words), keys % len(words))
+        has = found >= 0
+        codes, totals = np.zeros(len(keys), np.uint16), np.zeros(len(keys), np.int64)
+        codes[has], totals[has] = level.codes[found[has]], level.totals[found[has]]
+        place = TaskContext.get().partitionId()
         ends = np.cumsum(lengths)
-        for row, start, stop in zip(rows, ends - lengths, ends, strict=True):
-            yield answer(row["shard"], row["block"], packed(trie.query(v[start:stop], w[start:stop])), [], [])
-        yield answer(-1, -1, b"", *(s.tolist() for s in sums))
-
-    def build(v: np.ndarray, w: np.ndarray, c: np.ndarray, n: np.ndarray) -> tuple[BigramTrie, tuple[np.ndarray, np.ndarray]]:
-        trained = n > 0
-        v, w, c, n = v[trained], w[trained], c[trained], n[trained]
-        order = np.lexsort((w, v))
-        v, w, c, n = v[order], w[order], c[order], n[order]
-        first = np.flatnonzero(np.concatenate(([True], (v[1:] != v[:-1]) | (w[1:] != w[:-1])))) if len(v) else np.empty(0, np.int64)
-        total = np.add.reduceat(n.astype(np.int64), first) if len(v) else np.empty(0, np.int64)
-        v, w, c = v[first], w[first], c[first]
-        kind = count_class(c)
-        sums = np.bincount(kind, weights=total, minlength=CLASSES), np.bincount(kind, weights=total == 1, minlength=CLASSES)
-        return BigramTrie(v, w, np.log10(total / np.maximum(c, 1))).map_to_file(), sums
-
-    def answer(shard: int, block: int, codes: bytes, tokens: list, single: list) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays(
-            [pa.array([shard], pa.int32()), pa.array([block], pa.int64()), pa.array([codes], pa.binary()), pa.array([tokens], pa.list_(pa.float64())), pa.array([single], pa.list_(pa.float64()))],
-            names=["shard", "block", "codes", "tokens", "single"],
-        )
-
-    return questions.repartition(shards, "shard").mapInArrow(run, "shard int, block bigint, codes binary, tokens array<double>, single array<double>")
-
-
-def text_scores(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, backoff: np.ndarray) -> DataFrame:
+        for (shard, block), start, stop in zip(asked, ends - lengths, ends, strict=True):
+            mine = no[start:stop]
+            near = np.maximum.accumulate(np.maximum(found[mine], 0))  # the question ascends, so its places do
+            more = (packed(totals[mine].astype("<u4")), packed(np.diff(near, prepend=0).astype("<u4"))) if places else (b"", b"")
+            columns = [(shard, pa.int32()), (block, pa.int64()), (place, pa.int32()), (packed(codes[mine].astype("<u2")), pa.binary()), (more[0], pa.binary()), (more[1], pa.binary())]
+            yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in columns], names=[f.split()[0] for f in ANSWER.split(", ")])
+
+    return questions.repartition(shards, "shard").mapInArrow(run, ANSWER)
+
+
+def text_scores(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, hot: int) -> DataFrame:
     """The result rows from blocks with all their answers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ratios = Quantiser.ratios()
         for row in _rows(batches):
-            ids, counts = _global_words(row["words"], row["told"], word_shards)
-            tokens, lengths = unpacked(row["tokens"], "<u4"), unpacked(row["lengths"], "<u4").astype(np.int64)
-            a, b, inverse = _pairs(tokens, lengths, len(ids))
-            order, edges = _pair_order(ids[a], ids[b], counts[a], counts[b], shards)
-            codes = np.zeros(len(a), np.uint8)
-            for part in row["codes"] or []:
-                codes[order[edges[part["shard"]] : edges[part["shard"] + 1]]] = unpacked(part["codes"], np.uint8)
-            unigram = (counts + 0.5) / (n + 0.5 * (v + 1))
-            share = backoff[count_class(counts)][a]
-            log10 = np.log10((1 - share) * ratios[codes] + share * unigram[b])
-            starts = np.cumsum(lengths) - lengths
+            block = Block(row, word_shards, shards, n, v, hot)
+            block.hear_pairs(row["pairs"])
+            score = block.log10(row["triples"])
             held_out = [not in_training(i) for i in row["doc_ids"]]
+            summed = lambda x, at=block.starts: pa.array(np.add.reduceat(x, at))
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array(row["doc_ids"], pa.int64()), pa.array(held_out), pa.array(lengths), pa.array(np.add.reduceat((counts > 0)[tokens].astype(np.int64), starts)),
-                    pa.array(np.full(len(lengths), n, np.int64)), pa.array(np.add.reduceat(np.log10(unigram)[tokens], starts)), pa.array(np.add.reduceat(log10[inverse], starts)),
+                    pa.array(row["doc_ids"], pa.int64()), pa.array(held_out), pa.array(block.lengths), summed((block.counts > 0)[block.tokens].astype(np.int64)),
+                    pa.array(np.full(len(block.lengths), n, np.int64)), summed(np.log10(block.unigram)[block.tokens]), summed(score),
                 ],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
             )
@@ -298,31 +371,28 @@ def text_scores(joined: DataFrame, word_shards: int, shards: int, n: int, v: int
     return joined.mapInArrow(run, "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
 
 
-def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, hot: int = HOT) -> DataFrame:
     """Train on texts whose crc32(id) mod 5 is not 1 and score all texts: one row for each row.
 
     Null texts count as empty (one token, the end), a null id as one of training. Repeated rows
     count and score as often as they occur. An empty table gives no rows. Ids are integers.
     """
     spark = docs.sparkSession
-    shards = partitions(spark)
-    pair_shards = 2 * shards  # a text has more pairs than words
-    blocks = _bucketed(text_blocks(docs, id_col, text_col, block_bytes), shards)
-    words = materialise(word_answers(word_questions(blocks, shards), shards), "lm-words")
-    sums = words.where("block < 0").agg(F.sum("n"), F.sum("v")).first()
-    told = _with_word_answers(blocks, words, ["block", "words", "tokens", "lengths", "train"])
-    answers = materialise(pair_answers(pair_questions(told, shards, pair_shards), pair_shards), "lm-pairs")
-    classes = (
-        answers.where("block < 0").select(F.posexplode(F.arrays_zip("tokens", "single")).alias("class", "x"))
-        .groupBy("class").agg(F.sum("x.tokens").alias("tokens"), F.sum("x.single").alias("single")).collect()  # CLASSES rows
-    )
-    backoff = np.ones(CLASSES)
-    for row in classes:
-        if row["tokens"] and row["class"]:
-            backoff[row["class"]] = min(0.999, max(0.02, row["single"] / row["tokens"]))
-    codes = answers.where("block >= 0").groupBy("block").agg(F.collect_list(F.struct("shard", "codes")).alias("codes"))
-    joined = _with_word_answers(blocks, words, ["block", "doc_ids", "words", "tokens", "lengths"]).join(codes, "block", "left")
-    return text_scores(joined, shards, pair_shards, sums[0] or 0, sums[1] or 0, backoff)
+    buckets = shards = partitions(spark)
+    made: list[tuple[str, str]] = []
+    blocks = _bucketed(text_blocks(docs, id_col, text_col, block_bytes), buckets, "blocks", made, deal=False)
+    words = _bucketed(word_answers(word_questions(blocks, shards), shards), buckets, "words", made)
+    n, v = words.where("block < 0").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
+    pair_shards = max(2 * shards, n // SHARD_TOKENS)  # a text has more pairs than words
+    columns = ["block", "doc_ids", "words", "tokens", "lengths", "train"]
+    told = _told(blocks, words, columns, "told", "shard", "place", "ranks", "counts")
+    pairs = _bucketed(answers(pair_questions(told, shards, pair_shards, n, v), pair_shards, PRIOR_2, True), buckets, "pairs", made)
+    heard = _told(told, pairs, ["*"], "pairs", "shard", "place", "codes", "totals", "steps")
+    triples = _bucketed(answers(triple_questions(heard, shards, pair_shards, n, v, hot), pair_shards, PRIOR_3, False), buckets, "triples", made)
+    scores = materialise(text_scores(_told(heard, triples, ["*"], "triples", "shard", "codes"), shards, pair_shards, n, v, hot), "lm-scores")
+    for table, path in made:
+        drop_table(spark, table, path)
+    return scores
 
 
 def op3_trie_lm(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 
 from repetix.llm import block_lstm, html_blocks, longest_match, rank_array_bpe, suffix_decontam, trie_lm
-from repetix.llm.elias_fano import BigramTrie, EliasFano, Quantiser
+from repetix.llm.elias_fano import EliasFano, Quantiser, TrieLevel
 
 
 def lower(s):
@@ -162,55 +162,98 @@ def test_elias_fano():
         at, hit = e.find(x)
         assert (at == np.searchsorted(v, x)).all() and (hit == np.isin(x, v)).all()
         assert (e.access(np.arange(len(v))) == v.astype(np.uint64)).all()
+        for _ in range(20):
+            start, stop = sorted(rng.integers(0, len(v) + 1, 2).tolist())
+            assert (e.decode(start, stop) == v[start:stop]).all()
         if n == 2000:
             assert sum(a.nbytes for a in e.arrays()[:2]) * 8 < len(v) * (2 + math.log2(10**6 / len(v)) + 1)
 
 
-def test_trie_finds_exactly_its_pairs():
+@pytest.mark.parametrize("at_once", [7, 1 << 18])
+def test_trie_finds_exactly_its_pairs(monkeypatch, at_once):
+    monkeypatch.setattr(TrieLevel, "AT_ONCE", at_once)
     rng = np.random.default_rng(2)
-    keys = np.unique(np.stack([rng.integers(0, 90, 3000) * 7, rng.integers(0, 400, 3000) * 13], 1), axis=0)
+    keys = np.unique(np.stack([rng.integers(0, 90, 3000), rng.integers(0, 400, 3000)], 1), axis=0)
+    keys = keys[(keys[:, 0] % 7 != 0) | (keys[:, 0] == 70)]  # some contexts have no successors, the first among them
     log10 = -rng.random(len(keys)) * 6
-    trie = BigramTrie(keys[:, 0], keys[:, 1], log10).map_to_file()
-    found = trie.query(keys[:, 0], keys[:, 1])
-    assert (found > 0).all() and np.abs(np.log10(Quantiser.ratios()[found]) - log10).max() < 0.02
-    asked = np.stack([rng.integers(0, 700, 4000), rng.integers(0, 6000, 4000)], 1)
+    trie = TrieLevel(95, keys[:, 0], keys[:, 1], log10, np.arange(1, len(keys) + 1)).map_to_file()
+    found = trie.places(keys[:, 0], keys[:, 1])
+    assert found.tolist() == list(range(len(keys))) and trie.totals[found].tolist() == [i + 1 for i in range(len(keys))]
+    assert np.abs(np.log10(Quantiser.probabilities()[trie.codes[found]]) - log10).max() <= Quantiser.STEP / 2 + 1e-9
+    asked = np.stack([np.sort(rng.integers(0, 95, 4000)), rng.integers(0, 500, 4000)], 1)
     known = set(map(tuple, keys.tolist()))
-    assert ((trie.query(asked[:, 0], asked[:, 1]) > 0) == np.array([tuple(a) in known for a in asked.tolist()])).all()
-    words, codes = trie.successors_of(int(keys[0, 0]))
-    assert words.tolist() == keys[keys[:, 0] == keys[0, 0], 1].tolist() and len(codes) == len(words)
+    assert ((trie.places(asked[:, 0], asked[:, 1]) >= 0) == np.array([tuple(a) in known for a in asked.tolist()])).all()
+    for context in (0, 1, 7, 70, 89, 94):
+        words, codes = trie.successors_of(context)
+        assert words.tolist() == keys[keys[:, 0] == context, 1].tolist() and len(codes) == len(words)
+    empty = TrieLevel(0, keys[:0, 0], keys[:0, 1], log10[:0], np.empty(0, np.int64)).map_to_file()
+    assert len(empty.places(keys[:0, 0], keys[:0, 1])) == 0
+
+
+class PlainModel:
+    """The probabilities as their definition has them, on counters."""
+
+    def __init__(self, texts):
+        self.words, self.pairs, self.triples = Counter(), Counter(), Counter()
+        for w in texts:
+            self.words.update(w)
+            self.pairs.update(zip(["", *w], w, strict=False))
+            self.triples.update(zip(["", *w], w, w[1:], strict=False))
+        self.n, self.v = sum(self.words.values()), len(self.words)
+
+    def one(self, w):
+        return (self.words[w] + 0.5) / (self.n + 0.5 * (self.v + 1))
+
+    def two(self, v, w):
+        return (self.pairs[v, w] + trie_lm.PRIOR_2 * self.one(w)) / (self.words[v] + trie_lm.PRIOR_2)
+
+    def three(self, u, v, w):
+        if self.pairs[u, v] < trie_lm.LEAST_CONTEXT:
+            return self.two(v, w)
+        return (self.triples[u, v, w] + trie_lm.PRIOR_3 * self.two(v, w)) / (self.pairs[u, v] + trie_lm.PRIOR_3)
+
+    def score(self, words):
+        context = ["", *words]
+        logs = [self.two(v, w) if i == 0 else self.three(context[i - 1], v, w) for i, (v, w) in enumerate(zip(context, words, strict=False))]
+        return sum(map(math.log10, logs))
+
+
+def test_probabilities_sum_to_one(texts):
+    model = PlainModel([[*re.findall("[^\x20\x09-\x0d]+", lower(t)), ""] for t in [*texts[:20], *texts[:3]]])
+    contexts = [uv for uv, c in model.pairs.most_common(5) if uv[1]] + [("never", "seen")]
+    unknown = model.one("never seen")  # the additive estimate keeps one share for all unknown words
+    for u, v in contexts:
+        total = sum(model.three(u, v, w) for w in model.words) + (model.three(u, v, "never seen") if unknown else 0)
+        assert total == pytest.approx(1)
 
 
 def test_lm_scores_equal_brute_force(spark, odd, texts):
-    rows = [(i, t) for i, t in enumerate([*texts[:60], None, "", "unseen wordz", texts[0]])]
+    said = [*texts[:60], None, "", "unseen wordz", texts[0], texts[0], "a\u00a0b \x1cc\td\x0be\x0cF\rg", " lead and trail \n", texts[5]]
+    rows = list(enumerate(said))
     docs = spark.createDataFrame([(*r, "x") for r in rows], "doc_id bigint, text string, score string").repartition(3)
     got = {r["doc_id"]: r for r in trie_lm.train_and_score(docs, block_bytes=30_000).collect()}
     tokens = {i: [*re.findall("[^\x20\x09-\x0d]+", lower(t)), ""] for i, t in rows}
-    unigrams, pairs = Counter(), Counter()
-    for i, w in tokens.items():
-        if trie_lm.in_training(i):
-            unigrams.update(w)
-            pairs.update(zip(["", *w], w, strict=False))
-    n, v = sum(unigrams.values()), len(unigrams)
-    p1 = lambda w: (unigrams[w] + 0.5) / (n + 0.5 * (v + 1))
-    kind = lambda c: 1 + math.floor(2 * math.log2(c)) if c else 0
-    seen, once = Counter(), Counter()
-    for (a, _), c in pairs.items():
-        seen[kind(unigrams[a])] += c
-        once[kind(unigrams[a])] += c == 1
-    back = {k: min(0.999, max(0.02, once[k] / seen[k])) for k in seen}
+    model = PlainModel([w for i, w in tokens.items() if trie_lm.in_training(i)])
+    assert any(c >= trie_lm.LEAST_CONTEXT for c in model.pairs.values())
     for i, w in tokens.items():
         r = got[i]
-        assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(unigrams[x] > 0 for x in w), n)
-        assert r["base_score"] == pytest.approx(sum(math.log10(p1(x)) for x in w))
-        score = 0
-        for a, x in zip(["", *w], w, strict=False):
-            b = back[kind(unigrams[a])] if unigrams[a] else 1
-            score += math.log10((1 - b) * (pairs[a, x] / unigrams[a] if unigrams[a] else 0) + b * p1(x))
-        assert abs(r["score"] - score) / len(w) < 0.02
+        assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(model.words[x] > 0 for x in w), model.n)
+        assert r["base_score"] == pytest.approx(sum(math.log10(model.one(x)) for x in w))
+        assert abs(r["score"] - model.score(w)) / len(w) < 1.5 * Quantiser.STEP
     held_out = [r for r in got.values() if r["held_out"]]
     assert sum(r["score"] for r in held_out) > sum(r["base_score"] for r in held_out)
     assert trie_lm.train_and_score(odd).count() == len(ODD)
     assert trie_lm.train_and_score(odd.where("false")).count() == 0
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith("lm_")]
+
+
+def test_a_hot_pair_is_spread(spark):
+    """Contexts of many tokens have their successors in several shards; scores are those of one shard."""
+    docs = spark.createDataFrame([(i, " ".join(f"hot pair w{(i * 31 + j * 7) % 97}" for j in range(40))) for i in range(30)], "doc_id bigint, text string")
+    plain = sorted(map(tuple, trie_lm.train_and_score(docs).collect()))
+    spread = sorted(map(tuple, trie_lm.train_and_score(docs, hot=50).collect()))
+    assert [r[:-2] for r in spread] == [r[:-2] for r in plain]
+    assert [r[-1] for r in spread] == pytest.approx([r[-1] for r in plain])
 
 
 def test_blocks_of_odd_markup():
