@@ -6,11 +6,13 @@ window, the window's words are hit. Only stretches of words that all occur in so
 are as long as the shortest window need the walk, as no other stretch can hold one.
 
 The items of one automaton are bounded in words. A larger benchmark is dealt to several
-automata whose hits are united, so no broadcast grows with the benchmark.
+automata, each broadcast for a pass of its own over the texts and then let go; the hits of all
+passes are united. So neither a broadcast nor a task's memory grows with the benchmark.
 """
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -18,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checked
+from .common import WRITTEN_NO, checked, materialise, with_row_numbers
 
 WINDOW = 13
 #: Words of one automaton at most: about 300 bytes each on an executor.
@@ -169,40 +171,68 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, most:
 
     One row for each row. Null texts have no words; items without words are no windows; an
     item id that occurs twice counts once. Cutting takes a span's bytes from its first to its
-    last word and leaves all other characters.
+    last word and leaves all other characters. Empty and very long texts, repeated rows and null
+    ids are rows like others; an empty table gives no rows.
     """
-    spark = docs.sparkSession
-    lots = [spark.sparkContext.broadcast(lot) for lot in automata(benchmark, window, most)]
+    lots = automata(benchmark, window, most)
+    first, second = next(lots, []), next(lots, None)
     kept = checked(docs, *dict.fromkeys([id_col, *keep, text_col]))
     names = [c for c in kept.columns if c in (id_col, *keep)]
+    if second is None:
+        return _summed(kept, names, text_col, cut, _hits_of(docs.sparkSession, first, window), None)
+    rows = with_row_numbers(kept)
+    passes = None
+    for lot in itertools.chain((first, second), lots):
+        sent = _hits_of(docs.sparkSession, lot, window)
+        found = materialise(_spans(rows, text_col, sent), "hits")
+        sent[0].destroy()
+        passes = found if passes is None else passes.unionByName(found)
+    met = passes.groupBy("row_no").agg(F.flatten(F.collect_list("spans")).alias("__spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("__items"))  # of one text
+    joined = rows.join(met, rows[WRITTEN_NO] == met["row_no"], "left").drop("row_no")
+    return _summed(joined, names, text_col, cut, None, ("__spans", "__items"))
+
+
+def _hits_of(spark: SparkSession, lot: list[tuple[str, list[bytes]]], window: int) -> tuple:
+    """(broadcast, function): the function gives a task's own automaton of the items that were sent."""
+    sent = spark.sparkContext.broadcast(lot)
+    return sent, lambda: SuffixAutomaton(sent.value, window)
+
+
+def _spans(rows: DataFrame, text_col: str, sent: tuple) -> DataFrame:
+    """(row_no, spans, items) of the rows that one automaton hits."""
+    make = sent[1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        built: list[SuffixAutomaton] = []
+        automaton = make()
+        for batch in batches:
+            found = [automaton.hits(words_of(t.as_py())) for t in batch.column(text_col)]
+            at = [i for i, (spans, _) in enumerate(found) if spans]
+            spans = pa.array([[list(s) for s in found[i][0]] for i in at], pa.list_(pa.list_(pa.int64())))
+            yield pa.RecordBatch.from_arrays([batch.column(WRITTEN_NO).take(pa.array(at, pa.int64())), spans, pa.array([sorted(found[i][1]) for i in at], pa.list_(pa.string()))], names=["row_no", "spans", "items"])
+
+    return rows.select(WRITTEN_NO, text_col).mapInArrow(run, "row_no bigint, spans array<array<bigint>>, items array<string>")
 
-        def each() -> Iterator[SuffixAutomaton]:
-            if len(lots) == 1:  # one automaton is kept, several are built by turns
-                if not built:
-                    built.append(SuffixAutomaton(lots[0].value, window))
-                yield built[0]
-            else:
-                for lot in lots:
-                    yield SuffixAutomaton(lot.value, window)
 
+def _summed(rows: DataFrame, names: list[str], text_col: str, cut: int | None, sent: tuple | None, told: tuple[str, str] | None) -> DataFrame:
+    """The result rows, from an automaton that was sent or from spans and items that stand beside the texts."""
+    make = sent[1] if sent else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        automaton = make() if make else None
         for batch in batches:
             texts = batch.column(text_col)
-            found: list[tuple[list[tuple[int, int]], set[str]]] = [([], set()) for _ in range(batch.num_rows)]
-            n_words = [0] * batch.num_rows
-            for nth, automaton in enumerate(each()):
-                for i, text in enumerate(texts):
-                    words = words_of(text.as_py())
-                    n_words[i] = len(words)
-                    spans, owners = automaton.hits(words)
-                    found[i] = (spans if nth == 0 else united([*found[i][0], *spans]), found[i][1] | owners)
-            if not lots:
-                n_words = [len(words_of(t.as_py())) for t in texts]
+            counts, found = [], []
+            for i, text in enumerate(texts):
+                words = words_of(text.as_py())
+                counts.append(len(words))
+                if automaton:
+                    found.append(automaton.hits(words))
+                else:
+                    spans, items = (batch.column(c)[i].as_py() or [] for c in told)
+                    found.append((united([tuple(s) for s in spans]), items))
             columns = {c: batch.column(c) for c in names}
             columns |= {
-                "n_words": pa.array(n_words, pa.int64()),
+                "n_words": pa.array(counts, pa.int64()),
                 "n_hit": pa.array([sum(b - a for a, b in spans) for spans, _ in found], pa.int64()),
                 "items": pa.array([sorted(owners) for _, owners in found], pa.list_(pa.string())),
             }
@@ -211,9 +241,9 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, most:
                 columns["cleaned"] = pa.array([without(t.as_py(), spans) if spans else t.as_py() for t, spans in zip(texts, long, strict=True)], pa.string())
             yield pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
-    types = dict(kept.dtypes)
+    types = dict(rows.dtypes)
     schema = [*(f"`{c}` {types[c]}" for c in names), "n_words bigint", "n_hit bigint", "items array<string>", *["cleaned string"] * (cut is not None)]
-    return kept.mapInArrow(run, ", ".join(schema))
+    return rows.select(*dict.fromkeys([*names, text_col, *(told or ())])).mapInArrow(run, ", ".join(schema))
 
 
 def united(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
