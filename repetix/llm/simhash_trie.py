@@ -23,6 +23,8 @@ from .common import attach, checked, materialise, numbered, partitions, written_
 
 BITS = 64
 SEED = 42
+#: Distinct fingerprints of a group that one task walks.
+GROUP = 2_000_000
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
@@ -155,31 +157,44 @@ def trie_links(group: np.ndarray, bits: np.ndarray, skip: int, budget: int, leaf
     return a, b, np.bitwise_count(bits[a] ^ bits[b]).astype(np.int64)
 
 
-def near_links(distinct: DataFrame, budget: int = 3) -> DataFrame:
-    """fp_a, fp_b bigint: links of at most `budget` differing bits that span all near groups of the fingerprints in `distinct` (fp)."""
+def near_links(distinct: DataFrame, budget: int = 3, most: int = GROUP) -> DataFrame:
+    """fp_a, fp_b bigint: links of at most `budget` differing bits that span all near groups of the fingerprints in `distinct` (fp).
+
+    A group is a block's number and value. One of over `most` fingerprints is split: within it
+    the bits outside the block differ in at most `budget` places too, so that two near ones
+    agree in a whole part out of budget + 1 of these bits, and the groups are by part as well.
+    """
     blocks = budget + 1
     width = BITS // blocks
+    part = (BITS - width) // blocks
     # rotate each block to the front; the group is the block's number and value
     rotated = distinct.select(
         "fp", F.explode(F.array(*[F.struct(F.lit(i).alias("block"), _rotate("fp", i * width).alias("bits")) for i in range(blocks)])).alias("r")
     ).select("fp", "r.block", "r.bits", F.shiftrightunsigned("r.bits", BITS - width).alias("value"))
+    large = rotated.groupBy("block", "value").agg(F.count("*").alias("n")).where(F.col("n") > most).select("block", "value", F.lit(True).alias("large"))  # blocks * 2^width keys at most
+    cut = lambda i: F.struct(F.lit(i).alias("part"), F.shiftrightunsigned(F.shiftleft("bits", width + i * part), BITS - part).alias("at"))
+    # the last part is the longer one if the bits don't divide
+    last = F.struct(F.lit(blocks - 1).alias("part"), F.col("bits").bitwiseAND(F.lit((1 << (BITS - width - (blocks - 1) * part)) - 1)).alias("at"))
+    parts = F.when(F.col("large"), F.array(*[cut(i) for i in range(blocks - 1)], last)).otherwise(F.array(F.struct(F.lit(-1).alias("part"), F.lit(0).cast("bigint").alias("at"))))
+    keyed = rotated.join(F.broadcast(large), ["block", "value"], "left").withColumn("p", F.explode(parts)).select("fp", "block", "bits", "value", "p.part", "p.at")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches))  # one partition of the deal: fp, block, bits, value
-        fp, block, bits, value = (table.column(c).to_numpy() for c in ("fp", "block", "bits", "value"))
-        bits, group = bits.view(np.uint64), block.astype(np.int64) << width | value
-        order = np.lexsort((bits, group))
-        fp, bits, group = fp[order], bits[order], group[order]
-        a, b, _ = trie_links(group, bits, width, budget)
-        yield pa.RecordBatch.from_arrays([pa.array(fp[a]), pa.array(fp[b])], names=["fp_a", "fp_b"])
-
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         batches = [b for b in batches if b.num_rows]
-        if batches:
-            yield from run(iter(batches))
+        if not batches:
+            return
+        table = pa.Table.from_batches(batches)  # one partition of the deal
+        fp, bits = table.column("fp").to_numpy(), table.column("bits").to_numpy().view(np.uint64)
+        keys = [table.column(c).to_numpy() for c in ("block", "value", "part", "at")]
+        order = np.lexsort((bits, *reversed(keys)))
+        fp, bits, keys = fp[order], bits[order], [k[order] for k in keys]
+        new = np.zeros(len(fp), bool)
+        for k in keys:
+            new[1:] |= k[1:] != k[:-1]
+        a, b, _ = trie_links(np.cumsum(new), bits, width, budget)
+        yield pa.RecordBatch.from_arrays([pa.array(fp[a]), pa.array(fp[b])], names=["fp_a", "fp_b"])
 
-    dealt = rotated.repartition(partitions(distinct.sparkSession) * blocks, "block", "value")
-    return dealt.mapInArrow(kernel, "fp_a bigint, fp_b bigint")
+    dealt = keyed.repartition(partitions(distinct.sparkSession) * blocks, "block", "value", "part", "at")
+    return dealt.mapInArrow(run, "fp_a bigint, fp_b bigint")
 
 
 def _rotate(col: str, by: int) -> F.Column:
@@ -228,8 +243,8 @@ def near_duplicates(docs: DataFrame, budget: int = 3, id_col: str = "doc_id", te
     groups = materialise(rows.groupBy("fp").agg(least.alias("least"), F.count("*").alias("group_size")), "distinct-fingerprints")
     linked = components(near_links(groups.select("fp"), budget), "fp_a", "fp_b")
     rooted = groups.join(linked.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    named = rooted.groupBy("root").agg(F.min("least").alias("keep"))
-    table = rooted.join(named, "root").select("fp", "group_size", F.col("keep.doc_id").alias("component_id"), F.col("keep.row_no").alias("keep_row"))
+    named = materialise(rooted.groupBy("root").agg(F.min("least").alias("keep"), F.count("*").alias("members")), "components-named")
+    table = attach(rooted, named, "root", "members", groups.count()).select("fp", "group_size", F.col("keep.doc_id").alias("component_id"), F.col("keep.row_no").alias("keep_row"))
     return attach(rows, materialise(table, "components"), "fp", "group_size", rows.count())
 
 

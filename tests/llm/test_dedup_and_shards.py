@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from repetix.llm import ring_sharding
 from repetix.llm.exact_dedup import DigestIndex, deduplicate
 from repetix.llm.ring_sharding import assign_shards, capacities, plan_segments
-from repetix.llm.simhash_trie import fingerprint, near_duplicates, trie_links
+from repetix.llm.simhash_trie import fingerprint, near_duplicates, near_links, trie_links
 
 SCHEMA = "doc_id bigint, text string, row_no string, digest string, fp string, keep_id string, bytes string"
 
@@ -233,6 +233,36 @@ def test_near_duplicates(spark):
     assert near_duplicates(docs.where("false")).count() == 0
 
 
+@pytest.mark.parametrize("budget", [2, 3, 5])
+def test_large_groups_are_split_exactly(spark, budget):
+    rng = random.Random(budget)
+    seeds = [rng.getrandbits(64) for _ in range(6)]
+    fps = set()
+    while len(fps) < 150:
+        fp = rng.choice(seeds)
+        for _ in range(rng.randint(0, 6)):
+            fp ^= 1 << rng.randrange(64)
+        fps.add(fp)
+    fps = sorted(fps)
+    signed = [f - (1 << 64) if f >> 63 else f for f in fps]
+    table = spark.createDataFrame([(f,) for f in signed], "fp bigint")
+    expected = roots(range(len(fps)), fps, budget)
+    at = {f: i for i, f in enumerate(signed)}
+    for most in (1, 3, 10**6):
+        parent = list(range(len(fps)))
+
+        def find(x, parent=parent):
+            while parent[x] != x:
+                x = parent[x]
+            return x
+
+        for r in near_links(table, budget, most).collect():
+            assert bin(fps[at[r["fp_a"]]] ^ fps[at[r["fp_b"]]]).count("1") <= budget
+            a, b = find(at[r["fp_a"]]), find(at[r["fp_b"]])
+            parent[max(a, b)] = min(a, b)
+        assert {i: find(i) for i in range(len(fps))} == expected
+
+
 @pytest.mark.parametrize("leaf,chunk", [(1, 7), (16, 1 << 18)])
 def test_trie_walk_finds_all_components(leaf, chunk):
     rng = np.random.default_rng(leaf)
