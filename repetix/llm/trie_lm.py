@@ -38,7 +38,7 @@ from .elias_fano import Quantiser, TrieLevel
 from .rank_array_bpe import slices
 
 END = b""
-BLOCK_BYTES = 6_000_000
+BLOCK_BYTES = 4_000_000
 #: Weights of the lower order, in tokens.
 PRIOR_2, PRIOR_3 = 1000.0, 30.0
 #: Contexts of two words with fewer training tokens have no successors.
@@ -58,6 +58,23 @@ def unpacked(raw: bytes, dtype) -> np.ndarray:
     return np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), dtype)
 
 
+def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(ascending distinct keys, a place of each, the number of each place's key)."""
+    order = np.argsort(keys)
+    ascending = keys[order]
+    new = np.ones(len(keys), bool)
+    np.not_equal(ascending[1:], ascending[:-1], out=new[1:])
+    number = np.empty(len(keys), np.int32)
+    number[order] = np.cumsum(new, dtype=np.int32) - 1
+    return ascending[new], order[new], number
+
+
+def by_shard(shard: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """(places in the order of the shards, where each shard's begin); few shards are sorted by counting."""
+    order = np.argsort(shard.astype(np.uint16 if shards < 1 << 16 else np.int64), kind="stable")
+    return order, np.concatenate(([0], np.cumsum(np.bincount(shard.astype(np.int64), minlength=shards))))
+
+
 def in_training(doc_id) -> bool:
     return doc_id is None or zlib.crc32(str(doc_id).encode()) % 5 != 1
 
@@ -122,6 +139,7 @@ def _bucketed(rows: DataFrame, buckets: int, name: str, made: list[tuple[str, st
     dealt = rows.repartition(buckets, "block") if deal else rows
     dealt.write.bucketBy(buckets, "block").sortBy("block").option("path", path).option("compression", "uncompressed").saveAsTable(table)
     made.append((table, path))
+    spark.sparkContext._jvm.System.gc()  # lets the context cleaner delete the shuffle files of this and earlier steps
     return spark.table(table)
 
 
@@ -138,8 +156,7 @@ def word_questions(blocks: DataFrame, shards: int) -> DataFrame:
         for row in _rows(batches):
             words, counts = np.frombuffer(row["words"], np.uint64), unpacked(row["counts"], "<u4")
             home = (words % np.uint64(shards)).astype(np.int64)
-            order = np.argsort(home, kind="stable")
-            edges = np.searchsorted(home[order], np.arange(shards + 1))
+            order, edges = by_shard(home, shards)
             parts = [(s, order[a:b]) for s, (a, b) in enumerate(zip(edges, edges[1:], strict=False)) if a < b]
             yield pa.RecordBatch.from_arrays(
                 [
@@ -161,7 +178,7 @@ def word_answers(questions: DataFrame, shards: int) -> DataFrame:
             return
         asked = [np.frombuffer(r["words"], np.uint64) for r in rows]
         lengths = [len(a) for a in asked]
-        words, inverse = np.unique(np.concatenate(asked), return_inverse=True)
+        words, _, inverse = distinct(np.concatenate(asked))
         totals = np.bincount(inverse, weights=np.concatenate([unpacked(r["counts"], "<u4") for r in rows]), minlength=len(words)).astype(np.int64)
         rank = np.empty(len(words), np.uint32)
         rank[np.argsort(-totals, kind="stable")] = np.arange(len(words))
@@ -191,13 +208,12 @@ class Block:
     def __init__(self, row: dict, word_shards: int, shards: int, n: int, v: int, hot: int = HOT):
         home = (np.frombuffer(row["words"], np.uint64) % np.uint64(word_shards)).astype(np.int64)
         ids, counts = np.zeros(len(home), np.int64), np.zeros(len(home), np.int64)
-        order = np.argsort(home, kind="stable")
-        edges = np.searchsorted(home[order], np.arange(word_shards + 1))
+        order, edges = by_shard(home, word_shards)
         for part in row["told"]:
             at = order[edges[part["shard"]] : edges[part["shard"] + 1]]
             ids[at] = (part["place"] << 32) | unpacked(part["ranks"], "<u4").astype(np.int64)
             counts[at] = unpacked(part["counts"], "<u8").astype(np.int64)
-        by_id = np.argsort(ids, kind="stable")
+        by_id = np.argsort(ids)
         renumbered = np.empty(len(ids), np.int64)
         renumbered[by_id] = np.arange(len(ids))
         self.ids, self.counts, self.shards, self.hot = ids[by_id], counts[by_id], shards, hot
@@ -208,16 +224,16 @@ class Block:
         self.unigram = (self.counts + 0.5) / (n + 0.5 * (v + 1))
         end = self.tokens[self.lengths[0] - 1]
         keys = np.concatenate(([end], self.tokens[:-1])) * len(ids) + self.tokens  # the context of a text's first word is the end
-        pairs, self.pair_of = np.unique(keys, return_inverse=True)
-        self.a, self.b = pairs // len(ids), pairs % len(ids)
+        pairs, _, self.pair_of = distinct(keys)
+        self.a, self.b = (pairs // len(ids)).astype(np.int32), (pairs % len(ids)).astype(np.int32)
         ask = np.flatnonzero((self.counts[self.a] > 0) & (self.counts[self.b] > 0))
         v_id, w_id = self.ids[self.a[ask]].astype(np.uint64), self.ids[self.b[ask]]
         mixed = (v_id * np.uint64(0x9E3779B97F4A7C15)) ^ ((w_id % PIECES).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F))
         self.asked, self.edges = self._dealt(ask, ((mixed ^ mixed >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(33)) % np.uint64(shards))
 
     def _dealt(self, ask: np.ndarray, shard: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        order = np.argsort(shard.astype(np.uint32), kind="stable")
-        return ask[order], np.searchsorted(shard[order], np.arange(self.shards + 1, dtype=shard.dtype))
+        order, edges = by_shard(shard, self.shards)
+        return ask[order], edges
 
     def pair_questions(self) -> Iterator[tuple]:
         seen = np.bincount(self.pair_of[self.train], minlength=len(self.a))
@@ -240,11 +256,13 @@ class Block:
         follows[self.starts] = False
         self.at = np.flatnonzero(follows & (np.concatenate(([0], total[self.pair_of[:-1]])) >= LEAST_CONTEXT))
         context = self.pair_of[self.at - 1]
-        triples, first, self.triple_of = np.unique(context * len(self.ids) + self.tokens[self.at], return_index=True, return_inverse=True)
-        self.context, self.last = triples // len(self.ids), triples % len(self.ids)
+        triples, first, self.triple_of = distinct(context.astype(np.int64) * len(self.ids) + self.tokens[self.at])
+        self.context, self.last = (triples // len(self.ids)).astype(np.int32), (triples % len(self.ids)).astype(np.int32)
         self.lower = self.pair_of[self.at[first]]  # the pair of the triple's last two words
         ask = np.flatnonzero(codes[self.lower] > 0)
-        ask = ask[np.argsort(node[self.context[ask]], kind="stable")]
+        turn = np.empty(len(node), np.int64)
+        turn[np.argsort(node)] = np.arange(len(node))
+        ask = ask[np.argsort(turn[self.context[ask]] * len(self.ids) + self.last[ask])]  # by node, then word
         piece = np.where(total[self.context[ask]] > self.hot, self.ids[self.last[ask]] % PIECES, 0)
         self.node = node
         self.asked_3, self.edges_3 = self._dealt(ask, ((node[self.context[ask]] >> 32) + piece * 7919) % self.shards)
@@ -327,11 +345,13 @@ def answers(questions: DataFrame, shards: int, prior: float, places: bool) -> Da
         if not asked:
             return
         lengths = [len(w) for w in word]
-        contexts, first, head_no = np.unique(np.concatenate(heads), return_index=True, return_inverse=True)
+        contexts, first, head_no = distinct(np.concatenate(heads))
         c = np.concatenate(head_counts)[first]
-        words, word_no = np.unique(np.concatenate(word), return_inverse=True)
-        del heads, head_counts, word
-        keys, first, no = np.unique(np.repeat(head_no, np.concatenate(of)) * len(words) + word_no, return_index=True, return_inverse=True)
+        del heads, head_counts
+        words, _, word_no = distinct(np.concatenate(word))
+        del word
+        keys, first, no = distinct(np.repeat(head_no, np.concatenate(of)).astype(np.int64) * len(words) + word_no)
+        del of, word_no, head_no
         total = np.bincount(no, weights=np.concatenate(seen), minlength=len(keys)).astype(np.int64)
         level = build(c, len(contexts), len(words), keys, total, np.concatenate(lower)[first])
         found = level.places(keys // len(words), keys % len(words))

@@ -145,6 +145,22 @@ def test_suffix_automaton_equals_brute_force(spark):
     assert suffix_decontam.find_hits(docs.where("false"), bench).count() == 0
 
 
+def test_repeated_rows_and_long_texts_in_several_passes(spark):
+    item = [f"w{i % 5}" for i in range(60)]
+    far = "x " * 90_000 + " ".join(item[7:30]) + " y" * 9
+    rows = [(1, far), (1, far), (None, None), (2, ""), (2, "a w1"), (3, " ".join(item))]
+    docs = spark.createDataFrame([(*r, "x") for r in rows], "doc_id bigint, text string, n_hit string")
+    bench = spark.createDataFrame([(i, " ".join(item[i:])) for i in range(6)], "item_id bigint, text string")
+    named = [(i, " ".join(item[i:])) for i in range(6)]
+    expected = sorted([(i, *windows_hit(" ".join((t or "").split()[-60:]), named)[1:]) for i, t in rows], key=repr)
+    for most in (10**6, 60):
+        got = suffix_decontam.find_hits(docs, bench, most=most).collect()
+        assert sorted([(r["doc_id"], r["n_hit"], r["items"]) for r in got], key=repr) == expected
+        assert sorted(r["n_words"] for r in got) == sorted(len((t or "").split()) for _, t in rows)
+    cleaned = [sorted((str(r["doc_id"]), str(r["cleaned"])) for r in suffix_decontam.decontaminate(docs, bench, **o).collect()) for o in ({}, {"most": 60})]
+    assert cleaned[0] == cleaned[1]
+
+
 def test_cutting_spans(spark):
     item = " ".join(f"w{i}" for i in range(20))
     docs = spark.createDataFrame([(1, f"Before, {item.upper()}: after."), (2, "clean text")], "doc_id bigint, text string")
