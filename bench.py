@@ -15,7 +15,7 @@ from repetix.operators import distance, longstring, packed, profile, sketch
 from repetix.operators.distinct import Hll
 from repetix.plans.accuracy import sampled_lengths
 from repetix.session import local_session
-from repetix.workloads import experiments
+from repetix.workloads import experiments, stream_queries
 from repetix.workloads.common import docs
 
 
@@ -27,9 +27,9 @@ def main() -> None:
     n_bytes = rows.agg(F.sum(F.octet_length("text"))).first()[0]
     packed.estimate_strings(rows.limit(50), [1, 2, 4]).count()  # start the workers
 
-    def timed(name: str, df) -> list:
+    def timed(name: str, job) -> list:
         start = time.perf_counter()
-        out = df.collect()
+        out = (job() if callable(job) else job).collect()
         seconds[name] = round(time.perf_counter() - start, 3)
         return out
 
@@ -42,8 +42,15 @@ def main() -> None:
     timed("sketch_one_long_string_sparse_grid", sketch.estimate_delta(packed.long_string_sketch(chunks, sparse, cd), cd=cd))
     exact = {r["id"]: r["delta"] for r in timed("exact_delta_documents", profile.exact_delta(rows))}
     timed("exact_delta_suffix_arrays", profile.delta_from_lcp(rows))
-    near = {r["id"]: r["delta"] for r in packed.estimate_strings(rows, sparse).collect()}
-    errors = sorted(abs(near[i] - d) / d for i, d in exact.items() if d)
+    errors = {}
+    for ratio in (2.0, 1.25, 1.1):
+        near = packed.estimate_strings(rows, sampled_lengths(128, ratio)).collect()
+        off = sorted(abs(r["delta"] - exact[r["id"]]) / exact[r["id"]] for r in near if exact[r["id"]])
+        errors[str(ratio)] = {"mean": round(sum(off) / len(off), 5), "p99": round(off[int(0.99 * len(off))], 5), "max": round(off[-1], 5)}
+
+    # the documents of each source as one stream; the state is what a stream holds between batches
+    streams = timed("stream_by_source", lambda: stream_queries.document_streams(spark, sf_dir, transform=False))
+    symbols, state = sum(r["n"] for r in streams), max((r["state_bytes"] for r in streams), default=0)
 
     sequences = experiments.written(experiments.sequences(spark, sf_dir).repartition(8), "sequences")
     hll = Hll()
@@ -57,7 +64,8 @@ def main() -> None:
             {
                 "metric": "headline queries", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": os.path.basename(sf_dir), "mb": round(n_bytes / 1e6, 1),
                 "mb_per_minute": {n: rate(n) for n in seconds if not n.startswith("all_pairs")},
-                "relative_error_sparse_grid": {"mean": round(sum(errors) / len(errors), 5), "p99": round(errors[int(0.99 * len(errors))], 5), "max": round(errors[-1], 5)},
+                "relative_error_by_ratio": errors,
+                "stream": {"symbols": symbols, "largest_state_bytes": state, "microseconds_a_symbol": round(1e6 * seconds["stream_by_source"] / max(1, symbols), 3)},
             }
         )
     )
