@@ -55,7 +55,7 @@ def main() -> None:
     sequences = experiments.written(experiments.sequences(spark, sf_dir).repartition(8), "sequences")
     hll = Hll()
     timed("all_pairs_sketch", distance.all_pairs_sketch(sketch.build_sketch(sequences, cd=hll, lengths=sparse), hll))
-    timed("all_pairs_exact", distance.all_pairs_exact(sequences, range(1, 13)))
+    timed("all_pairs_exact", lambda: distance.all_pairs_exact(sequences))
     timed("all_pairs_xz", distance.all_pairs_codec(sequences.repartition(29), "xz"))
 
     rate = lambda name: round(n_bytes / 1e6 / seconds[name] * 60, 1)
@@ -72,5 +72,15 @@ def main() -> None:
     spark.stop()
 
 
+def scaling() -> None:
+    """One narrow pass and one set of sketches with 1, 2, 4 and all cores, each in a process of its own."""
+    from subprocess import run
+
+    for cores in sorted({1, 2, 4, os.cpu_count() or 1}):
+        out = run([sys.executable, __file__], env={**os.environ, "BENCH_CPUS": str(cores)}, capture_output=True, text=True, timeout=1800).stdout.strip().splitlines()[-1]
+        found = json.loads(out)
+        print(json.dumps({"cores": cores, "mb_per_minute": {n: found["mb_per_minute"][n] for n in ("sketch_documents_sparse_grid", "sketch_by_source_sparse_grid")}}))
+
+
 if __name__ == "__main__":
-    main()
+    scaling() if sys.argv[1:] == ["scaling"] else main()

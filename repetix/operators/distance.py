@@ -20,7 +20,7 @@ from repetix.functions.symbols import encode
 
 from .distinct import Buffered, Hll, window_rows
 from .profile import codec_size, delta_of_profile, exact_delta
-from .sketch import build_sketch, longest
+from .sketch import build_sketch
 
 #: Strings of a bucket, about, where whole sets of fingerprints are compared.
 BUCKET = 48
@@ -154,7 +154,15 @@ def with_distance(pairs: DataFrame, singles: DataFrame) -> DataFrame:
     return pairs.join(a, "id_a").join(b, "id_b").select("id_a", "id_b", compression_distance(F.col("da"), F.col("db"), F.col("delta")).alias("dist"))
 
 
-def all_pairs_exact(df: DataFrame, lengths: Sequence[int]) -> DataFrame:
+def certified_lengths(df: DataFrame) -> list[int]:
+    """All lengths that can be the maximiser of a pair: a pair's windows are at most twice those of its longer string, and its delta is at least that string's."""
+    most = exact_delta(df).where("delta > 0").agg(F.max(F.floor(2 * F.col("n") / F.col("delta")))).first()[0]
+    return list(range(1, int(most or 1) + 1))
+
+
+def all_pairs_exact(df: DataFrame, lengths: Sequence[int] | None = None) -> DataFrame:
+    """(id_a, id_b, dist) from exact counts, over all lengths that could win unless `lengths` are given."""
+    lengths = lengths or certified_lengths(df)
     profile = string_sets(df, lengths).select("id", "k", (F.octet_length("fps") / 8).cast("bigint").alias("d"))
     return with_distance(pair_delta(df, None, lengths), delta_of_profile(profile))
 
@@ -205,13 +213,13 @@ def all_pairs_codec(df: DataFrame, codec: str = "xz") -> DataFrame:
 
 
 def all_pairs_distance(df: DataFrame, measure: str = "sketch", alpha: float = 1.25, lg_k: int = 12, lengths: Sequence[int] | None = None) -> DataFrame:
-    """(id_a, id_b, dist) by `delta` (exact over `lengths`), `sketch`, or a codec's name."""
+    """(id_a, id_b, dist) by `delta` (exact), `sketch`, or a codec's name."""
     if measure == "sketch":
         cd = Hll(lg_k)
         sketches = build_sketch(df, alpha=alpha, cd=cd, lengths=lengths)
         return all_pairs_sketch(sketches, cd)
     if measure == "delta":
-        return all_pairs_exact(df, lengths or range(1, longest(df) + 1))
+        return all_pairs_exact(df, lengths)
     return all_pairs_codec(df, measure)
 
 

@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 from repetix.functions.fingerprint import FingerprintParams, pack, window_fingerprints
 from repetix.functions.symbols import encode
 from repetix.plans.accuracy import length_bound, sampled_lengths
+from repetix.session import written
 
 #: Rows summed or scanned together at each of two levels.
 FAN = 4096
@@ -214,19 +215,19 @@ def sketch_long_strings(chunks: DataFrame, cd, alpha: float = 1.25, cap: int = 1
     beyond it go on, by block shifts, to the sampled lengths up to their certificate, which more
     lengths can only lower; so no sampled length that could win is left out.
     """
-    from .sketch import _written, estimate_delta, merge_sketches
+    from .sketch import estimate_delta, merge_sketches
 
     sizes = chunks.groupBy("id").agg(F.sum(F.length("text")).cast("bigint").alias("n"))
-    sketches = _written(cd.build(halo_windows(chunks, sampled_lengths(cap, alpha), params), ["id", "k"]), "long-strings")
+    sketches = written(cd.build(halo_windows(chunks, sampled_lengths(cap, alpha), params), ["id", "k"]), "long-strings")
 
     def found() -> DataFrame:
         return estimate_delta(sketches, cd=cd).join(sizes, "id").withColumn("bound", length_bound(F.col("n"), F.col("delta")))
 
-    beyond = _written(found().where((F.col("bound") > cap) & (F.col("n") > cap)).select("id", F.least("bound", "n").alias("last")), "beyond")
+    beyond = written(found().where((F.col("bound") > cap) & (F.col("n") > cap)).select("id", F.least("bound", "n").alias("last")), "beyond")
     longest = beyond.agg(F.max("last")).first()[0]
     if longest:
         lengths = [k for k in sampled_lengths(int(longest), alpha) if k > cap]
         if lengths:
             more = cd.build(block_shift_windows(chunks.join(beyond, "id", "left_semi").select(chunks.columns), lengths, size, params), ["id", "k"])
-            sketches = _written(merge_sketches(sketches, more.select(sketches.columns), cd=cd), "long-strings")
+            sketches = written(merge_sketches(sketches, more.select(sketches.columns), cd=cd), "long-strings")
     return sketches, found().select("id", "n", "delta", "k_hat", "bound")

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams
 from repetix.plans.accuracy import length_bound, plan_accuracy, sampled_lengths
-from repetix.session import fresh_path
+from repetix.session import written
 
 from .distinct import Buffered, CountDistinct, Hll, count_distinct, window_rows
 from .profile import local_maximum
@@ -78,12 +78,6 @@ def estimate_delta(sketches: DataFrame, by: Sequence[str] = ("id",), cd: CountDi
     return counted.groupBy(*by).agg(F.max(ratio).alias("delta"), F.max_by("k", F.struct(ratio, -F.col("k"))).alias("k_hat"))
 
 
-def _written(df: DataFrame, name: str) -> DataFrame:
-    path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts: Callable[[DataFrame, list[int]], DataFrame], alpha: float | None = 1.25, text_col: str = "text") -> DataFrame:
     """(by, delta, k_hat) over all lengths, from `found` over those up to `low`.
 
@@ -92,7 +86,7 @@ def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts:
     (by, k, d). Every fourfold range of lengths is a round; without `alpha` all lengths in it count.
     """
     by = list(by)
-    found = _written(found.select(*by, "delta", "k_hat"), "delta")
+    found = written(found.select(*by, "delta", "k_hat"), "delta")
     same = lambda a, b: functools.reduce(operator.and_, [a[c].eqNullSafe(b[c]) for c in by])
     while True:
         size = F.size(text_col) if dict(df.dtypes)[text_col].startswith("array") else F.length(text_col)
@@ -100,7 +94,7 @@ def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts:
         windows = longer.groupBy(*by).agg(F.sum(size - low).alias("windows"))
         best = found.select(*[F.col(c).alias(f"{c}__") for c in by], "delta")
         met = windows.join(best, functools.reduce(operator.and_, [F.col(c).eqNullSafe(F.col(f"{c}__")) for c in by]), "left")
-        able = _written(met.where(F.col("windows") > F.coalesce("delta", F.lit(0.0)) * (low + 1)).select(*by), "able")
+        able = written(met.where(F.col("windows") > F.coalesce("delta", F.lit(0.0)) * (low + 1)).select(*by), "able")
         if able.isEmpty():
             return found
         high = 4 * low
@@ -110,7 +104,7 @@ def go_on(df: DataFrame, by: Sequence[str], found: DataFrame, low: int, counts:
         more = counts(df, lengths).groupBy(*by).agg(F.max(ratio).alias("delta"), F.max_by("k", F.struct(ratio, -F.col("k"))).alias("k_hat"))
         both = found.unionByName(more.select(*by, "delta", "k_hat"))
         best = F.max_by(F.struct("delta", "k_hat"), F.struct("delta", -F.col("k_hat"))).alias("best")
-        found = _written(both.groupBy(*by).agg(best).select(*by, "best.delta", "best.k_hat"), "delta")
+        found = written(both.groupBy(*by).agg(best).select(*by, "best.delta", "best.k_hat"), "delta")
         low = high
 
 
@@ -126,7 +120,7 @@ def grow_to_local_maximum(df: DataFrame, counts: Callable[[DataFrame, list[int]]
         size = F.size("text") if dict(df.dtypes)["text"].startswith("array") else F.length("text")
         every = df.select("id", F.explode(F.array(*map(F.lit, range(1, high + 1)))).alias("k"))
         counted = every.join(counts(df, list(range(1, high + 1))).select("id", "k", "d"), ["id", "k"], "left").withColumn("d", F.coalesce("d", F.lit(0)))
-        found = _written(local_maximum(counted, strict).join(df.select("id", size.alias("n")), "id"), "local-maxima")
+        found = written(local_maximum(counted, strict).join(df.select("id", size.alias("n")), "id"), "local-maxima")
         done = found.where((F.col("k_hat") < high) | (F.col("n") <= high)).select("id", "delta", "k_hat")
         out = done if out is None else out.unionByName(done)
         rest = found.where((F.col("k_hat") >= high) & (F.col("n") > high))

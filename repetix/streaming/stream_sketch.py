@@ -25,7 +25,7 @@ from repetix.functions.fingerprint import SHIFT, FingerprintParams, window_finge
 from repetix.functions.hashing import hash_array
 from repetix.functions.symbols import encode
 from repetix.plans.accuracy import should_drop, window_length
-from repetix.session import fresh_path
+from repetix.session import fresh_path, passing
 
 from .run_length_bwt import Bookmarks, RunLengthBwt
 
@@ -273,7 +273,8 @@ def run_to_table(stream: DataFrame, name: str) -> DataFrame:
     out, state = fresh_path(spark, name), fresh_path(spark, f"{name}-state")
     query = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    passing(spark, state)
+    return spark.read.schema(stream.schema).parquet(passing(spark, out))
 
 
 def latest(rows: DataFrame) -> DataFrame:

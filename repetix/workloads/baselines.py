@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from repetix.operators import distance, metrics, profile, sketch
 from repetix.operators.distinct import Hll
 from repetix.sources.tables import load_table
+from repetix.session import written
 
 from .common import DOCS, ITEMS, TURNS, Registry, docs, items, profile_cte, strings, turns
 
@@ -120,7 +121,7 @@ query("local_max_sketched")(lambda spark, sf_dir: sketch.grow_to_local_maximum(i
 @query("local_max_misses")
 def local_max_misses(spark, sf_dir):
     """Strings on which the heuristic is wrong: documents, and adversarial ones."""
-    rows = sketch._written(docs(spark, sf_dir).select(F.col("id").cast("string").alias("id"), "text").where("text <> ''").unionByName(adversarial(spark)).repartition(16), "strings")
+    rows = written(docs(spark, sf_dir).select(F.col("id").cast("string").alias("id"), "text").where("text <> ''").unionByName(adversarial(spark)).repartition(16), "strings")
     rules = [sketch.grow_to_local_maximum(rows, exact_counts, strict).select("id", F.col("delta").alias("heuristic"), F.lit(name).alias("stops_before")) for name, strict in (("fall", True), ("stand", False))]
     missed = profile.exact_delta(rows).join(rules[0].unionByName(rules[1]), "id").where("heuristic < delta - 1e-9")
     return missed.select("id", "n", "delta", "k_hat", "heuristic", "stops_before")

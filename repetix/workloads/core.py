@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from repetix.functions.fingerprint import FingerprintParams, code_points, fingerprint, fingerprint_concat, fingerprint_roll, power_mod
 from repetix.operators import distance, metrics, profile, sketch
-from repetix.plans.accuracy import plan_accuracy, sampled_lengths, sampled_lengths_column
+from repetix.plans.accuracy import plan_accuracy, sampled_lengths, sampled_lengths_column, window_length
 from repetix.sources.tables import event_sequences, line_sequences, load_table, order_sequences
 
 from .common import DOCS, ITEMS, SHORT, TURNS, Registry, delta_of, docs, items, profile_cte, profile_sql, turns, windows_cte
@@ -244,6 +244,23 @@ def fingerprint_text(spark, sf_dir):
     return items(spark, sf_dir).select("id", fingerprint(points, Q1).alias("fp1"), fingerprint(points, Q2).alias("fp2"))
 
 
+@query(
+    "length_weights",
+    f"SELECT CAST(k AS INTEGER) AS k, list_reduce(list_prepend(1::BIGINT, [1::BIGINT FOR x IN range(1, k)]), lambda f, x: f * {BASE} % {Q1}) AS w1, list_reduce(list_prepend(1::BIGINT, [1::BIGINT FOR x IN range(1, k)]), lambda f, x: f * {BASE} % {Q2}) AS w2 FROM (SELECT unnest(range(1, 201)) AS k)",
+)
+def length_weights(spark, sf_dir):
+    """base^(k - 1), the weight of the symbol that leaves a window, for both primes, by squaring."""
+    ks = spark.range(1, 201).select(F.col("id").cast("int").alias("k"))
+    return ks.select("k", power_mod(F.col("k") - 1, Q1).alias("w1"), power_mod(F.col("k") - 1, Q2).alias("w2"))
+
+
+@query("window_lengths", "SELECT n, CAST(ceil(sqrt(n) * log2(n)) AS BIGINT) AS window FROM (SELECT CAST(unnest([10, 100, 1000, 12000, 128657, 1000000, 24783473]) AS BIGINT) AS n)")
+def window_lengths(spark, sf_dir):
+    """Symbols that a stream of n keeps."""
+    ns = (10, 100, 1000, 12_000, 128_657, 1_000_000, 24_783_473)
+    return spark.createDataFrame([(n, window_length(n)) for n in ns], "n bigint, window bigint")
+
+
 @query("fingerprint_concat", f"SELECT a.id AS id, {sql_print('a.text || b.text', Q1)} AS fp FROM ({ITEMS}) a JOIN ({ITEMS}) b ON b.id = a.id + 1")
 def fingerprint_concat_query(spark, sf_dir):
     one = items(spark, sf_dir).select("id", fingerprint(code_points("text"), Q1).alias("fp"), power_mod(F.length("text"), Q1).alias("weight"))

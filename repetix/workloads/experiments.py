@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from repetix.operators import distance, longstring, metrics, phylogeny, profile, sketch
 from repetix.operators.distinct import Hll
-from repetix.session import fresh_path
+from repetix.session import written
 
 from .common import Registry, docs
 
@@ -17,13 +17,6 @@ PREFIXES, LONGEST, SEQUENCES, SEQUENCE_LENGTH = 10, 5, 29, 81_000
 STUDY = 50_000
 
 
-def written(df, name):
-    """Through a table in the shared folder, so that several measures don't repeat what made it."""
-    path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def prefixes(spark, sf_dir):
     """(id, prefix_len, text): ten equal steps of the five longest documents; that choice is the experiment."""
     longest = docs(spark, sf_dir).withColumn("n", F.length("text")).orderBy(F.desc("n"), "id").limit(LONGEST)
@@ -86,7 +79,7 @@ def tree_distances(spark, sf_dir):
     rows = written(sequences(spark, sf_dir).repartition(8), "sequences")
     cd = Hll()
     sketches = written(sketch.build_sketch(rows, cd=cd, max_length=64), "sketches")
-    return {"sketch": distance.all_pairs_sketch(sketches, cd), "delta": distance.all_pairs_exact(rows, range(1, 13)), "xz": distance.all_pairs_codec(rows, "xz")}
+    return {"sketch": distance.all_pairs_sketch(sketches, cd), "delta": distance.all_pairs_exact(rows), "xz": distance.all_pairs_codec(rows, "xz")}
 
 
 @query("all_pairs_sequences")

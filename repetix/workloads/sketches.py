@@ -11,6 +11,7 @@ from repetix.operators.distinct import F0, Exact, F0Median, Hll, Kmv, LinearCoun
 from repetix.plans.accuracy import sampled_lengths
 from repetix.sources.tables import load_table
 from repetix.streaming import stream_sketch as streams
+from repetix.session import written
 
 from .common import ITEMS, SHORT, Registry, delta_of, docs, items, turns, windows_cte
 from .common import strings as texts
@@ -200,7 +201,7 @@ def hll_merge_delta(spark, sf_dir):
 @query("sketch_rollup")
 def sketch_rollup(spark, sf_dir):
     strings = docs(spark, sf_dir, "lang", "source").withColumn("whole", F.lit(0))
-    sketches = sketch._written(sketch.build_sketch(strings, by=("whole", "lang", "source"), max_length=40), "sketches")
+    sketches = written(sketch.build_sketch(strings, by=("whole", "lang", "source"), max_length=40), "sketches")
     levels, out = ["whole", "lang", "source"], None
     for n in (3, 2, 1):
         by = levels[:n]
@@ -279,7 +280,7 @@ def sketch_error_other_corpora(spark, sf_dir):
     families = {"exact": Exact(), "hll": Hll(), "theta": Theta(), "kmv": Kmv(1024), "f0": F0(4096), "f0_median": F0Median(3, 4096), "linear": LinearCounting(M_BITS)}
     out = None
     for corpus, strings in (("pages", texts(spark, sf_dir, "pages", "page_id", "html")), ("conversations", conversations(spark, sf_dir))):
-        rows = sketch._written(window_rows(strings, wanted), "windows")
+        rows = written(window_rows(strings, wanted), "windows")
         truth = Exact().estimates(Exact().build(rows, ["id", "k"]), ["id", "k"]).groupBy("id").agg(F.max(F.col("d") / F.col("k")).alias("exact"))  # every length to 64 is in a grid or falls between neighbours
         counted = {name: cd.estimates(cd.build(rows, ["id", "k"]), ["id", "k"]) for name, cd in families.items()} | {"approx_count_distinct": approx_profile(rows, ["id", "k"])}
         for name, profile_of in counted.items():
@@ -332,7 +333,7 @@ def long_string_delta(spark, sf_dir):
     sketches, low, high = None, 0, 128
     while True:
         more = packed.long_string_sketch(chunks, [k for k in sampled_lengths(high, 1.25) if k > low], cd)
-        sketches = sketch._written(more if sketches is None else sketches.unionByName(more), "long-string")
+        sketches = written(more if sketches is None else sketches.unionByName(more), "long-string")
         found = sketch.estimate_delta(sketches, cd=cd).crossJoin(F.broadcast(n)).withColumn("bound", length_bound(F.col("n"), F.col("delta")))
         if found.where(F.col("bound") > high).where(F.col("n") > high).isEmpty():
             return found

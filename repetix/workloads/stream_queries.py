@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from repetix.plans.accuracy import sampled_lengths, window_length
-from repetix.session import fresh_path
+from repetix.session import fresh_path, passing
 from repetix.sources.tables import EVENT_TYPES, code_of, load_table
 from repetix.streaming import stream_sketch as streams
 
@@ -44,6 +44,7 @@ def in_batches(parts: list[DataFrame], name: str) -> DataFrame:
     path = fresh_path(spark, name)
     for n, part in enumerate(parts):
         part.coalesce(1).write.parquet(f"{path}/part={n}")
+    passing(spark, path)
     return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/part=*")
 
 
@@ -62,6 +63,14 @@ def streamed(**options):
 for _name, _options in (("stream_final_profile", {"window": 2}), ("stream_window_only", {"transform": False})):
     query(_name, STREAM_SQL)(streamed(**_options))
 
+
+
+@query("stream_naive_buffer", STREAM_SQL)
+def stream_naive_buffer(spark, sf_dir):
+    """The baseline that keeps the whole stream as its window."""
+    return streamed(window=longest_stream(spark, sf_dir), transform=False)(spark, sf_dir)
+
+
 PRINTS = f"""{windows_cte(EVENTS, STREAMED)}, f AS (SELECT id, CAST(k AS INTEGER) AS k, {sql_print('g', Q1)} AS fp1, {sql_print('g', Q2)} AS fp2 FROM (SELECT DISTINCT id, k, g FROM w))"""
 
 
