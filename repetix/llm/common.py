@@ -2,43 +2,12 @@
 
 from __future__ import annotations
 
-import atexit
-import re
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
-
-_own_dir: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder (`spark.checkpoint.dir`); a temporary one where that is unset, as in tests."""
-    place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if place:
-        return place.rstrip("/")
-    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    if not _own_dir:
-        _own_dir.append(tempfile.mkdtemp(prefix="repetix-"))
-        atexit.register(shutil.rmtree, _own_dir[0], ignore_errors=True)
-    return f"file://{_own_dir[0]}"
-
+from repetix.session import fresh_path, passing
 
-def fresh_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def passing(spark: SparkSession, path: str) -> str:
-    """`path`, which exists, goes when the application ends."""
-    jvm = spark.sparkContext._jvm
-    place = jvm.org.apache.hadoop.fs.Path(path)
-    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
-    return path
+UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -48,12 +17,17 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(passing(df.sparkSession, path))
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete the files at `path` in whatever store it is."""
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
 def drop_table(spark: SparkSession, table: str, path: str | None = None) -> None:
     """Drop a table from the catalog and, if `path` is given, its files."""
     spark.sql(f"DROP TABLE IF EXISTS {table}")
     if path:
-        place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+        remove(spark, path)
 
 
 def ascii_lower(text: str | Column) -> Column:
@@ -119,4 +93,5 @@ def without_rows(docs: DataFrame, dropped: DataFrame) -> DataFrame:
         raise ValueError("rows are named by numbers that were written: with_row_numbers")
     dropped = materialise(dropped.select("row_no"), "dropped")
     few = dropped.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    return numbered(docs).join(F.broadcast(dropped) if few else dropped, "row_no", "left_anti").select([c for c in docs.columns if c != WRITTEN_NO])
+    dropped = dropped.withColumnRenamed("row_no", WRITTEN_NO)  # the caller's columns may have a row_no of their own
+    return docs.join(F.broadcast(dropped) if few else dropped, WRITTEN_NO, "left_anti").drop(WRITTEN_NO)

@@ -20,6 +20,8 @@ block's question however often the block has it. Shards grow in number with the
 
 from __future__ import annotations
 
+import ctypes
+import time
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -33,7 +35,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checked, drop_table, fresh_path, materialise, partitions
+from .common import checked, drop_table, fresh_path, materialise, partitions, remove
 from .elias_fano import Quantiser, TrieLevel
 from .rank_array_bpe import slices
 
@@ -58,6 +60,14 @@ def unpacked(raw: bytes, dtype) -> np.ndarray:
     return np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), dtype)
 
 
+def let_go() -> None:
+    """Give freed memory back to the system, as the workers of an executor share its limit."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(ascending distinct keys, a place of each, the number of each place's key)."""
     order = np.argsort(keys)
@@ -79,8 +89,8 @@ def in_training(doc_id) -> bool:
     return doc_id is None or zlib.crc32(str(doc_id).encode()) % 5 != 1
 
 
-def text_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """One row for each run of texts: block, doc_ids, lengths (tokens), train, words (hashes), counts (training), tokens (numbers of words)."""
+def text_blocks(docs: DataFrame, id_col: str, text_col: str, shards: int, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """Two rows for each run of texts. Part 0: block, doc_ids, lengths (tokens), train, tokens (numbers of words), home (each word's shard); part 1: block, words (hashes), counts (training)."""
 
     def numbered(texts: pa.Array) -> tuple[list[bytes], np.ndarray, np.ndarray]:
         """(words, lengths, numbers of the tokens); the last word is the end. All in Arrow: splits at the six ASCII blanks, lowers A-Z."""
@@ -109,14 +119,18 @@ def text_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int =
             train = np.fromiter(map(in_training, ids), bool, len(ids))
             counts = np.bincount(tokens[np.repeat(train, lengths)], minlength=len(words))
             hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
-            row = [
-                pa.array([first + made], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([packed(lengths.astype("<u4"))]), pa.array([packed(train)]),
-                pa.array([hashes.tobytes()]), pa.array([packed(counts.astype("<u4"))]), pa.array([packed(tokens.astype("<u4"))]),
-            ]
+            home = (hashes % np.uint64(shards)).astype("<u4")
+            columns = {
+                "block": pa.array([first + made] * 2, pa.int64()), "part": pa.array([0, 1], pa.int32()), "doc_ids": pa.array([ids, None], pa.list_(pa.int64())),
+                **{name: pa.array([packed(x), None], pa.binary()) for name, x in (("lengths", lengths.astype("<u4")), ("train", train), ("tokens", tokens.astype("<u4")), ("home", home))},
+                "words": pa.array([None, hashes.tobytes()], pa.binary()), "counts": pa.array([None, packed(counts.astype("<u4"))], pa.binary()),
+            }
             made, size = made + 1, 0
             ids.clear()
             texts.clear()
-            return pa.RecordBatch.from_arrays(row, names=["block", "doc_ids", "lengths", "train", "words", "counts", "tokens"])
+            del words, lengths, tokens, counts, hashes
+            let_go()
+            return pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
         for batch in batches:
             for part in slices(batch, text_col, block_bytes):
@@ -128,29 +142,48 @@ def text_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int =
         if ids:
             yield close()
 
-    schema = "block bigint, doc_ids array<bigint>, lengths binary, train binary, words binary, counts binary, tokens binary"
+    schema = "block bigint, part int, doc_ids array<bigint>, lengths binary, train binary, tokens binary, home binary, words binary, counts binary"
     return checked(docs, id_col, text_col).select(F.col(id_col).cast("bigint").alias(id_col), text_col).mapInArrow(run, schema)
 
 
-def _bucketed(rows: DataFrame, buckets: int, name: str, made: list[tuple[str, str]], deal: bool = True) -> DataFrame:
+def _bucketed(rows: DataFrame, buckets: int, name: str, made: list[tuple[str, str]], parts: bool = False) -> DataFrame:
     """The rows in the shared folder, bucketed by block so that later joins on the block don't move them. `made` lists tables to drop."""
     spark = rows.sparkSession
     table, path = f"lm_{name}_{uuid.uuid4().hex}", fresh_path(spark, f"lm-{name}")
-    dealt = rows.repartition(buckets, "block") if deal else rows
-    dealt.write.bucketBy(buckets, "block").sortBy("block").option("path", path).option("compression", "uncompressed").saveAsTable(table)
+    writer = rows.write.partitionBy("part") if parts else rows.repartition(buckets, "block").write
+    writer.bucketBy(buckets, "block").sortBy("block").option("path", path).option("compression", "uncompressed").saveAsTable(table)
     made.append((table, path))
-    spark.sparkContext._jvm.System.gc()  # lets the context cleaner delete the shuffle files of this and earlier steps
     return spark.table(table)
 
 
+def _sweep(spark: SparkSession) -> None:
+    """Let the context cleaner delete the shuffle files of steps that are over; it goes by the driver's garbage collection."""
+    for _ in range(2):
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.2)
+
+
+def deal_keys(spark: SparkSession, shards: int) -> list[int]:
+    """For each shard a key that repartition() by it puts into a partition of its own, where a plain number would share one with others by chance."""
+    found: dict[int, int] = {}
+    tried = 0
+    while len(found) < shards:
+        key = F.col("id").cast("int")
+        part = F.pmod(F.hash(key), F.lit(shards))
+        for r in spark.range(tried, tried + 16 * shards).groupBy(part.alias("part")).agg(F.min(key).alias("key")).collect():  # a row for each shard
+            found.setdefault(r["part"], r["key"])
+        tried += 16 * shards
+    return [found[s] for s in range(shards)]
+
+
 def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
     for batch in batches:
         for i in range(batch.num_rows):
             yield {name: column[i].as_py() for name, column in zip(batch.schema.names, batch.columns, strict=True)}
 
 
-def word_questions(blocks: DataFrame, shards: int) -> DataFrame:
-    """(shard, block, words, counts): each block's words by home shard, in the block's order."""
+def word_questions(blocks: DataFrame, shards: int, deal: list[int]) -> DataFrame:
+    """(shard, deal, block, words, counts): each block's words by home shard, in the block's order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
@@ -160,13 +193,13 @@ def word_questions(blocks: DataFrame, shards: int) -> DataFrame:
             parts = [(s, order[a:b]) for s, (a, b) in enumerate(zip(edges, edges[1:], strict=False)) if a < b]
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array([s for s, _ in parts], pa.int32()), pa.array([row["block"]] * len(parts), pa.int64()),
+                    pa.array([s for s, _ in parts], pa.int32()), pa.array([deal[s] for s, _ in parts], pa.int32()), pa.array([row["block"]] * len(parts), pa.int64()),
                     pa.array([words[at].tobytes() for _, at in parts]), pa.array([packed(counts[at]) for _, at in parts]),
                 ],
-                names=["shard", "block", "words", "counts"],
+                names=["shard", "deal", "block", "words", "counts"],
             )
 
-    return blocks.select("block", "words", "counts").mapInArrow(run, "shard int, block bigint, words binary, counts binary")
+    return blocks.where("part = 1").select("block", "words", "counts").mapInArrow(run, "shard int, deal int, block bigint, words binary, counts binary")
 
 
 def word_answers(questions: DataFrame, shards: int) -> DataFrame:
@@ -193,7 +226,7 @@ def word_answers(questions: DataFrame, shards: int) -> DataFrame:
         types = [pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.int64()]
         return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(values, types, strict=True)], names=["shard", "block", "place", "ranks", "counts", "n", "v"])
 
-    return questions.repartition(shards, "shard").mapInArrow(run, "shard int, block bigint, place int, ranks binary, counts binary, n bigint, v bigint")
+    return questions.repartition(shards, "deal").mapInArrow(run, "shard int, block bigint, place int, ranks binary, counts binary, n bigint, v bigint")
 
 
 def _told(blocks: DataFrame, answers: DataFrame, columns: list[str], name: str, *fields: str) -> DataFrame:
@@ -206,7 +239,7 @@ class Block:
     """A block's n-grams in the order of the words' global ids, and where the questions to each shard stand."""
 
     def __init__(self, row: dict, word_shards: int, shards: int, n: int, v: int, hot: int = HOT):
-        home = (np.frombuffer(row["words"], np.uint64) % np.uint64(word_shards)).astype(np.int64)
+        home = unpacked(row["home"], "<u4")
         ids, counts = np.zeros(len(home), np.int64), np.zeros(len(home), np.int64)
         order, edges = by_shard(home, word_shards)
         for part in row["told"]:
@@ -286,36 +319,39 @@ class Block:
         return out
 
 
-QUESTION = "shard int, block bigint, contexts binary, context_counts binary, of binary, words binary, high binary, counts binary, lower binary"
+QUESTION = "shard int, deal int, block bigint, contexts binary, context_counts binary, of binary, words binary, high binary, counts binary, lower binary"
 
 
-def _asked(block: int, question: tuple) -> pa.RecordBatch:
+def _asked(block: int, question: tuple, deal: list[int]) -> pa.RecordBatch:
     shard, context, context_count, word, seen, lower = question
     new = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
     columns = [
-        pa.array([shard], pa.int32()), pa.array([block], pa.int64()), pa.array([packed(np.diff(context[new], prepend=0))]), pa.array([packed(context_count[new].astype("<u8"))]),
+        pa.array([shard], pa.int32()), pa.array([deal[shard]], pa.int32()), pa.array([block], pa.int64()), pa.array([packed(np.diff(context[new], prepend=0))]), pa.array([packed(context_count[new].astype("<u8"))]),
         pa.array([packed(np.diff(np.append(new, len(context))).astype("<u4"))]), pa.array([packed(word.astype("<u4"))]), pa.array([packed((word >> 32).astype("<u4"))]),
         pa.array([packed(seen.astype("<u4"))]), pa.array([packed(lower.astype("<u2"))]),
     ]
     return pa.RecordBatch.from_arrays(columns, names=[f.split()[0] for f in QUESTION.split(", ")])
 
 
-def pair_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int) -> DataFrame:
+def pair_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, deal: list[int]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
             for question in Block(row, word_shards, shards, n, v).pair_questions():
-                yield _asked(row["block"], question)
+                yield _asked(row["block"], question, deal)
+            let_go()
 
     return joined.mapInArrow(run, QUESTION)
 
 
-def triple_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, hot: int) -> DataFrame:
+def triple_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, hot: int, deal: list[int]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
             block = Block(row, word_shards, shards, n, v, hot)
             block.hear_pairs(row["pairs"])
             for question in block.triple_questions():
-                yield _asked(row["block"], question)
+                yield _asked(row["block"], question, deal)
+            del block
+            let_go()
 
     return joined.mapInArrow(run, QUESTION)
 
@@ -355,8 +391,10 @@ def answers(questions: DataFrame, shards: int, prior: float, places: bool) -> Da
         total = np.bincount(no, weights=np.concatenate(seen), minlength=len(keys)).astype(np.int64)
         level = build(c, len(contexts), len(words), keys, total, np.concatenate(lower)[first])
         found = level.places(keys // len(words), keys % len(words))
+        del keys, first, total
+        let_go()
         has = found >= 0
-        codes, totals = np.zeros(len(keys), np.uint16), np.zeros(len(keys), np.int64)
+        codes, totals = np.zeros(len(has), np.uint16), np.zeros(len(has), np.int64)
         codes[has], totals[has] = level.codes[found[has]], level.totals[found[has]]
         place = TaskContext.get().partitionId()
         ends = np.cumsum(lengths)
@@ -367,7 +405,7 @@ def answers(questions: DataFrame, shards: int, prior: float, places: bool) -> Da
             columns = [(shard, pa.int32()), (block, pa.int64()), (place, pa.int32()), (packed(codes[mine].astype("<u2")), pa.binary()), (more[0], pa.binary()), (more[1], pa.binary())]
             yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in columns], names=[f.split()[0] for f in ANSWER.split(", ")])
 
-    return questions.repartition(shards, "shard").mapInArrow(run, ANSWER)
+    return questions.repartition(shards, "deal").mapInArrow(run, ANSWER)
 
 
 def text_scores(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, hot: int) -> DataFrame:
@@ -400,15 +438,20 @@ def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     spark = docs.sparkSession
     buckets = shards = partitions(spark)
     made: list[tuple[str, str]] = []
-    blocks = _bucketed(text_blocks(docs, id_col, text_col, block_bytes), buckets, "blocks", made, deal=False)
-    words = _bucketed(word_answers(word_questions(blocks, shards), shards), buckets, "words", made)
+    blocks = _bucketed(text_blocks(docs, id_col, text_col, shards, block_bytes), buckets, "blocks", made, parts=True)
+    words = _bucketed(word_answers(word_questions(blocks, shards, deal_keys(spark, shards)), shards), buckets, "words", made)
+    remove(spark, f"{made[0][1]}/part=1")
+    _sweep(spark)
     n, v = words.where("block < 0").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
     pair_shards = max(2 * shards, n // SHARD_TOKENS)  # a text has more pairs than words
-    columns = ["block", "doc_ids", "words", "tokens", "lengths", "train"]
-    told = _told(blocks, words, columns, "told", "shard", "place", "ranks", "counts")
-    pairs = _bucketed(answers(pair_questions(told, shards, pair_shards, n, v), pair_shards, PRIOR_2, True), buckets, "pairs", made)
+    deal = deal_keys(spark, pair_shards)
+    columns = ["block", "doc_ids", "home", "tokens", "lengths", "train"]
+    told = _told(blocks.where("part = 0"), words, columns, "told", "shard", "place", "ranks", "counts")
+    pairs = _bucketed(answers(pair_questions(told, shards, pair_shards, n, v, deal), pair_shards, PRIOR_2, True), buckets, "pairs", made)
+    _sweep(spark)
     heard = _told(told, pairs, ["*"], "pairs", "shard", "place", "codes", "totals", "steps")
-    triples = _bucketed(answers(triple_questions(heard, shards, pair_shards, n, v, hot), pair_shards, PRIOR_3, False), buckets, "triples", made)
+    triples = _bucketed(answers(triple_questions(heard, shards, pair_shards, n, v, hot, deal), pair_shards, PRIOR_3, False), buckets, "triples", made)
+    _sweep(spark)
     scores = materialise(text_scores(_told(heard, triples, ["*"], "triples", "shard", "codes"), shards, pair_shards, n, v, hot), "lm-scores")
     for table, path in made:
         drop_table(spark, table, path)
