@@ -21,10 +21,12 @@ block's question however often the block has it. Shards grow in number with the
 from __future__ import annotations
 
 import ctypes
+import functools
+import itertools
 import time
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -48,16 +50,33 @@ LEAST_CONTEXT = 2
 #: Pieces that a context's successors are spread over: every pair context, and pairs of words with more than HOT tokens.
 PIECES = 64
 HOT = 100_000
+#: Questions or answers of a record batch.
+LOT = 48
 #: Training tokens for each pair shard, beyond the session's partitions.
 SHARD_TOKENS = 4_000_000
 
 
+@functools.cache
+def _codec() -> tuple:
+    """One compressor and one decompressor for a worker."""
+    return zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
+
+
 def packed(values: np.ndarray) -> bytes:
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(values).tobytes())
+    return _codec()[0].compress(np.ascontiguousarray(values).tobytes())
 
 
 def unpacked(raw: bytes, dtype) -> np.ndarray:
-    return np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), dtype)
+    return np.frombuffer(_codec()[1].decompress(raw), dtype)
+
+
+def in_lots(rows: Iterable[tuple], schema: str) -> Iterator[pa.RecordBatch]:
+    """Record batches of a few dozen rows each."""
+    kinds = {"int": pa.int32(), "bigint": pa.int64(), "binary": pa.binary()}
+    names, types = zip(*((f.split()[0], kinds[f.split()[1]]) for f in schema.split(", ")), strict=True)
+    rows = iter(rows)
+    while lot := list(itertools.islice(rows, LOT)):
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*lot, strict=True), types, strict=True)], names=list(names))
 
 
 def let_go() -> None:
@@ -322,22 +341,21 @@ class Block:
 QUESTION = "shard int, deal int, block bigint, contexts binary, context_counts binary, of binary, words binary, high binary, counts binary, lower binary"
 
 
-def _asked(block: int, question: tuple, deal: list[int]) -> pa.RecordBatch:
+def _asked(block: int, question: tuple, deal: list[int]) -> tuple:
     shard, context, context_count, word, seen, lower = question
     new = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
-    columns = [
-        pa.array([shard], pa.int32()), pa.array([deal[shard]], pa.int32()), pa.array([block], pa.int64()), pa.array([packed(np.diff(context[new], prepend=0))]), pa.array([packed(context_count[new].astype("<u8"))]),
-        pa.array([packed(np.diff(np.append(new, len(context))).astype("<u4"))]), pa.array([packed(word.astype("<u4"))]), pa.array([packed((word >> 32).astype("<u4"))]),
-        pa.array([packed(seen.astype("<u4"))]), pa.array([packed(lower.astype("<u2"))]),
-    ]
-    return pa.RecordBatch.from_arrays(columns, names=[f.split()[0] for f in QUESTION.split(", ")])
+    return (
+        shard, deal[shard], block, packed(np.diff(context[new], prepend=0)), packed(context_count[new].astype("<u8")), packed(np.diff(np.append(new, len(context))).astype("<u4")),
+        packed(word.astype("<u4")), packed((word >> 32).astype("<u4")), packed(seen.astype("<u4")), packed(lower.astype("<u2")),
+    )
 
 
 def pair_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v: int, deal: list[int]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
-            for question in Block(row, word_shards, shards, n, v).pair_questions():
-                yield _asked(row["block"], question, deal)
+            block = Block(row, word_shards, shards, n, v)
+            yield from in_lots((_asked(row["block"], question, deal) for question in block.pair_questions()), QUESTION)
+            del block
             let_go()
 
     return joined.mapInArrow(run, QUESTION)
@@ -348,8 +366,7 @@ def triple_questions(joined: DataFrame, word_shards: int, shards: int, n: int, v
         for row in _rows(batches):
             block = Block(row, word_shards, shards, n, v, hot)
             block.hear_pairs(row["pairs"])
-            for question in block.triple_questions():
-                yield _asked(row["block"], question, deal)
+            yield from in_lots((_asked(row["block"], question, deal) for question in block.triple_questions()), QUESTION)
             del block
             let_go()
 
@@ -398,12 +415,15 @@ def answers(questions: DataFrame, shards: int, prior: float, places: bool) -> Da
         codes[has], totals[has] = level.codes[found[has]], level.totals[found[has]]
         place = TaskContext.get().partitionId()
         ends = np.cumsum(lengths)
-        for (shard, block), start, stop in zip(asked, ends - lengths, ends, strict=True):
-            mine = no[start:stop]
-            near = np.maximum.accumulate(np.maximum(found[mine], 0))  # the question ascends, so its places do
-            more = (packed(totals[mine].astype("<u4")), packed(np.diff(near, prepend=0).astype("<u4"))) if places else (b"", b"")
-            columns = [(shard, pa.int32()), (block, pa.int64()), (place, pa.int32()), (packed(codes[mine].astype("<u2")), pa.binary()), (more[0], pa.binary()), (more[1], pa.binary())]
-            yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in columns], names=[f.split()[0] for f in ANSWER.split(", ")])
+
+        def told() -> Iterator[tuple]:
+            for (shard, block), start, stop in zip(asked, ends - lengths, ends, strict=True):
+                mine = no[start:stop]
+                near = np.maximum.accumulate(np.maximum(found[mine], 0))  # the question ascends, so its places do
+                more = (packed(totals[mine].astype("<u4")), packed(np.diff(near, prepend=0).astype("<u4"))) if places else (b"", b"")
+                yield (shard, block, place, packed(codes[mine]), *more)
+
+        yield from in_lots(told(), ANSWER)
 
     return questions.repartition(shards, "deal").mapInArrow(run, ANSWER)
 
