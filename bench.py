@@ -49,7 +49,9 @@ def main() -> None:
         errors[str(ratio)] = {"mean": round(sum(off) / len(off), 5), "p99": round(off[int(0.99 * len(off))], 5), "max": round(off[-1], 5)}
 
     # the documents of each source as one stream; the state is what a stream holds between batches
-    streams = timed("stream_by_source", lambda: stream_queries.document_streams(spark, sf_dir, transform=False))
+    spark.conf.set("spark.sql.shuffle.partitions", "64")  # twenty streams over eight partitions would leave cores idle
+    streams = timed("stream_by_source", lambda: stream_queries.document_streams(spark, sf_dir, transform=False, longest=128))
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
     symbols, state = sum(r["n"] for r in streams), max((r["state_bytes"] for r in streams), default=0)
 
     sequences = experiments.written(experiments.sequences(spark, sf_dir).repartition(8), "sequences")

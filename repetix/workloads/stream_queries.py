@@ -133,14 +133,15 @@ def runs_never_fall(spark, sf_dir):
     return runs_by_batch(spark, sf_dir).select(((F.col("runs") >= F.coalesce(before, F.lit(0))) & (F.col("runs") <= F.col("n"))).alias("holds"))
 
 
-def document_streams(spark, sf_dir, transform: bool = True, constant: float = 8.0):
+def document_streams(spark, sf_dir, transform: bool = True, constant: float = 8.0, longest: int | None = None):
     """(id, n, delta, k_hat, bound, certified, runs, dropped_at, words, state_bytes) of the documents of each source, read in doc_id order as one stream.
 
-    The window and the drop rule are those of the largest source; lengths go on beyond the window up to four times its size.
+    The window and the drop rule are those of the largest source; lengths go on beyond the window up to four times its size,
+    or up to `longest`.
     """
     documents = load_table(spark, sf_dir, "documents", ["doc_id", "source", "text"])
     n_max = documents.groupBy("source").agg(F.sum(F.length("text")).alias("n")).agg(F.max("n")).first()[0] or 1
-    lengths = sampled_lengths(min(n_max, 4 * window_length(n_max)), 2.0)
+    lengths = sampled_lengths(min(n_max, longest or 4 * window_length(n_max)), 2.0)
     stream = spark.readStream.schema(documents.schema).parquet(f"{sf_dir}/documents.parque[t]")
     stream = stream.select(F.coalesce("source", F.lit("")).alias("id"), "doc_id", "text")
     rows = streams.stream_sketch(stream, ["doc_id"], n_max=n_max, lengths=lengths, m=4096, transform=transform, discard_constant=constant)
