@@ -11,6 +11,9 @@ from repetix.functions.fingerprint import window_fingerprints
 from repetix.functions.symbols import encode
 from repetix.plans.accuracy import sampled_lengths
 
+#: Windows that are broadcast at most.
+FEW = 1 << 20
+
 
 def as_of(left: DataFrame, right: DataFrame, key: str, left_ts: str, right_ts: str, values: list[str]) -> DataFrame:
     """left plus the values of the last row of right with the same key at or before its time: one shuffle and one sort of the union."""
@@ -45,8 +48,12 @@ def unique_substrings(rows: DataFrame) -> DataFrame:
 
 def containment(items: DataFrame, rows: DataFrame) -> DataFrame:
     """(id, k, d, shared): how many of each item's windows occur anywhere in `rows`; both are (id, k, fp)."""
-    anywhere = rows.select("k", "fp").distinct().withColumn("met", F.lit(1))
-    return items.join(anywhere, ["k", "fp"], "left").groupBy("id", "k").agg(F.count("*").alias("d"), F.count("met").alias("shared"))
+    asked = items.select("k", "fp").distinct()
+    rows = rows.select("k", "fp")
+    if asked.count() <= FEW:
+        rows = rows.join(F.broadcast(asked), ["k", "fp"], "left_semi")  # others needn't leave their tasks
+    anywhere = rows.distinct().withColumn("met", F.lit(1))
+    return items.join(anywhere.hint("merge"), ["k", "fp"], "left").groupBy("id", "k").agg(F.count("*").alias("d"), F.count("met").alias("shared"))
 
 
 def register_sql(spark: SparkSession) -> None:
