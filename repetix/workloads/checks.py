@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from repetix.operators import distance, profile, sketch
 from repetix.operators.distinct import F0, Hll
-from repetix.plans.accuracy import plan_accuracy
+from repetix.plans.accuracy import plan_accuracy, sampled_lengths
 
 from .common import SHORT, Registry, items, turns
 
@@ -64,7 +64,7 @@ def estimate_error(spark, sf_dir):
     e = 0.2
     strings = turns(spark, sf_dir).where("text <> ''")
     cd = Hll(plan_accuracy(e).hll_lg_k)
-    near = sketch.estimate_delta(sketch.build_sketch(strings, alpha=plan_accuracy(e).alpha, cd=cd, max_length=60), cd=cd).select("id", F.col("delta").alias("near"))
+    near = cd.deltas(strings, ["id"], sampled_lengths(60, plan_accuracy(e).alpha)).select("id", F.col("delta").alias("near"))
     return profile.exact_delta(strings).join(near, "id").select((F.abs(F.col("near") - F.col("delta")) <= e * F.col("delta")).alias("holds"))
 
 
