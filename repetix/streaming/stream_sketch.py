@@ -29,6 +29,9 @@ from repetix.session import fresh_path, passing
 
 from .run_length_bwt import Bookmarks, RunLengthBwt
 
+#: Symbols that are fingerprinted at once, besides those of the window.
+PIECE = 1 << 18
+
 
 class DistinctState:
     """exact: the set of fingerprints; kmv: the m least hashes; f0: m registers of greatest levels."""
@@ -91,10 +94,27 @@ class StreamSketch:
         self.weights = {k: self.params.weight(k - 1) for k in self.long}
 
     def extend(self, symbols: Iterable[int]) -> StreamSketch:
-        """Append symbols. Windows up to K are found for the whole chunk at once, longer ones symbol by symbol."""
-        chunk = np.asarray(list(symbols), np.int64)
+        """Append symbols. Windows up to K are found for a piece of PIECE symbols at once, so that memory follows K and not the chunk; longer ones symbol by symbol."""
+        chunk = np.asarray(symbols if isinstance(symbols, np.ndarray) else list(symbols), np.int64)
         if self.n + len(chunk) > self.n_max:
             raise ValueError("the stream is longer than n_max")
+        for begin in range(0, len(chunk), PIECE):
+            self._extend(chunk[begin : begin + PIECE])
+        return self
+
+    def extend_texts(self, texts: Iterable[str | None]) -> StreamSketch:
+        """Append the code points of texts as one stream, PIECE symbols or a text at a time."""
+        held, size = [], 0
+        for text in texts:
+            if text:
+                held.append(text)
+                size += len(text)
+            if size >= PIECE:
+                self.extend(encode("".join(held)))
+                held, size = [], 0
+        return self.extend(encode("".join(held)))
+
+    def _extend(self, chunk: np.ndarray) -> None:
         joined = np.concatenate((self.recent, chunk))
         of = window_fingerprints(joined, self.params)
         for k in self.short:
@@ -112,8 +132,7 @@ class StreamSketch:
                 self.adds += len(fps)
         self.n += len(chunk) - self.seen_long
         self.seen_long = 0
-        self.recent = joined[-max(1, self.window) :]
-        return self
+        self.recent = joined[-max(1, self.window) :].copy()
 
     def _extend_long(self, a: int, made: dict[int, list[int]]) -> None:
         place = self.bwt.extend(a + 1)
@@ -222,7 +241,7 @@ class SketchProcessor(StatefulProcessor):
         if len(batch):
             last = places[-1]
             if self.value == "text":
-                sketch.extend(encode("".join(t for t in batch["text"] if t)))
+                sketch.extend_texts(batch["text"])
             else:
                 sketch.extend(batch["symbol"])
         raw = sketch.dumps()
