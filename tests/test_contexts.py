@@ -38,3 +38,15 @@ def test_less_than_a_fingerprint_for_each_length_is_dealt_out():
         starts, sizes, _ = contexts.stretches(codes, low)
         assert sizes.sum() == 100_000 - low + 1 and sizes.max() <= contexts.reach(low)
         assert len(starts) * (contexts.reach(low) + high) < 16 * 100_000  # `window_rows` had 12 bytes for each of the lengths
+
+
+def test_rollup_reads_the_code_points_once(spark, tmp_path, monkeypatch):
+    from repetix import workloads
+
+    calls, read = [], contexts.alphabet
+    monkeypatch.setattr(contexts, "alphabet", lambda *a: calls.append(1) or read(*a))
+    rows = [(i, t, "en" if i % 2 else "de", f"s{i % 3}", len(t)) for i, t in enumerate(["abcab" * 8, "bcdbcd", "", "xyzxyzzy", "abc"])]
+    spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint").write.parquet(f"{tmp_path}/documents.parquet")
+    found = {(r["lang"], r["source"]): r["delta"] for r in workloads.queries()["group_delta_all_lengths_rollup"](spark, str(tmp_path)).collect()}
+    sets = {(a, b): [t for _, t, x, y, _ in rows if a in (None, x) and b in (None, y)] for _, _, x, y, _ in rows for a, b in ((x, y), (x, None), (None, None))}
+    assert found == pytest.approx({g: max((d / k for k, d in plain(ts, 1, 40).items()), default=0) for g, ts in sets.items() if any(ts)}) and len(calls) == 1
