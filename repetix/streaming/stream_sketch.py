@@ -24,13 +24,15 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from repetix.functions.fingerprint import SHIFT, FingerprintParams, window_fingerprints
 from repetix.functions.hashing import hash_array
 from repetix.functions.symbols import encode
-from repetix.plans.accuracy import should_drop, window_length
+from repetix.plans.accuracy import drop_threshold, should_drop, window_length
 from repetix.session import fresh_path, passing
 
-from .run_length_bwt import Bookmarks, RunLengthBwt
+from .run_length_bwt import Bookmarks, RunLengthBwt, grown_transform
 
 #: Symbols that are fingerprinted at once, besides those of the window.
 PIECE = 1 << 18
+#: Symbols of a chunk at least and of its stream at most for which the stream is sorted.
+LEAST, SORTED = 1 << 10, 1 << 23
 
 
 class DistinctState:
@@ -78,7 +80,6 @@ class StreamSketch:
     params: FingerprintParams = FingerprintParams()
     n: int = 0
     adds: int = 0
-    seen_long: int = 0
     dropped_at: int | None = None
     recent: np.ndarray = field(default_factory=lambda: np.empty(0, np.int64))
 
@@ -94,12 +95,32 @@ class StreamSketch:
         self.weights = {k: self.params.weight(k - 1) for k in self.long}
 
     def extend(self, symbols: Iterable[int]) -> StreamSketch:
-        """Append symbols. Windows up to K are found for a piece of PIECE symbols at once, so that memory follows K and not the chunk; longer ones symbol by symbol."""
+        """Append symbols. Windows up to K are found for a piece of PIECE symbols at once, so that memory follows K and not the chunk.
+
+        Longer ones are found symbol by symbol in the transform, or, where the chunk is not much shorter than the stream
+        before it, by sorting the stream that the transform spells: the state after it is the same.
+        """
         chunk = np.asarray(symbols if isinstance(symbols, np.ndarray) else list(symbols), np.int64)
         if self.n + len(chunk) > self.n_max:
             raise ValueError("the stream is longer than n_max")
+        n = self.n
         for begin in range(0, len(chunk), PIECE):
-            self._extend(chunk[begin : begin + PIECE])
+            self._extend_short(chunk[begin : begin + PIECE])
+        if self.bwt is not None and len(chunk) >= LEAST and 8 * len(chunk) >= n and n + len(chunk) <= SORTED:
+            self._extend_long_at_once(chunk)
+        elif self.bwt is not None:
+            for begin in range(0, len(chunk), PIECE):
+                made: dict[int, list[int]] = {k: [] for k in self.long}
+                for a in chunk[begin : begin + PIECE].tolist():
+                    self._extend_long(a, made)
+                    if self.bwt is None:
+                        break
+                for k, fps in made.items():
+                    self.states[k].add(np.array(fps, np.int64))
+                    self.adds += len(fps)
+                if self.bwt is None:
+                    break
+        self.n = n + len(chunk)
         return self
 
     def extend_texts(self, texts: Iterable[str | None]) -> StreamSketch:
@@ -114,26 +135,49 @@ class StreamSketch:
                 held, size = [], 0
         return self.extend(encode("".join(held)))
 
-    def _extend(self, chunk: np.ndarray) -> None:
+    def _extend_short(self, chunk: np.ndarray) -> None:
         joined = np.concatenate((self.recent, chunk))
         of = window_fingerprints(joined, self.params)
         for k in self.short:
             first = max(0, len(self.recent) - k + 1)
             self.states[k].add(np.unique(of(k)[first:]))
             self.adds += max(0, len(joined) - k + 1 - first)
-        if self.bwt is not None:
-            made: dict[int, list[int]] = {k: [] for k in self.long}
-            for a in chunk.tolist():
-                self._extend_long(int(a), made)
-                if self.bwt is None:
-                    break
-            for k, fps in made.items():
-                self.states[k].add(np.array(fps, np.int64))
-                self.adds += len(fps)
-        self.n += len(chunk) - self.seen_long
-        self.seen_long = 0
         self.recent = joined[-max(1, self.window) :].copy()
 
+    def _extend_long_at_once(self, chunk: np.ndarray) -> None:
+        """What `_extend_long` does for all symbols of the chunk."""
+        n = self.n
+        stream = np.concatenate((self.bwt.spelt() - 1, chunk))
+        order, grown = grown_transform(stream)
+        runs = self.bwt.runs(marker=False) + np.cumsum(grown[n:])
+        over = np.flatnonzero(runs >= drop_threshold(self.n_max, self.window, self.discard_constant))
+        end = n + int(over[0]) + 1 if len(over) else len(stream)
+        residues = lambda fp: [fp >> SHIFT, fp & ((1 << SHIFT) - 1)] if len(self.params.moduli) > 1 else [fp]
+        for begin in range(n, end, PIECE):
+            stop = min(begin + PIECE, end)
+            part = stream[begin:stop]
+            whole = residues(int(window_fingerprints(part, self.params)(len(part))[0]))
+            self.whole = [(w * g + f) % q for w, g, f, q in zip(self.whole, self.params.weight(len(part)), whole, self.params.moduli, strict=True)]
+            if not self.long or stop < self.long[0]:
+                continue
+            first = max(0, begin - self.long[-1] + 1)
+            of = window_fingerprints(stream[first:stop], self.params)
+            for k in self.long:
+                fps = of(k)[max(0, begin - k + 1 - first) :]
+                if len(fps):
+                    self.states[k].add(fps)
+                    self.adds += len(fps)
+                    self.prints[k] = residues(int(fps[-1]))
+        if len(over):
+            self.bwt, self.dropped_at = None, end
+            return
+        place = np.empty(len(stream) + 1, np.int64)
+        place[order] = np.arange(len(order))
+        self.marks.places.update({k: int(place[end - k]) for k in self.long if end >= k})
+        follows = np.where(order < end, np.append(stream, -1)[order] + 1, 0)
+        begins = np.flatnonzero(np.diff(follows, prepend=-1))
+        self.bwt = RunLengthBwt.restore(list(zip(follows[begins].tolist(), np.diff(np.append(begins, len(follows))).tolist(), strict=True)))
+
     def _extend_long(self, a: int, made: dict[int, list[int]]) -> None:
         place = self.bwt.extend(a + 1)
         q, base = self.params.moduli, self.params.base
@@ -144,7 +188,6 @@ class StreamSketch:
                 leaving[k] = self.bwt.access(at + (at >= place)) - 1
         self.whole = [(w * base + a) % p for w, p in zip(self.whole, q, strict=True)]
         self.n += 1
-        self.seen_long += 1
         for k in self.long:
             if self.n == k:
                 self.prints[k] = list(self.whole)
