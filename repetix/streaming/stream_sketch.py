@@ -11,17 +11,21 @@ sub-linear in the stream; `exact` keeps the sets themselves, for tests.
 
 from __future__ import annotations
 
+import heapq
 import pickle
+import tempfile
 from collections.abc import Iterable, Iterator, Sequence
 from dataclasses import dataclass, field
+from typing import BinaryIO
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
-from repetix.functions.fingerprint import SHIFT, FingerprintParams, window_fingerprints
+from repetix.functions.fingerprint import SHIFT, FingerprintParams, Prefixes, window_fingerprints
 from repetix.functions.hashing import hash_array
 from repetix.functions.symbols import encode
 from repetix.plans.accuracy import drop_threshold, should_drop, window_length
@@ -31,6 +35,8 @@ from .run_length_bwt import Bookmarks, RunLengthBwt, grown_transform
 
 #: Symbols that are fingerprinted at once, besides those of the window.
 PIECE = 1 << 18
+#: Symbols and rows of a micro-batch that are put in order at once.
+PART = 1 << 23
 #: Symbols of a chunk at least and of its stream at most for which the stream is sorted.
 LEAST, SORTED = 1 << 10, 1 << 23
 
@@ -51,6 +57,10 @@ class DistinctState:
             self.values = np.union1d(self.values, hash_array(fps, "order"))[: self.m]
         else:
             level = hash_array(fps, "level")
+            least = int(self.values.min()) + 1  # lower ones change no register
+            if least:
+                able = np.flatnonzero(level & ((1 << least) - 1) == 0)
+                level, fps = level[able], fps[able]
             zeros = np.bitwise_count((level ^ (level - 1)).astype(np.uint64)).astype(np.int8) - 1
             np.maximum.at(self.values, hash_array(fps, "bucket") % self.m, zeros)
 
@@ -90,6 +100,7 @@ class StreamSketch:
         self.states = {k: DistinctState(self.cd, self.m) for k in self.lengths}
         self.bwt = RunLengthBwt() if self.transform else None
         self.marks = Bookmarks(self.long)
+        self.prefixes: Prefixes | None = None  # made anew of the recent symbols where a state is read
         self.prints: dict[int, list[int]] = {}
         self.whole = [0] * len(self.params.moduli)
         self.weights = {k: self.params.weight(k - 1) for k in self.long}
@@ -136,13 +147,21 @@ class StreamSketch:
         return self.extend(encode("".join(held)))
 
     def _extend_short(self, chunk: np.ndarray) -> None:
-        joined = np.concatenate((self.recent, chunk))
-        of = window_fingerprints(joined, self.params)
+        if self.prefixes is None:
+            self.prefixes = Prefixes(self.params, self.window)
+            self.prefixes.extend(self.recent)
+        before, size = len(self.recent), len(self.recent) + len(chunk)
+        self.prefixes.extend(chunk)
         for k in self.short:
-            first = max(0, len(self.recent) - k + 1)
-            self.states[k].add(np.unique(of(k)[first:]))
-            self.adds += max(0, len(joined) - k + 1 - first)
-        self.recent = joined[-max(1, self.window) :].copy()
+            first = max(0, before - k + 1)
+            parts = self.prefixes.windows(k, first)
+            if self.cd != "f0":
+                parts = [np.concatenate([np.empty(0, np.int64), *parts])]
+            for fps in parts:
+                self.states[k].add(fps)
+            self.adds += max(0, size - k + 1 - first)
+        self.prefixes.trim()
+        self.recent = (chunk if len(chunk) >= self.window else np.concatenate((self.recent, chunk)))[-max(1, self.window) :].copy()
 
     def _extend_long_at_once(self, chunk: np.ndarray) -> None:
         """What `_extend_long` does for all symbols of the chunk."""
@@ -235,7 +254,7 @@ class StreamSketch:
         return held + (2 * len(self.bwt.state()) + len(self.marks.places) if self.bwt is not None else 0)
 
     def dumps(self) -> bytes:
-        kept = {k: v for k, v in self.__dict__.items() if k not in ("bwt", "marks", "states", "params")}
+        kept = {k: v for k, v in self.__dict__.items() if k not in ("bwt", "marks", "states", "params", "prefixes")}
         kept |= {"runs_held": self.bwt.state() if self.bwt is not None else None, "places": self.marks.places, "values": {k: s.values for k, s in self.states.items()}}
         return pickle.dumps((kept, self.params.moduli, self.params.base))
 
@@ -258,6 +277,58 @@ OUTPUT = (
 )
 
 
+def in_order(frames: Iterator[pd.DataFrame], order: list[str], value: str) -> Iterator[pd.DataFrame]:
+    """The rows of all frames, sorted by `order`, in frames with indexes of their own.
+
+    Up to PART symbols and rows they are sorted at once; beyond that in parts, which go to files without a name in the
+    worker's temporary folder and are merged a block at a time, so that memory doesn't follow the micro-batch.
+    """
+    held, size, parts = [], 0, []
+    for frame in frames:
+        held.append(frame)
+        size += len(frame) + (sum(len(t) for t in frame[value] if t) if value == "text" else 0)
+        if size >= PART:
+            parts.append(_put_aside(_sorted(held, order), size))
+            held, size = [], 0
+    if not parts:
+        yield _sorted(held, order)
+        return
+    if held:
+        parts.append(_put_aside(_sorted(held, order), size))
+    held, size, columns = [], 0, frame.columns
+    del frame
+    place = [columns.get_loc(c) for c in order]
+    key = lambda row: [(bool(pd.isna(row[i])), row[i]) for i in place]
+    at = columns.get_loc(value)
+    for row in heapq.merge(*map(_read_back, parts), key=key):
+        held.append(row)
+        size += 1 + (len(row[at]) if value == "text" and row[at] else 0)
+        if size >= PIECE:
+            yield pd.DataFrame(held, columns=columns)
+            held, size = [], 0
+    if held:
+        yield pd.DataFrame(held, columns=columns)
+
+
+def _sorted(frames: list[pd.DataFrame], order: list[str]) -> pd.DataFrame:
+    return pd.concat(frames, ignore_index=True).sort_values(order, kind="stable", ignore_index=True)
+
+
+def _put_aside(batch: pd.DataFrame, size: int) -> BinaryIO:
+    out = tempfile.TemporaryFile()
+    table = pa.Table.from_pandas(batch, preserve_index=False)
+    with pa.ipc.new_stream(out, table.schema, options=pa.ipc.IpcWriteOptions(compression="lz4")) as writer:
+        writer.write_table(table, max_chunksize=max(1, len(batch) * PIECE // size))
+    out.seek(0)
+    return out
+
+
+def _read_back(part: BinaryIO) -> Iterator[tuple]:
+    with part, pa.ipc.open_stream(part) as blocks:
+        for block in blocks:
+            yield from block.to_pandas().itertuples(index=False, name=None)
+
+
 class SketchProcessor(StatefulProcessor):
     """One state for each stream; rows of a micro-batch are put in order before they are read.
 
@@ -271,21 +342,27 @@ class SketchProcessor(StatefulProcessor):
         self.state = handle.getValueState("sketch", "raw binary")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        batch = pd.concat(list(rows)).sort_values(self.order, kind="stable")
         held = self.state.get()
         sketch, last = StreamSketch(**self.options), None
         if held is not None:
             raw, last = pickle.loads(bytes(held[0]))
             sketch = StreamSketch.loads(raw)
-        places = list(batch[self.order].itertuples(index=False, name=None))
-        on_time = [last is None or p > last for p in places]
-        late = batch[[not t for t in on_time]]
-        batch = batch[on_time]
-        if len(batch):
-            last = places[-1]
-            if self.value == "text":
-                sketch.extend_texts(batch["text"])
-            else:
+        late, before = [], last
+
+        def on_time() -> Iterator[pd.DataFrame]:
+            nonlocal last
+            for batch in in_order(rows, self.order, self.value):
+                places = list(batch[self.order].itertuples(index=False, name=None))
+                after = [before is None or p > before for p in places]
+                late.extend(batch.loc[[not t for t in after], [*self.order, self.value]].to_dict("records"))
+                if any(after):
+                    last = places[-1]
+                    yield batch[after]
+
+        if self.value == "text":
+            sketch.extend_texts(text for batch in on_time() for text in batch["text"])
+        else:
+            for batch in on_time():
                 sketch.extend(batch["symbol"])
         raw = sketch.dumps()
         self.state.update((pickle.dumps((raw, last)),))
@@ -296,7 +373,7 @@ class SketchProcessor(StatefulProcessor):
                 "runs": pd.array([sketch.runs()], "Int64"), "dropped_at": pd.array([sketch.dropped_at], "Int64"), "dropped": [sketch.dropped_at is not None],
                 "adds": [sketch.adds], "words": [sketch.words()], "state_bytes": [len(raw)], "profile": [[{"k": k, "d": d} for k, d in sketch.profile()]],
                 "registers": [[{"k": k, "bucket": b, "level": x} for k, b, x in sketch.registers()] if self.registers else None],
-                "late": [late[[*self.order, self.value]].to_dict("records")],
+                "late": [late],
             }
         )
 
